@@ -61,3 +61,20 @@ def ascii_lower(text: Column) -> Column:
     """
     odd = text.contains("K") | text.contains("İ")
     return F.when(odd, F.translate(text, UPPER, LOWER)).otherwise(F.lower(text))
+
+
+FILTER_BITS = 1 << 26
+
+
+def prefilter(df: DataFrame, ids: DataFrame, column: str) -> DataFrame:
+    """Rows of ``df`` whose ``column`` may be in ``ids``; an exact join has to follow.
+
+    The ids set bits in a map of 2**26 bits (8 MB, whatever their number), which is broadcast, so that wide rows
+    that will not match are dropped before they are shuffled.
+    """
+    page = 32768
+    spot = F.pmod(F.xxhash64(F.col(column)), F.lit(FILTER_BITS))
+    bits = ids.select(spot.alias("s")).groupBy((F.col("s") / page).cast("int").alias("__page")).agg(F.bitmap_construct_agg((F.col("s") % page).cast("long")).alias("__bits"))
+    marked = df.withColumn("__spot", spot).withColumn("__page", (F.col("__spot") / page).cast("int")).join(F.broadcast(bits), "__page")
+    byte = "cast(conv(hex(substring(__bits, cast((__spot % 32768) div 8 as int) + 1, 1)), 16, 10) as int)"
+    return marked.filter(F.expr(f"(shiftright({byte}, cast(__spot % 8 as int)) & 1) = 1")).select(*df.columns)

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pathq.llm.language import op8_language_id
 from pathq.llm.licenses import BASE, LICENSES, scan
 from pathq.llm.mixing import op4_mixing
+from pathq.llm.near_dedup import op10_near_dedup
 from pathq.llm.packing import op1_packing
 
 
@@ -17,6 +18,7 @@ QUERIES = {
     "op3_licenses": op3_licenses,
     "op4_mixing": op4_mixing,
     "op8_language_id": op8_language_id,
+    "op10_near_dedup": op10_near_dedup,
 }
 
 _TEMPLATES = ", ".join(f"({i}, '{t.label}', {str(t.base).lower()}, '{t.text}')" for i, t in enumerate(BASE + LICENSES))
