@@ -18,7 +18,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from pathq.llm.common import ascii_lower
+from pathq.llm.common import Workspace, ascii_lower
 
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 GRAM = 2
@@ -75,16 +75,23 @@ def document_words(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id"), F.xxhash64(text, F.length(text)).alias("th"), words.alias("words"))
 
 
-def votes(spark: SparkSession, worded: DataFrame, templates: tuple[Template, ...]) -> DataFrame:
-    """(doc_id, th, tid, label, base, n_grams, diagonal, p): one row per matching pair of word positions."""
-    grams = worded.select(
-        "doc_id",
-        "th",
-        F.posexplode(F.transform("words", lambda w, i: gram_hash([w, F.get(F.col("words"), i + 1)]))).alias("p", "gram"),
-    )
-    hits = grams.join(F.broadcast(template_positions(spark, templates)), "gram")
-    # the same row of documents may be there twice; its matches count once
-    return hits.select("doc_id", "th", "tid", "label", "base", "n_grams", F.col("p").cast("long").alias("p"), (F.col("p") - F.col("t")).cast("long").alias("diagonal"), "t").distinct()
+def matches(spark: SparkSession, worded: DataFrame, templates: tuple[Template, ...]) -> DataFrame:
+    """(doc_id, th, n_words, tid, label, base, n_grams, p, t): matching pairs of word positions, and a row with tid -1 per document.
+
+    That row comes from a marker put before the document's pairs, so that texts are read and cut into words once.
+    """
+    marker = F.xxhash64(F.lit("a document"), F.lit(-1))
+    pairs = F.transform("words", lambda w, i: gram_hash([w, F.get(F.col("words"), i + 1)]))
+    grams = worded.select("doc_id", "th", F.size("words").alias("n_words"), F.posexplode(F.concat(F.array(marker), pairs)).alias("p", "gram"))
+    known = template_positions(spark, templates)
+    marked = known.unionByName(spark.range(1).select(marker.alias("gram"), F.lit(-1).alias("tid"), F.lit(0).alias("t"), F.lit("").alias("label"), F.lit(False).alias("base"), F.lit(0).alias("n_grams")))
+    hits = grams.join(F.broadcast(marked), "gram")
+    return hits.select("doc_id", "th", F.col("n_words").cast("long").alias("n_words"), "tid", "label", "base", "n_grams", (F.col("p") - 1).cast("long").alias("p"), "t")
+
+
+def votes(matched: DataFrame) -> DataFrame:
+    """(doc_id, th, tid, label, base, n_grams, diagonal, p, t). A row of documents may be there twice; its matches count once."""
+    return matched.filter("tid >= 0").select("doc_id", "th", "tid", "label", "base", "n_grams", "p", (F.col("p") - F.col("t")).alias("diagonal"), "t").distinct()
 
 
 def spans(voted: DataFrame, max_shift: int = 2, min_cover: float = 0.8) -> DataFrame:
@@ -119,8 +126,8 @@ def scan(spark: SparkSession, docs: DataFrame, templates: tuple[Template, ...] =
     ``score`` is the share of evidence found: 1 for a verified license sentence or two or more base places,
     0.5 for a single base place, else 0.
     """
-    worded = document_words(docs)
-    found = spans(votes(spark, worded, templates), max_shift, min_cover)
+    matched = Workspace(spark, "licenses").table(matches(spark, document_words(docs), templates), "matches")
+    found = spans(votes(matched), max_shift, min_cover)
     joined = lambda c: F.concat_ws(",", F.array_sort(F.collect_set(c)))
     base = F.when(F.col("base"), F.col("start"))
     per_doc = found.groupBy(F.col("doc_id").alias("d"), F.col("th").alias("h")).agg(
@@ -132,7 +139,7 @@ def scan(spark: SparkSession, docs: DataFrame, templates: tuple[Template, ...] =
         F.count(F.lit(1)).alias("n_spans"),
         F.max(F.when(~F.col("base"), F.col("cover")).otherwise(0.0)).alias("best"),
     )
-    counted = worded.select("doc_id", "th", F.size("words").cast("long").alias("n_words"))
+    counted = matched.filter("tid = -1").select("doc_id", "th", "n_words")
     zero, none = F.lit(0).cast("long"), F.lit("")
     strength = F.least(F.lit(1.0), F.greatest(F.coalesce("best", F.lit(0.0)), F.coalesce("n_base", zero) * 0.5))
     return counted.join(per_doc, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("h")), "left").select(

@@ -7,6 +7,8 @@ from pathq.llm.licenses import BASE, LICENSES, scan
 from pathq.llm.mixing import op4_mixing
 from pathq.llm.near_dedup import op10_near_dedup
 from pathq.llm.packing import op1_packing
+from pathq.llm.search import op2_nearest
+from pathq.llm.vectors import op9_near_vectors
 
 
 def op3_licenses(spark, sf_dir: str):
@@ -15,9 +17,11 @@ def op3_licenses(spark, sf_dir: str):
 
 QUERIES = {
     "op1_packing": op1_packing,
+    "op2_nearest": op2_nearest,
     "op3_licenses": op3_licenses,
     "op4_mixing": op4_mixing,
     "op8_language_id": op8_language_id,
+    "op9_near_vectors": op9_near_vectors,
     "op10_near_dedup": op10_near_dedup,
 }
 
