@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pathq.llm.html import op5_html_text
 from pathq.llm.language import op8_language_id
 from pathq.llm.licenses import BASE, LICENSES, scan
 from pathq.llm.mixing import op4_mixing
@@ -9,6 +10,7 @@ from pathq.llm.near_dedup import op10_near_dedup
 from pathq.llm.packing import op1_packing
 from pathq.llm.search import op2_nearest
 from pathq.llm.vectors import op9_near_vectors
+from pathq.llm.warc import op7_warc
 
 
 def op3_licenses(spark, sf_dir: str):
@@ -20,6 +22,8 @@ QUERIES = {
     "op2_nearest": op2_nearest,
     "op3_licenses": op3_licenses,
     "op4_mixing": op4_mixing,
+    "op5_html_text": op5_html_text,
+    "op7_warc": op7_warc,
     "op8_language_id": op8_language_id,
     "op9_near_vectors": op9_near_vectors,
     "op10_near_dedup": op10_near_dedup,
@@ -28,6 +32,14 @@ QUERIES = {
 _TEMPLATES = ", ".join(f"({i}, '{t.label}', {str(t.base).lower()}, '{t.text}')" for i, t in enumerate(BASE + LICENSES))
 
 ORACLES = {
+    "op7_warc": """
+WITH p AS (SELECT page_id, encode(coalesce(html, '')) AS body FROM pages),
+d AS (SELECT page_id, octet_length(body) AS n, sha1(body) AS h FROM p),
+g AS (SELECT h, max(page_id) AS top FROM d WHERE n >= 1000 GROUP BY h)
+SELECT d.page_id, n::BIGINT AS payload_bytes, d.h AS payload_digest,
+       CASE WHEN top IS NULL OR top = d.page_id THEN 'response' ELSE 'revisit' END AS record_type,
+       CASE WHEN top <> d.page_id THEN top END AS refers_to
+FROM d LEFT JOIN g ON d.h = g.h AND n >= 1000""",
     "op3_licenses": f"""
 WITH worded AS (
   SELECT doc_id, row_number() OVER () AS rid,
