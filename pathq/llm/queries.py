@@ -9,6 +9,7 @@ from pathq.llm.mixing import op4_mixing
 from pathq.llm.near_dedup import op10_near_dedup
 from pathq.llm.packing import op1_packing
 from pathq.llm.search import op2_nearest
+from pathq.llm.tokens import op6_token_ids
 from pathq.llm.vectors import op9_near_vectors
 from pathq.llm.warc import op7_warc
 
@@ -23,6 +24,7 @@ QUERIES = {
     "op3_licenses": op3_licenses,
     "op4_mixing": op4_mixing,
     "op5_html_text": op5_html_text,
+    "op6_token_ids": op6_token_ids,
     "op7_warc": op7_warc,
     "op8_language_id": op8_language_id,
     "op9_near_vectors": op9_near_vectors,
