@@ -5,8 +5,10 @@ The classes are branched recursively: a node of a tree picks, by its own hash, o
 positions, and its documents go to children by their minwise token there. Two sets of similarity s stay together
 with probability s per step, and on average 1.25 positions are picked, so that pairs at the threshold are not
 thinned out as they descend. Nodes that have become small are compared exhaustively; independent trees are
-repeated until the target recall is met for pairs at the threshold. Compared pairs pass a 64-bit sketch test, which
-keeps 4.5 standard deviations, and are then confirmed on full sets read again from the texts.
+repeated until the target recall is met for pairs at the threshold. Compared pairs pass a test of 128-bit sketches,
+which keeps 4.5 standard deviations, and are then confirmed on full sets read again from the texts. In all but tiny
+nodes this takes two passes: the most similar pairs that span the node first, then every pair whose ends are
+not in one component by then. So a group of copies is confirmed by about as many pairs as it has members.
 
 Nodes that stay large after a few steps hold many mutually similar sets. There a pivot is compared with all
 members on full sets. Jaccard distance is a metric, so a member that is nearer to the pivot than
@@ -35,7 +37,8 @@ from pathq.llm.shingles import document_sets, minhash, mix
 
 POSITIONS = 64
 SHALLOW = 3  # steps without pivots
-SKETCH_SCHEMA = "doc_id long, n_shingles long, f1 long, f2 long, sketch long, sig binary"
+TINY = 24  # nodes up to this size give all their pairs at once
+SKETCH_SCHEMA = "doc_id long, n_shingles long, f1 long, f2 long, s1 long, s2 long, sig binary"
 
 
 def _prints(h: np.ndarray) -> tuple[int, int]:
@@ -49,16 +52,18 @@ def _sketches(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = np.uint64(1) << np.arange(POSITIONS, dtype=np.uint64)
         for batch in batches:
-            n, f1, f2, sketch, sig = [], [], [], [], []
+            n, f1, f2, s1, s2, sig = [], [], [], [], [], []
             for h in document_sets(batch["text"], k):
                 low = minhash(h, POSITIONS)
                 n.append(len(h))
                 both = _prints(h)
                 f1.append(both[0])
                 f2.append(both[1])
-                sketch.append(int(bits[(mix(low.astype(np.uint64)) & np.uint64(1)).astype(bool)].sum(dtype=np.uint64).view(np.int64)))
+                spread = mix(low.astype(np.uint64))
+                s1.append(int(bits[(spread & np.uint64(1)).astype(bool)].sum(dtype=np.uint64).view(np.int64)))
+                s2.append(int(bits[(spread & np.uint64(2)).astype(bool)].sum(dtype=np.uint64).view(np.int64)))
                 sig.append(low.tobytes())
-            yield pa.RecordBatch.from_arrays([batch["doc_id"].cast(pa.int64()), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array(sketch, pa.int64()), pa.array(sig, pa.binary())], names=["doc_id", "n_shingles", "f1", "f2", "sketch", "sig"])
+            yield pa.RecordBatch.from_arrays([batch["doc_id"].cast(pa.int64()), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array(s1, pa.int64()), pa.array(s2, pa.int64()), pa.array(sig, pa.binary())], names=["doc_id", "n_shingles", "f1", "f2", "s1", "s2", "sig"])
 
     return run
 
@@ -89,6 +94,96 @@ def _overlaps(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch["a"], batch["b"], pa.array(both, pa.int64()), pa.array(either, pa.int64())], names=["a", "b", "both", "either"])
 
 
+def _nodes(batches: Iterator[pa.RecordBatch], columns: tuple[str, ...]) -> Iterator[list[np.ndarray]]:
+    """Columns of one node after the other, from rows sorted by node."""
+    held: list[list[np.ndarray]] = []
+    last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        node = batch["node"].to_numpy()
+        data = [batch[c].to_numpy() for c in columns]
+        edges = [0, *(np.flatnonzero(np.diff(node)) + 1).tolist(), len(node)]
+        for lo, hi in zip(edges[:-1], edges[1:], strict=True):
+            if node[lo] != last:
+                if held:
+                    yield [np.concatenate(c) for c in zip(*held, strict=True)] if len(held) > 1 else held[0]
+                held, last = [], node[lo]
+            held.append([c[lo:hi] for c in data])
+    if held:
+        yield [np.concatenate(c) for c in zip(*held, strict=True)] if len(held) > 1 else held[0]
+
+
+def _gaps(n: np.ndarray, s1: np.ndarray, s2: np.ndarray, threshold: int, most: int) -> np.ndarray:
+    """Positions in which sketches differ, for all pairs of a node; 255 where sizes or sketches rule a link out."""
+    s1, s2 = s1.view(np.uint64), s2.view(np.uint64)  # of signed numbers, bits of the absolute value would count
+    gap = np.bitwise_count((s1[:, None] ^ s1[None, :]) | (s2[:, None] ^ s2[None, :])).astype(np.uint8)
+    small, big = np.minimum(n[:, None], n[None, :]), np.maximum(n[:, None], n[None, :])
+    gap[(gap > most) | (small * 100 < big * threshold)] = 255
+    np.fill_diagonal(gap, 255)
+    return gap
+
+
+def _spanning(gap: np.ndarray) -> tuple[list[int], list[int]]:
+    """The most similar pairs that span each part of a node, grown one member at a time."""
+    m = len(gap)
+    best, by, out = gap[0].copy(), np.zeros(m, np.int64), np.ones(m, bool)
+    out[0] = False
+    a, b = [], []
+    for _ in range(m - 1):
+        j = int(np.argmin(np.where(out, best, 255)))
+        if not out[j] or best[j] == 255:  # a new part
+            j = int(np.argmax(out))
+        else:
+            a.append(int(by[j]))
+            b.append(j)
+        out[j] = False
+        closer = gap[j] < best
+        best = np.where(closer, gap[j], best)
+        by[closer] = j
+    return a, b
+
+
+def _pair_batch(found: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+    a, b = np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+    return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["a", "b"])
+
+
+def _near_pairs(threshold: int, most: int):
+    """First pass over small nodes: all likely pairs of tiny ones, spanning pairs of the others."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found, n_found = [], 0
+        for rep, n, s1, s2 in _nodes(batches, ("rep", "n", "s1", "s2")):
+            gap = _gaps(n, s1, s2, threshold, most)
+            p, q = np.nonzero(np.triu(gap < 255)) if len(rep) <= TINY else _spanning(gap)
+            if len(p):
+                found.append((rep[p], rep[q]))
+                n_found += len(p)
+            if n_found > 50_000:
+                yield _pair_batch(found)
+                found, n_found = [], 0
+        if found:
+            yield _pair_batch(found)
+
+    return run
+
+
+def _cross_pairs(threshold: int, most: int):
+    """Second pass: likely pairs whose ends lie in different components so far."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rep, n, s1, s2, part in _nodes(batches, ("rep", "n", "s1", "s2", "part")):
+            if (part == part[0]).all():
+                continue
+            gap = _gaps(n, s1, s2, threshold, most)
+            p, q = np.nonzero(np.triu((gap < 255) & (part[:, None] != part[None, :])))
+            if len(p):
+                yield _pair_batch([(rep[p], rep[q])])
+
+    return run
+
+
 class Join:
     """One run of the join over (doc_id, text)."""
 
@@ -98,18 +193,18 @@ class Join:
         s = threshold / 100
         step = 0.75 * s + 0.25 * (1 - (1 - s) ** 2)  # a pair at the threshold shares a child with this probability
         self.trees = max(2, math.ceil(math.log(1 - recall) / math.log(1 - step**SHALLOW)))
-        off = (1 - s) / 2
+        off = (1 - s) * 0.75  # two bits agree by chance once in four
         self.most_bits = math.ceil(POSITIONS * off + 4.5 * math.sqrt(POSITIONS * off * (1 - off)))
 
     def branch(self, rows: DataFrame, to: list | None = None) -> DataFrame:
-        """(node, rep, n, sketch, sig) -> children, without sig. A node's picks depend on its own hash alone."""
+        """(node, rep, n, s1, s2, sig) -> children, without sig. A node's picks depend on its own hash alone."""
         picks = lambda node: F.when(
             F.pmod(F.xxhash64(node, F.lit(5)), F.lit(4)) == 0,
             F.array(F.pmod(F.xxhash64(node, F.lit(1)), F.lit(POSITIONS)), F.pmod(F.xxhash64(node, F.lit(2)), F.lit(POSITIONS))),
         ).otherwise(F.array(F.pmod(F.xxhash64(node, F.lit(1)), F.lit(POSITIONS))))
         picked = rows.withColumn("pick", F.explode(F.array_distinct(picks(F.col("node")))))
         token = F.substring(F.col("sig"), (F.col("pick") * 4 + 1).cast("int"), F.lit(4))
-        return picked.select(F.xxhash64("node", "pick", token).alias("node"), "rep", "n", "sketch")
+        return picked.select(F.xxhash64("node", "pick", token).alias("node"), "rep", "n", "s1", "s2")
 
     def sets_of(self, reps: DataFrame, name: str) -> DataFrame:
         """(rep, set) of some classes, read again from a text of each. ``reps``: distinct column ``rep``."""
@@ -124,20 +219,17 @@ class Join:
         a, b = sets.select(F.col("rep").alias("a"), F.col("set").alias("set_a")), sets.select(F.col("rep").alias("b"), F.col("set").alias("set_b"))
         return pairs.join(a, "a").join(b, "b").select("a", "b", "set_a", "set_b").mapInArrow(_overlaps, "a long, b long, both long, either long")
 
-    def near(self, a, b):
-        """The tests that need no set: sizes and sketches."""
-        sizes = F.least(a["n"], b["n"]) * 100 >= F.greatest(a["n"], b["n"]) * self.threshold
-        return sizes & (F.bit_count(a["sketch"].bitwiseXOR(b["sketch"])) <= self.most_bits)
-
     def settle(self, rows: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
-        """(pairs within small nodes, rows of large nodes). Nodes of one document end here."""
+        """(rows of small nodes, rows of large nodes), with their node's size. Nodes of one document end here."""
         counts = self.work.table(rows.groupBy("node").agg(F.count(F.lit(1)).alias("size")).filter("size > 1"), f"{name}-counts")
         sized = self.work.table(rows.join(counts, "node"), f"{name}-sized")
-        small = sized.filter(F.col("size") <= self.small).groupBy("node").agg(F.collect_list(F.struct("rep", "n", "sketch")).alias("all"))
-        a = small.select(F.explode("all").alias("x"), "all")
-        b = a.select("x", F.explode(F.filter("all", lambda y: (y["rep"] > F.col("x")["rep"]) & self.near(F.col("x"), y))).alias("y"))
-        pairs = self.work.table(b.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct(), f"{name}-pairs")
-        return pairs, sized.filter(F.col("size") > self.small).select("node", "rep", "n", "sketch")
+        return sized.filter(F.col("size") <= self.small), sized.filter(F.col("size") > self.small).drop("size")
+
+    def confirm(self, pairs: DataFrame, name: str) -> DataFrame:
+        """(a, b, linked) of distinct pairs, on full sets."""
+        wanted = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
+        measured = self.overlaps(pairs, self.sets_of(wanted, f"{name}-sets"))
+        return self.work.table(measured.select("a", "b", (F.col("both") * 100 >= F.col("either") * self.threshold).alias("linked")), name)
 
     def pivot_round(self, large: DataFrame, sets: DataFrame, i: int) -> tuple[DataFrame, DataFrame]:
         """(links with pivots, rows that stay)."""
@@ -149,22 +241,22 @@ class Join:
         linked = F.col("both") * 100 >= F.col("either") * self.threshold
         measured = starred.join(star.select(F.col("a").alias("rep"), F.col("b").alias("pivot"), "both", "either"), ["rep", "pivot"])
         distance = 1 - F.col("both") / F.col("either")
-        measured = self.work.table(measured.select("node", "rep", "n", "sketch", linked.alias("linked"), distance.alias("d")), f"measured-{i}")
+        measured = self.work.table(measured.select("node", "rep", "n", "s1", "s2", linked.alias("linked"), distance.alias("d")), f"measured-{i}")
         shell = self.work.table(measured.filter("not linked").groupBy("node").agg(F.min("d").alias("d_min")), f"shell-{i}")
         reach = F.col("d_min") - (1 - self.threshold / 100) - 1e-9
         stay = measured.join(shell, "node").filter(~F.col("linked") | (F.col("d") >= reach))
-        return star.filter(linked).select("a", "b"), stay.select("node", "rep", "n", "sketch")
+        return star.filter(linked).select("a", "b"), stay.select("node", "rep", "n", "s1", "s2")
 
     def run(self) -> tuple[DataFrame, DataFrame]:
-        """(sketches of all documents, links between classes). ``signed`` then holds the classes."""
+        """(sketches of all documents, links that connect all linked classes). ``signed`` then holds the classes."""
         work = self.work
         sketches = work.table(self.docs.mapInArrow(_sketches(self.k), SKETCH_SCHEMA).withColumn("rep", F.xxhash64("f1", "f2")), "sketches")
         filled = sketches.filter("n_shingles > 0 and doc_id is not null")
-        one = filled.groupBy("rep", F.col("n_shingles").alias("n")).agg(F.min("doc_id").alias("doc_id"), F.first("sketch").alias("sketch"), F.first("sig").alias("sig"))
+        one = filled.groupBy("rep", F.col("n_shingles").alias("n")).agg(F.min("doc_id").alias("doc_id"), F.first("s1").alias("s1"), F.first("s2").alias("s2"), F.first("sig").alias("sig"))
         signed = self.signed = work.table(one, "classes")
         roots = F.explode(F.array(*[F.lit(1_000_003 * (j + 1)).cast("long") for j in range(self.trees)]))
-        pairs, large = self.settle(self.branch(signed.withColumn("node", roots)), "step-1")
-        candidates, links = [pairs], []
+        small, large = self.settle(self.branch(signed.withColumn("node", roots)), "step-1")
+        nodes, links = [small], []
         depth, sets = 1, None
         while not large.isEmpty():
             if depth >= SHALLOW:
@@ -173,21 +265,29 @@ class Join:
                 found, large = self.pivot_round(large, sets, depth)
                 links.append(found)
             depth += 1
-            pairs, large = self.settle(self.branch(large.join(signed.select("rep", "sig"), "rep")), f"step-{depth}")
-            candidates.append(pairs)
-        pairs = candidates[0]
-        for more in candidates[1:]:
-            pairs = pairs.union(more)
-        pairs = work.table(pairs.distinct(), "candidates")
-        wanted = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
-        measured = self.overlaps(pairs, self.sets_of(wanted, "candidate-sets"))
-        confirmed = measured.filter(F.col("both") * 100 >= F.col("either") * self.threshold).select("a", "b")
+            small, large = self.settle(self.branch(large.join(signed.select("rep", "sig"), "rep")), f"step-{depth}")
+            nodes.append(small)
+        small = nodes[0]
+        for more in nodes[1:]:
+            small = small.union(more)
+        test = (self.threshold, self.most_bits)
+        by_node = small.repartition("node").sortWithinPartitions("node")
+        pairs = work.table(by_node.select("node", "rep", "n", "s1", "s2").mapInArrow(_near_pairs(*test), "a long, b long").distinct(), "pairs-1")
+        first = self.confirm(pairs, "confirmed-1")
+        linked = first.filter("linked").select("a", "b")
         for found in links:
-            confirmed = confirmed.union(found)
-        return sketches, confirmed
-
-
-def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: float = 0.9995, small: int = 32) -> DataFrame:
+            linked = linked.union(found)
+        linked = work.table(linked, "links-1")
+        part = components(linked, work).select(F.col("id").alias("rep"), F.col("component").alias("part"))
+        middle = small.filter(F.col("size") > TINY).join(part, "rep", "left").withColumn("part", F.coalesce("part", "rep"))
+        crossing = middle.repartition("node").sortWithinPartitions("node").select("node", "rep", "n", "s1", "s2", "part").mapInArrow(_cross_pairs(*test), "a long, b long").distinct()
+        pairs = work.table(crossing.join(first.select("a", "b"), ["a", "b"], "left_anti"), "pairs-2")
+        if pairs.isEmpty():
+            return sketches, linked
+        return sketches, linked.union(self.confirm(pairs, "confirmed-2").filter("linked").select("a", "b"))
+
+
+def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: float = 0.9995, small: int = 2048) -> DataFrame:
     """Per row of ``docs``: doc_id, n_shingles, component_id (smallest id reachable over links), kept.
 
     ``threshold`` is in hundredths: sets link if 100 * |both| >= threshold * |either|.
