@@ -2,22 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-
-def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``; only where it is unset, one of our own."""
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        found = spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="pathq-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
+from pathq.store import shared_root
 
 
 class Workspace:
@@ -37,6 +27,15 @@ class Workspace:
         df.write.parquet(where)
         return self.spark.read.schema(df.schema).parquet(where)
 
+    def finish(self, df: DataFrame) -> DataFrame:
+        """Write the result beside the folder, and remove the folder with all intermediate tables."""
+        where = f"{self.root}-result"
+        df.write.parquet(where)
+        jvm = self.spark.sparkContext._jvm
+        path = jvm.org.apache.hadoop.fs.Path(self.root)
+        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        return self.spark.read.schema(df.schema).parquet(where)
+
 
 def filesystem(uri: str):
     """(pyarrow file system, path) of a folder in the shared store; works on the driver and in Python workers."""
@@ -66,15 +65,16 @@ def ascii_lower(text: Column) -> Column:
 FILTER_BITS = 1 << 26
 
 
-def prefilter(df: DataFrame, ids: DataFrame, column: str) -> DataFrame:
-    """Rows of ``df`` whose ``column`` may be in ``ids``; an exact join has to follow.
+def prefilter(df: DataFrame, ids: DataFrame, column: str, out: bool = False) -> DataFrame:
+    """Rows of ``df`` whose ``column`` may be in ``ids``, to be followed by an exact join; with ``out`` the others, which surely are not.
 
     The ids set bits in a map of 2**26 bits (8 MB, whatever their number), which is broadcast, so that wide rows
-    that will not match are dropped before they are shuffled.
+    that will not match are not shuffled.
     """
     page = 32768
     spot = F.pmod(F.xxhash64(F.col(column)), F.lit(FILTER_BITS))
     bits = ids.select(spot.alias("s")).groupBy((F.col("s") / page).cast("int").alias("__page")).agg(F.bitmap_construct_agg((F.col("s") % page).cast("long")).alias("__bits"))
-    marked = df.withColumn("__spot", spot).withColumn("__page", (F.col("__spot") / page).cast("int")).join(F.broadcast(bits), "__page")
+    marked = df.withColumn("__spot", spot).withColumn("__page", (F.col("__spot") / page).cast("int")).join(F.broadcast(bits), "__page", "left")
     byte = "cast(conv(hex(substring(__bits, cast((__spot % 32768) div 8 as int) + 1, 1)), 16, 10) as int)"
-    return marked.filter(F.expr(f"(shiftright({byte}, cast(__spot % 8 as int)) & 1) = 1")).select(*df.columns)
+    there = F.coalesce(F.expr(f"(shiftright({byte}, cast(__spot % 8 as int)) & 1) = 1"), F.lit(False))
+    return marked.filter(~there if out else there).select(*df.columns)

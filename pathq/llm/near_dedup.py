@@ -5,10 +5,10 @@ The classes are branched recursively: a node of a tree picks, by its own hash, o
 positions, and its documents go to children by their minwise token there. Two sets of similarity s stay together
 with probability s per step, and on average 1.25 positions are picked, so that pairs at the threshold are not
 thinned out as they descend. Nodes that have become small are compared exhaustively; independent trees are
-repeated until the target recall is met for pairs at the threshold. Compared pairs pass a test of 128-bit sketches,
+repeated until the target recall is met for pairs at the threshold. Compared pairs pass a test of 512-bit sketches,
 which keeps 4.5 standard deviations, and are then confirmed on full sets read again from the texts. In all but tiny
-nodes this takes two passes: the most similar pairs that span the node first, then every pair whose ends are
-not in one component by then. So a group of copies is confirmed by about as many pairs as it has members.
+nodes this takes two passes: the most similar pairs that span the node first, then, within the node's task, all whose
+ends are not in one component by then. So a group of copies is confirmed by about as many pairs as it has members.
 
 Nodes that stay large after a few steps hold many mutually similar sets. There a pivot is compared with all
 members on full sets. Jaccard distance is a metric, so a member that is nearer to the pivot than
@@ -35,10 +35,12 @@ from pathq.llm.common import Workspace, prefilter
 from pathq.llm.graph import components
 from pathq.llm.shingles import document_sets, minhash, mix
 
-POSITIONS = 64
+POSITIONS = 64  # minwise values that branching picks from
+SKETCHED = 256  # minwise values of which a sketch keeps two bits
 SHALLOW = 3  # steps without pivots
+HEAVY = 4_000_000  # shingles that a task holds of one node
 TINY = 24  # nodes up to this size give all their pairs at once
-SKETCH_SCHEMA = "doc_id long, n_shingles long, f1 long, f2 long, s1 long, s2 long, sig binary"
+SKETCH_SCHEMA = "doc_id long, n_shingles long, f1 long, f2 long, sketch binary, sig binary"
 
 
 def _prints(h: np.ndarray) -> tuple[int, int]:
@@ -50,20 +52,18 @@ def _prints(h: np.ndarray) -> tuple[int, int]:
 
 def _sketches(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = np.uint64(1) << np.arange(POSITIONS, dtype=np.uint64)
         for batch in batches:
-            n, f1, f2, s1, s2, sig = [], [], [], [], [], []
+            n, f1, f2, sketch, sig = [], [], [], [], []
             for h in document_sets(batch["text"], k):
-                low = minhash(h, POSITIONS)
+                low = minhash(h, SKETCHED)
                 n.append(len(h))
                 both = _prints(h)
                 f1.append(both[0])
                 f2.append(both[1])
                 spread = mix(low.astype(np.uint64))
-                s1.append(int(bits[(spread & np.uint64(1)).astype(bool)].sum(dtype=np.uint64).view(np.int64)))
-                s2.append(int(bits[(spread & np.uint64(2)).astype(bool)].sum(dtype=np.uint64).view(np.int64)))
-                sig.append(low.tobytes())
-            yield pa.RecordBatch.from_arrays([batch["doc_id"].cast(pa.int64()), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array(s1, pa.int64()), pa.array(s2, pa.int64()), pa.array(sig, pa.binary())], names=["doc_id", "n_shingles", "f1", "f2", "s1", "s2", "sig"])
+                sketch.append(np.packbits(((spread[None, :] >> np.array([[0], [1]], np.uint64)) & np.uint64(1)).astype(bool), axis=None).tobytes())
+                sig.append(low[:POSITIONS].tobytes())
+            yield pa.RecordBatch.from_arrays([batch["doc_id"].cast(pa.int64()), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array(sketch, pa.binary()), pa.array(sig, pa.binary())], names=["doc_id", "n_shingles", "f1", "f2", "sketch", "sig"])
 
     return run
 
@@ -102,7 +102,8 @@ def _nodes(batches: Iterator[pa.RecordBatch], columns: tuple[str, ...]) -> Itera
         if not batch.num_rows:
             continue
         node = batch["node"].to_numpy()
-        data = [batch[c].to_numpy() for c in columns]
+        # a sketch becomes a row of 64-bit words
+        data = [np.frombuffer(b"".join(batch[c].to_pylist()), np.uint64).reshape(len(node), -1) if c == "sketch" else batch[c].to_numpy(zero_copy_only=False) for c in columns]
         edges = [0, *(np.flatnonzero(np.diff(node)) + 1).tolist(), len(node)]
         for lo, hi in zip(edges[:-1], edges[1:], strict=True):
             if node[lo] != last:
@@ -114,14 +115,17 @@ def _nodes(batches: Iterator[pa.RecordBatch], columns: tuple[str, ...]) -> Itera
         yield [np.concatenate(c) for c in zip(*held, strict=True)] if len(held) > 1 else held[0]
 
 
-def _gaps(n: np.ndarray, s1: np.ndarray, s2: np.ndarray, threshold: int, most: int) -> np.ndarray:
+def _gaps(n: np.ndarray, sketch: np.ndarray, threshold: int, most: int) -> np.ndarray:
     """Positions in which sketches differ, for all pairs of a node; 255 where sizes or sketches rule a link out."""
-    s1, s2 = s1.view(np.uint64), s2.view(np.uint64)  # of signed numbers, bits of the absolute value would count
-    gap = np.bitwise_count((s1[:, None] ^ s1[None, :]) | (s2[:, None] ^ s2[None, :])).astype(np.uint8)
+    gap = np.zeros((len(n), len(n)), np.int16)
+    half = sketch.shape[1] // 2
+    for w in range(half):
+        x, y = sketch[:, w], sketch[:, half + w]
+        gap += np.bitwise_count((x[:, None] ^ x[None, :]) | (y[:, None] ^ y[None, :]))
     small, big = np.minimum(n[:, None], n[None, :]), np.maximum(n[:, None], n[None, :])
     gap[(gap > most) | (small * 100 < big * threshold)] = 255
     np.fill_diagonal(gap, 255)
-    return gap
+    return gap.astype(np.uint8)
 
 
 def _spanning(gap: np.ndarray) -> tuple[list[int], list[int]]:
@@ -154,8 +158,8 @@ def _near_pairs(threshold: int, most: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found, n_found = [], 0
-        for rep, n, s1, s2 in _nodes(batches, ("rep", "n", "s1", "s2")):
-            gap = _gaps(n, s1, s2, threshold, most)
+        for rep, n, sketch in _nodes(batches, ("rep", "n", "sketch")):
+            gap = _gaps(n, sketch, threshold, most)
             p, q = np.nonzero(np.triu(gap < 255)) if len(rep) <= TINY else _spanning(gap)
             if len(p):
                 found.append((rep[p], rep[q]))
@@ -169,17 +173,53 @@ def _near_pairs(threshold: int, most: int):
     return run
 
 
-def _cross_pairs(threshold: int, most: int):
-    """Second pass: likely pairs whose ends lie in different components so far."""
+def _cross_members(threshold: int, most: int):
+    """Second pass: members with a likely partner in another component; what is in one component is settled."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for rep, n, s1, s2, part in _nodes(batches, ("rep", "n", "s1", "s2", "part")):
+        for node, rep, n, sketch, part in _nodes(batches, ("node", "rep", "n", "sketch", "part")):
             if (part == part[0]).all():
                 continue
-            gap = _gaps(n, s1, s2, threshold, most)
-            p, q = np.nonzero(np.triu((gap < 255) & (part[:, None] != part[None, :])))
-            if len(p):
-                yield _pair_batch([(rep[p], rep[q])])
+            gap = _gaps(n, sketch, threshold, most)
+            open_ = ((gap < 255) & (part[:, None] != part[None, :])).any(axis=1)
+            if open_.any():
+                yield pa.RecordBatch.from_arrays([pa.array(c[open_]) for c in (node, rep, part)], names=["node", "rep", "part"])
+
+    return run
+
+
+def _cross_links(threshold: int):
+    """Links across components among a node's members, from full sets: one for each two components that touch.
+
+    An index from shingles to members counts a member's overlaps with all others at once.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rep, part, packed in _nodes(batches, ("rep", "part", "set")):
+            sets = [np.frombuffer(x, np.uint64) for x in packed]
+            sizes = np.array([len(x) for x in sets])
+            owner = np.repeat(np.arange(len(sets)), sizes)
+            _, token = np.unique(np.concatenate(sets), return_inverse=True)
+            members = owner[np.argsort(token, kind="stable")]
+            n_of = np.bincount(token)
+            starts = np.concatenate(([0], np.cumsum(n_of)))
+            at = np.concatenate(([0], np.cumsum(sizes)))
+            a, b = [], []
+            for i in range(len(sets)):
+                own = token[at[i] : at[i + 1]]
+                own = own[n_of[own] > 1]
+                n = n_of[own]
+                if not len(own):
+                    continue
+                spots = np.repeat(starts[own] - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum())
+                both = np.bincount(members[spots], minlength=len(sets))
+                hit = np.flatnonzero((100 * both >= threshold * (sizes[i] + sizes - both)) & (part != part[i]))
+                if len(hit):
+                    hit = hit[np.unique(part[hit], return_index=True)[1]]
+                    a.append(np.full(len(hit), rep[i]))
+                    b.append(rep[hit])
+            if a:
+                yield _pair_batch([(np.concatenate(a), np.concatenate(b))])
 
     return run
 
@@ -194,22 +234,22 @@ class Join:
         step = 0.75 * s + 0.25 * (1 - (1 - s) ** 2)  # a pair at the threshold shares a child with this probability
         self.trees = max(2, math.ceil(math.log(1 - recall) / math.log(1 - step**SHALLOW)))
         off = (1 - s) * 0.75  # two bits agree by chance once in four
-        self.most_bits = math.ceil(POSITIONS * off + 4.5 * math.sqrt(POSITIONS * off * (1 - off)))
+        self.most_bits = min(254, math.ceil(SKETCHED * off + 4.5 * math.sqrt(SKETCHED * off * (1 - off))))
 
     def branch(self, rows: DataFrame, to: list | None = None) -> DataFrame:
-        """(node, rep, n, s1, s2, sig) -> children, without sig. A node's picks depend on its own hash alone."""
+        """(node, rep, n, sketch, sig) -> children, without sig. A node's picks depend on its own hash alone."""
         picks = lambda node: F.when(
             F.pmod(F.xxhash64(node, F.lit(5)), F.lit(4)) == 0,
             F.array(F.pmod(F.xxhash64(node, F.lit(1)), F.lit(POSITIONS)), F.pmod(F.xxhash64(node, F.lit(2)), F.lit(POSITIONS))),
         ).otherwise(F.array(F.pmod(F.xxhash64(node, F.lit(1)), F.lit(POSITIONS))))
         picked = rows.withColumn("pick", F.explode(F.array_distinct(picks(F.col("node")))))
         token = F.substring(F.col("sig"), (F.col("pick") * 4 + 1).cast("int"), F.lit(4))
-        return picked.select(F.xxhash64("node", "pick", token).alias("node"), "rep", "n", "s1", "s2")
+        return picked.select(F.xxhash64("node", "pick", token).alias("node"), "rep", "n", "sketch")
 
     def sets_of(self, reps: DataFrame, name: str) -> DataFrame:
         """(rep, set) of some classes, read again from a text of each. ``reps``: distinct column ``rep``."""
         wanted = self.work.table(self.signed.select("rep", "doc_id").join(reps, "rep", "left_semi"), f"{name}-wanted")
-        texts = prefilter(self.docs, wanted, "doc_id").join(wanted.select("doc_id").distinct(), "doc_id", "left_semi")
+        texts = prefilter(self.docs, wanted, "doc_id").join(wanted.select("doc_id").distinct(), "doc_id")  # a semi join would be pushed below the filter
         found = texts.mapInArrow(_sets(self.k), "f1 long, f2 long, set binary").withColumn("rep", F.xxhash64("f1", "f2"))
         # rows may repeat, and rows of one id may differ in text: a class needs one set
         return self.work.table(found.join(wanted.select("rep"), "rep", "left_semi").groupBy("rep").agg(F.first("set").alias("set")), name)
@@ -221,9 +261,11 @@ class Join:
 
     def settle(self, rows: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
         """(rows of small nodes, rows of large nodes), with their node's size. Nodes of one document end here."""
-        counts = self.work.table(rows.groupBy("node").agg(F.count(F.lit(1)).alias("size")).filter("size > 1"), f"{name}-counts")
+        sizes = rows.groupBy("node").agg(F.count(F.lit(1)).alias("size"), F.sum("n").alias("weight"))
+        fits = (F.col("size") <= self.small) & ((F.col("weight") <= HEAVY) | (F.col("size") <= 2))
+        counts = self.work.table(sizes.filter("size > 1").select("node", "size", fits.alias("fits")), f"{name}-counts")
         sized = self.work.table(rows.join(counts, "node"), f"{name}-sized")
-        return sized.filter(F.col("size") <= self.small), sized.filter(F.col("size") > self.small).drop("size")
+        return sized.filter("fits").drop("fits"), sized.filter("not fits").drop("fits", "size")
 
     def confirm(self, pairs: DataFrame, name: str) -> DataFrame:
         """(a, b, linked) of distinct pairs, on full sets."""
@@ -241,18 +283,18 @@ class Join:
         linked = F.col("both") * 100 >= F.col("either") * self.threshold
         measured = starred.join(star.select(F.col("a").alias("rep"), F.col("b").alias("pivot"), "both", "either"), ["rep", "pivot"])
         distance = 1 - F.col("both") / F.col("either")
-        measured = self.work.table(measured.select("node", "rep", "n", "s1", "s2", linked.alias("linked"), distance.alias("d")), f"measured-{i}")
+        measured = self.work.table(measured.select("node", "rep", "n", "sketch", linked.alias("linked"), distance.alias("d")), f"measured-{i}")
         shell = self.work.table(measured.filter("not linked").groupBy("node").agg(F.min("d").alias("d_min")), f"shell-{i}")
         reach = F.col("d_min") - (1 - self.threshold / 100) - 1e-9
         stay = measured.join(shell, "node").filter(~F.col("linked") | (F.col("d") >= reach))
-        return star.filter(linked).select("a", "b"), stay.select("node", "rep", "n", "s1", "s2")
+        return star.filter(linked).select("a", "b"), stay.select("node", "rep", "n", "sketch")
 
     def run(self) -> tuple[DataFrame, DataFrame]:
         """(sketches of all documents, links that connect all linked classes). ``signed`` then holds the classes."""
         work = self.work
         sketches = work.table(self.docs.mapInArrow(_sketches(self.k), SKETCH_SCHEMA).withColumn("rep", F.xxhash64("f1", "f2")), "sketches")
         filled = sketches.filter("n_shingles > 0 and doc_id is not null")
-        one = filled.groupBy("rep", F.col("n_shingles").alias("n")).agg(F.min("doc_id").alias("doc_id"), F.first("s1").alias("s1"), F.first("s2").alias("s2"), F.first("sig").alias("sig"))
+        one = filled.groupBy("rep", F.col("n_shingles").alias("n")).agg(F.min("doc_id").alias("doc_id"), F.first("sketch").alias("sketch"), F.first("sig").alias("sig"))
         signed = self.signed = work.table(one, "classes")
         roots = F.explode(F.array(*[F.lit(1_000_003 * (j + 1)).cast("long") for j in range(self.trees)]))
         small, large = self.settle(self.branch(signed.withColumn("node", roots)), "step-1")
@@ -272,7 +314,7 @@ class Join:
             small = small.union(more)
         test = (self.threshold, self.most_bits)
         by_node = small.repartition("node").sortWithinPartitions("node")
-        pairs = work.table(by_node.select("node", "rep", "n", "s1", "s2").mapInArrow(_near_pairs(*test), "a long, b long").distinct(), "pairs-1")
+        pairs = work.table(by_node.select("node", "rep", "n", "sketch").mapInArrow(_near_pairs(*test), "a long, b long").distinct(), "pairs-1")
         first = self.confirm(pairs, "confirmed-1")
         linked = first.filter("linked").select("a", "b")
         for found in links:
@@ -280,11 +322,14 @@ class Join:
         linked = work.table(linked, "links-1")
         part = components(linked, work).select(F.col("id").alias("rep"), F.col("component").alias("part"))
         middle = small.filter(F.col("size") > TINY).join(part, "rep", "left").withColumn("part", F.coalesce("part", "rep"))
-        crossing = middle.repartition("node").sortWithinPartitions("node").select("node", "rep", "n", "s1", "s2", "part").mapInArrow(_cross_pairs(*test), "a long, b long").distinct()
-        pairs = work.table(crossing.join(first.select("a", "b"), ["a", "b"], "left_anti"), "pairs-2")
-        if pairs.isEmpty():
+        sorted_ = lambda df: df.repartition("node").sortWithinPartitions("node")
+        open_ = sorted_(middle).select("node", "rep", "n", "sketch", "part").mapInArrow(_cross_members(*test), "node long, rep long, part long")
+        open_ = work.table(open_, "open")
+        if open_.isEmpty():
             return sketches, linked
-        return sketches, linked.union(self.confirm(pairs, "confirmed-2").filter("linked").select("a", "b"))
+        sets = self.sets_of(open_.select("rep").distinct(), "open-sets")
+        crossing = sorted_(open_.join(sets, "rep")).select("node", "rep", "part", "set").mapInArrow(_cross_links(self.threshold), "a long, b long")
+        return sketches, linked.union(work.table(crossing.distinct(), "links-2"))
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: float = 0.9995, small: int = 2048) -> DataFrame:
@@ -303,7 +348,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: fl
     smallest = join.work.table(ids.join(named, "rep", "left").select("rep", F.coalesce("smallest", "doc_id").alias("smallest")), "smallest")
     rows = sketches.select("doc_id", "n_shingles", "rep").join(smallest, "rep", "left")
     component = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("smallest")).otherwise(F.col("doc_id"))
-    return rows.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(False)).alias("kept"))
+    return join.work.finish(rows.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(False)).alias("kept")))
 
 
 def op10_near_dedup(spark, sf_dir: str) -> DataFrame:

@@ -177,7 +177,7 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20, recall: float = 0
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     found = work.table(found, "found")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return work.finish(found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score"))
 
 
 def _indexed(work: Workspace, rows: DataFrame, is_query: Column, n: int, k: int, recall: float, max_train: int, block: int, group: int, rerank: int) -> DataFrame:

@@ -125,11 +125,11 @@ def document_sets(column: pa.Array, k: int) -> Iterator[np.ndarray]:
 def minhash(h: np.ndarray, t: int) -> np.ndarray:
     """t minwise values of 32 bits of a set of hashes."""
     a, b = minhash_parameters(t)
-    out = np.full(t, 0xFFFFFFFF, dtype=np.uint64)
-    for at in range(0, len(h), 4096):
-        part = (h[at : at + 4096, None] * a + b) >> np.uint64(32)
-        np.minimum(out, part.min(axis=0), out=out)
-    return out.astype(np.uint32)
+    out = np.full(t, 0xFFFFFFFF, dtype=np.uint32)
+    short = ((h >> np.uint64(32)) ^ h).astype(np.uint32)
+    for at in range(0, len(short), 512):
+        np.minimum(out, (short[at : at + 512, None] * a + b).min(axis=0), out=out)
+    return out
 
 
 _PARAMETERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -138,5 +138,5 @@ _PARAMETERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 def minhash_parameters(t: int) -> tuple[np.ndarray, np.ndarray]:
     if t not in _PARAMETERS:
         rng = np.random.default_rng(977)
-        _PARAMETERS[t] = (rng.integers(0, 2**63, t, dtype=np.uint64) * np.uint64(2) + np.uint64(1), rng.integers(0, 2**63, t, dtype=np.uint64))
+        _PARAMETERS[t] = (rng.integers(0, 2**31, t, dtype=np.uint32) * np.uint32(2) + np.uint32(1), rng.integers(0, 2**32, t, dtype=np.uint32))
     return _PARAMETERS[t]

@@ -201,7 +201,7 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.9, recall: float = 0.9
     keyed = rows.select("vec_id", F.when(live, print_).alias("h"), F.when(live, F.size("embedding")).alias("dim"))
     joined = keyed.join(classes, (F.col("h") == F.col("__h")) & (F.col("dim") == F.col("__dim")), "left")
     component = F.coalesce("component", "vec_id")
-    return joined.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
+    return work.finish(joined.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept")))
 
 
 def op9_near_vectors(spark, sf_dir: str) -> DataFrame:
