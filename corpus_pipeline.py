@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathq.llm.common import Workspace
+from pathq.llm.common import Workspace, prefilter
 from pathq.llm.language import UNKNOWN, fit, identify
 from pathq.llm.mixing import ADDED, mix
 from pathq.llm.near_dedup import near_duplicates
@@ -28,14 +28,17 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of each group of near duplicates, the one with the smallest id; rows without an id stay."""
     work = Workspace(spark, "pipeline-dedup")
-    verdict = work.table(near_duplicates(docs.select("doc_id", "text")).filter("doc_id is not null").groupBy("doc_id").agg(F.max("kept").alias("kept"), F.max("n_shingles").alias("n"), F.count(F.lit(1)).alias("rows")), "verdict")
+    verdict = near_duplicates(docs.select("doc_id", "text")).filter("doc_id is not null").groupBy("doc_id")
+    verdict = work.table(verdict.agg(F.max("kept").alias("kept"), F.max("n_shingles").alias("n"), F.count(F.lit(1)).alias("rows")), "verdict")
     gone = verdict.filter("not kept and n > 0").select("doc_id")
-    left = docs.join(gone, "doc_id", "left_anti")
-    repeated = verdict.filter("rows > 1").select("doc_id")
-    if not repeated.isEmpty():  # rows that repeat are copies too
+    repeated = verdict.filter("rows > 1").select("doc_id")  # rows that repeat are copies too
+    touched = gone.union(repeated)
+    # texts of rows that are surely untouched are not shuffled
+    left = prefilter(docs, touched, "doc_id").join(gone, "doc_id", "left_anti")
+    if not repeated.isEmpty():
         once = left.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id"])
         left = left.join(repeated, "doc_id", "left_anti").unionByName(once)
-    return left.select(*docs.columns)
+    return prefilter(docs, touched, "doc_id", out=True).unionByName(left.select(*docs.columns))
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
