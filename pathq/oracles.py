@@ -283,4 +283,13 @@ k AS (SELECT *, (2 * odd + 2 * even)::BIGINT AS n_edges, floor(sqrt(2 * odd + 2
 SELECT n_edges, cap, (even * least(cap, even))::BIGINT AS reach_rows, CASE WHEN even >= cap THEN even ELSE 0 END::BIGINT AS n_heavy, 0::BIGINT AS heavy_sources, true AS within_bound, (odd * (odd + 1))::BIGINT AS search_inspections FROM k""",
     "one_path_cost": "SELECT count(*) AS n, 0::BIGINT AS inspect_reach, 0::BIGINT AS reach_rows, 0::BIGINT AS inspect_backward, (count(*) * (count(*) - 1) // 2)::BIGINT AS inspect_forward FROM events",
     "partchain_giant": f"SELECT count(*) AS out FROM ({answers(partchain(36), 'R N* A')})",
+    "stream_incremental_closure": _delta(CLOSED) + " SELECT src, dst FROM t",
+    "stream_window_tumbling": "SELECT (epoch_us(ts) // 3600000000 * 3600)::BIGINT AS start, event_type AS label, count(*) AS n FROM events GROUP BY ALL",
+    "stream_window_sliding": "SELECT (epoch_us(ts) // 1800000000 * 1800 - 1800 * k)::BIGINT AS start, event_type AS label, count(*) AS n FROM events, (VALUES (0), (1)) s(k) GROUP BY ALL",
+    "stream_session_paths": """WITH o AS (SELECT user_id, ts, event_type, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS opens FROM events),
+s AS (SELECT *, sum(opens) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM o)
+SELECT user_id, (epoch_us(min(ts)) // 1000000)::BIGINT AS start, count(*) AS n_events, count(*) FILTER (event_type = 'purchase') AS n_purchases FROM s GROUP BY user_id, k""",
+    "stream_user_automaton": f"WITH f AS ({answers(FLOW, 'view (view|click)*')}), o AS (SELECT event_id, user_id, event_type, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events) SELECT o.user_id, count(DISTINCT CASE WHEN o.event_type = 'purchase' AND f.dst IS NOT NULL THEN o.event_id END) AS matched FROM o LEFT JOIN f ON f.dst = o.event_id GROUP BY o.user_id",
+    "sql_path_query": answers(TURNS, "user (assistant user)*", CHAT_VERTICES),
+    "sql_path_matches": "SELECT conv_id, regexp_full_match(string_agg(role, ' ' ORDER BY turn), '(user assistant ?)+') AS matched FROM conversations GROUP BY conv_id",
 }

@@ -8,7 +8,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from pathq.functions import bounds
+from pathq.functions import bounds, sqlapi
 from pathq.operators import kernels, matrix
 from pathq.operators.capped_split import default_cap, evaluate_capped_split, heavy_sources, heavy_walk, light_answers
 from pathq.operators.closure import delta_sizes, transitive_closure
@@ -23,6 +23,7 @@ from pathq.plans.planner import canonical_of, evaluate, evaluate_many, evaluate_
 from pathq.sources.builders import from_foreign_keys, from_links, from_sequence, nearest_by_cosine, occurrences, typed
 from pathq.sources.graph import PathGraph
 from pathq.store import Store
+from pathq.streaming import incremental
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -605,6 +606,45 @@ def partchain_giant(spark, d):
     return evaluate(partchain(spark, d, 36), "R N* A", "kernel").agg(F.count(F.lit(1)).alias("out"))
 
 
+def stream_incremental_closure(spark, d):
+    """The closure of the sparse urgent hand-offs, fed in four batches."""
+    e = handoff(spark, d, 400_000).edges.filter(F.col("label") == "1-URGENT").select("src", "dst").distinct()
+    e = Store(spark, "batches").table(e, "edges")
+    grow = incremental.IncrementalClosure(spark)
+    for i in range(4):
+        grow.add(e.filter(F.pmod(F.xxhash64("src", "dst"), F.lit(4)) == i), i)
+    return grow.pairs
+
+
+def stream_window_graphs(spark, d, slide: str | None = None):
+    w = incremental.window_edges(incremental.replay(spark, d), "1 hour", slide)
+    return incremental.drain(w, "windows", "update", ("start", "label"))
+
+
+def stream_session_paths(spark, d):
+    return incremental.drain(incremental.session_paths(incremental.replay(spark, d)), "sessions", "complete")
+
+
+def stream_user_automaton(spark, d):
+    e = incremental.replay(spark, d).select("user_id", "ts", "event_id", "event_type")
+    return incremental.drain(incremental.step_automaton(e, "view (view|click)* purchase"), "stepping", "update", ("user_id",))
+
+
+def sql_path_query(spark, d):
+    """The table function, one conversation a partition."""
+    sqlapi.register(spark)
+    turns(spark, d).edges.withColumn("conv", F.floor(F.col("src") / 1000)).createOrReplaceTempView("pathq_turns")
+    return spark.sql("SELECT src, dst FROM path_query(TABLE(pathq_turns) PARTITION BY (conv), 'user (assistant user)*')")
+
+
+def sql_path_matches(spark, d):
+    """Conversations by whether their sequence of roles matches an expression."""
+    sqlapi.register(spark)
+    roles = F.transform(F.array_sort(F.collect_list(F.struct("turn", "role"))), lambda x: x["role"])
+    _t(spark, d, "conversations").groupBy("conv_id").agg(roles.alias("roles")).createOrReplaceTempView("pathq_roles")
+    return spark.sql("SELECT conv_id, path_matches(roles, '(user assistant)+') AS matched FROM pathq_roles")
+
+
 QUERIES: dict[str, Query] = {name: partial(run_workload, name) for name in WORKLOADS} | {
     "automaton_transitions": automaton_transitions,
     "word_expansion": word_expansion,
@@ -688,4 +728,11 @@ QUERIES: dict[str, Query] = {name: partial(run_workload, name) for name in WORKL
     "two_rings_cost": two_rings_cost,
     "one_path_cost": one_path_cost,
     "partchain_giant": partchain_giant,
+    "stream_incremental_closure": stream_incremental_closure,
+    "stream_window_tumbling": stream_window_graphs,
+    "stream_window_sliding": partial(stream_window_graphs, slide="30 minutes"),
+    "stream_session_paths": stream_session_paths,
+    "stream_user_automaton": stream_user_automaton,
+    "sql_path_query": sql_path_query,
+    "sql_path_matches": sql_path_matches,
 }
