@@ -44,38 +44,59 @@ _ODD = re.compile(r"\s\s|^ | $|\s \S|[\x1c-\x1f\x85᠎​﻿]")
 
 
 class Tokens:
-    """Ids of whole texts, the library's own, through a memo of at most ``most`` pieces."""
+    """Ids of whole texts, the library's own, through a memo of at most ``most`` pieces.
 
-    def __init__(self, path: str, most: int = 400_000):
+    Pieces that are new to a batch of texts are encoded in one run. In it every piece but the first begins with the only
+    token that begins with a space, which is how the run's ids are dealt back to the pieces.
+    """
+
+    def __init__(self, path: str, most: int = 600_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.vocabulary = self.tokenizer.get_vocab_size()
+        self.spaced = np.zeros(self.vocabulary, bool)
+        for token, i in self.tokenizer.get_vocab().items():
+            self.spaced[i] = token.startswith("\u0120")  # how byte-level vocabularies write a space
         self.memo: dict[str, bytes] = {}
         self.most = most
 
-    def _encode(self, pieces: list[str]) -> list[bytes]:
-        return [np.array(e.ids, np.uint32).tobytes() for e in self.tokenizer.encode_batch(pieces, add_special_tokens=False)]
+    def _run(self, text: str) -> np.ndarray:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32)
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Encode new pieces: those with one space, at their front, in runs; others alone."""
+        plain = [x for x in pieces if x.startswith(" ") and x.count(" ") == 1 and len(x) > 1 and not x[1].isspace() and not x[-1].isspace()]
+        for at in range(0, len(plain), 2000):
+            part = plain[at : at + 2000]
+            ids = self._run("".join(part))
+            starts = np.flatnonzero(self.spaced[ids])
+            if len(starts) == len(part) and starts[0] == 0:
+                data, cuts = ids.tobytes(), [*(starts * 4).tolist(), 4 * len(ids)]
+                self.memo.update(zip(part, (data[i:j] for i, j in zip(cuts[:-1], cuts[1:], strict=True)), strict=True))
+        for x in pieces:
+            if x not in self.memo:
+                self.memo[x] = self._run(x).tobytes()
+
+    def batch(self, texts: list[str | None]) -> list[np.ndarray]:
+        cut, new = [], set()
+        if len(self.memo) > self.most:
+            self.memo = {}
+        memo = self.memo
+        for text in texts:
+            pieces: list[str] = []
+            if text:
+                pieces = _APART.split(text) if _ODD.search(text) else text.split(" ")
+                pieces[1:] = [" " + x for x in pieces[1:]]
+                new.update([x for x in pieces if x not in memo])
+            cut.append(pieces)
+        if new:
+            self._learn(sorted(new))
+        return [np.frombuffer(b"".join([memo[x] for x in pieces]), np.uint32) for pieces in cut]
 
     def ids(self, text: str | None) -> np.ndarray:
-        if not text:
-            return np.empty(0, np.uint32)
-        if _ODD.search(text):
-            pieces = _APART.split(text)
-        else:
-            pieces = text.split(" ")
-        pieces[1:] = [" " + x for x in pieces[1:]]
-        memo = self.memo
-        fresh = {x for x in pieces if x not in memo}
-        if fresh:
-            new = list(fresh)
-            coded = dict(zip(new, self._encode(new), strict=True))
-            if len(memo) + len(coded) <= self.most:
-                memo.update(coded)
-                return np.frombuffer(b"".join([memo[x] for x in pieces]), np.uint32)
-            return np.frombuffer(b"".join([coded[x] if x in coded else memo[x] for x in pieces]), np.uint32)
-        return np.frombuffer(b"".join([memo[x] for x in pieces]), np.uint32)
+        return self.batch([text])[0]
 
 
 _TOKENS: dict[str, Tokens] = {}
@@ -176,6 +197,20 @@ def read_file(data, lanes: int = 2048) -> Iterator[tuple[int, np.ndarray]]:
 NULL_ID = -(1 << 63)  # stands for a null document id in a file
 
 
+def _encoded(batches: Iterator[pa.RecordBatch], own: Tokens, most_bytes: int = 1 << 21) -> Iterator[tuple[int, int | None, np.ndarray]]:
+    """(range, doc_id, ids) of rows in order; texts go to the tokenizer in groups of about ``most_bytes``."""
+    for batch in batches:
+        at = 0
+        while at < batch.num_rows:
+            to, size = at, 0
+            while to < batch.num_rows and (to == at or size < most_bytes):
+                size += len(batch["text"][to].as_py() or "")
+                to += 1
+            part = batch.slice(at, to - at)
+            yield from zip(part["range"].to_pylist(), part["doc_id"].to_pylist(), own.batch(part["text"].to_pylist()), strict=True)
+            at = to
+
+
 def _write(folder: str, path: str, end_id: int, block: int, lanes: int, file_ids: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, base = filesystem(folder)
@@ -187,17 +222,14 @@ def _write(folder: str, path: str, end_id: int, block: int, lanes: int, file_ids
             out.close()
             done.append((current, name, len(out.docs), out.n_ids, out.n_bytes))
 
-        for batch in batches:
-            for rng, doc_id, text in zip(batch["range"], batch["doc_id"], batch["text"], strict=True):
-                r = rng.as_py()
-                if out is not None and (r != current or out.n_ids >= file_ids):
-                    close()
-                    out = None
-                if out is None:
-                    current, name = r, f"{base}/ids-{r:08d}-{len(done):05d}-{uuid.uuid4().hex}.bin"
-                    out = FileWriter(fs.open_output_stream(name), own.vocabulary, block, lanes)
-                who = doc_id.as_py()
-                out.add(NULL_ID if who is None else who, np.concatenate((own.ids(text.as_py()), end)))
+        for r, doc_id, ids in _encoded(batches, own):
+            if out is not None and (r != current or out.n_ids >= file_ids):
+                close()
+                out = None
+            if out is None:
+                current, name = r, f"{base}/ids-{r:08d}-{len(done):05d}-{uuid.uuid4().hex}.bin"
+                out = FileWriter(fs.open_output_stream(name), own.vocabulary, block, lanes)
+            out.add(NULL_ID if doc_id is None else doc_id, np.concatenate((ids, end)))
         if out is not None:
             close()
         if done:
