@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, Observation, SparkSession
@@ -29,6 +31,24 @@ def observed(o: Observation) -> int:
         raise
 
 
+EXCLUDED = "spark.sql.adaptive.optimizer.excludedRules"
+DROPS_EMPTY = "org.apache.spark.sql.execution.adaptive.AQEPropagateEmptyRelation"
+
+
+@contextmanager
+def whole_plans(spark: SparkSession) -> Iterator[None]:
+    """Within it, adaptive execution keeps stages whose result turned out empty, and with them what they observed."""
+    before = spark.conf.get(EXCLUDED, None)
+    spark.conf.set(EXCLUDED, f"{before},{DROPS_EMPTY}" if before else DROPS_EMPTY)
+    try:
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(EXCLUDED)
+        else:
+            spark.conf.set(EXCLUDED, before)
+
+
 class Store:
     """A fresh folder for the relations of one evaluation. Reading a table back starts a new, short plan."""
 
@@ -42,5 +62,6 @@ class Store:
         """(the table, its number of rows), in one action."""
         self._n += 1
         where, seen = f"{self.root}/{self._n:04d}-{name}", Observation()
-        df.observe(seen, F.count(F.lit(1)).alias("n")).write.parquet(where)
+        with whole_plans(self.spark):
+            df.observe(seen, F.count(F.lit(1)).alias("n")).write.parquet(where)
         return self.spark.read.schema(df.schema).parquet(where), observed(seen)
