@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -10,6 +12,18 @@ from pyspark.sql import functions as F
 from pathq.store import shared_root
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = 1000) -> Iterator[None]:
+    """Within it, Python workers get at most ``rows`` rows at a time: texts are long, and batches are held twice."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(min(rows, int(before)) if int(before) > 0 else rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 class Workspace:
     """A fresh folder below the shared one, for the intermediate tables and files of one run."""
 
@@ -24,7 +38,8 @@ class Workspace:
     def table(self, df: DataFrame, name: str) -> DataFrame:
         """Write ``df`` and read it back: later plans start from files that survive a lost executor."""
         where = self.path(name)
-        df.write.parquet(where)
+        with small_batches(self.spark):
+            df.write.parquet(where)
         return self.spark.read.schema(df.schema).parquet(where)
 
     def finish(self, df: DataFrame) -> DataFrame:

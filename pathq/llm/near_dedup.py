@@ -38,7 +38,7 @@ from pathq.llm.shingles import document_sets, minhash, mix
 POSITIONS = 64  # minwise values that branching picks from
 SKETCHED = 256  # minwise values of which a sketch keeps two bits
 SHALLOW = 3  # steps without pivots
-HEAVY = 4_000_000  # shingles that a task holds of one node
+HEAVY = 1_000_000  # shingles that a task holds of one node
 TINY = 24  # nodes up to this size give all their pairs at once
 SKETCH_SCHEMA = "doc_id long, n_shingles long, f1 long, f2 long, sketch binary, sig binary"
 
@@ -117,15 +117,19 @@ def _nodes(batches: Iterator[pa.RecordBatch], columns: tuple[str, ...]) -> Itera
 
 def _gaps(n: np.ndarray, sketch: np.ndarray, threshold: int, most: int) -> np.ndarray:
     """Positions in which sketches differ, for all pairs of a node; 255 where sizes or sketches rule a link out."""
-    gap = np.zeros((len(n), len(n)), np.int16)
+    m = len(n)
+    gap = np.empty((m, m), np.uint8)
     half = sketch.shape[1] // 2
-    for w in range(half):
-        x, y = sketch[:, w], sketch[:, half + w]
-        gap += np.bitwise_count((x[:, None] ^ x[None, :]) | (y[:, None] ^ y[None, :]))
-    small, big = np.minimum(n[:, None], n[None, :]), np.maximum(n[:, None], n[None, :])
-    gap[(gap > most) | (small * 100 < big * threshold)] = 255
+    for at in range(0, m, 128):  # in strips, so that no matrix of wide numbers is held
+        part = sketch[at : at + 128]
+        own = np.zeros((len(part), m), np.int16)
+        for w in range(half):
+            own += np.bitwise_count((part[:, w, None] ^ sketch[None, :, w]) | (part[:, half + w, None] ^ sketch[None, :, half + w]))
+        a, b = n[at : at + 128, None], n[None, :]
+        own[(own > most) | (np.minimum(a, b) * 100 < np.maximum(a, b) * threshold)] = 255
+        gap[at : at + 128] = own
     np.fill_diagonal(gap, 255)
-    return gap.astype(np.uint8)
+    return gap
 
 
 def _spanning(gap: np.ndarray) -> tuple[list[int], list[int]]:
@@ -332,7 +336,7 @@ class Join:
         return sketches, linked.union(work.table(crossing.distinct(), "links-2"))
 
 
-def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: float = 0.9995, small: int = 2048) -> DataFrame:
+def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: float = 0.9995, small: int = 1024) -> DataFrame:
     """Per row of ``docs``: doc_id, n_shingles, component_id (smallest id reachable over links), kept.
 
     ``threshold`` is in hundredths: sets link if 100 * |both| >= threshold * |either|.
