@@ -13,6 +13,8 @@ from pathq.operators.search import arrivals, walk, with_identity
 from pathq.store import Store
 
 Cap = int | str | None
+#: Where the adaptive cap starts: lists of this size cost little more than none, and a smaller start only adds rounds.
+FIRST_CAP = 16
 
 
 def default_cap(n_edges: int) -> int:
@@ -52,14 +54,14 @@ def heavy_walk(starts: DataFrame, middle: DataFrame, heavy: DataFrame, store: St
 def evaluate_capped_split(canon: Canonical, store: Store, cap: Cap = "sqrt", prune: bool = False, shortcut: bool = False, layout: str = "rows") -> tuple[DataFrame, dict[str, int]]:
     """Distinct (src, dst) and counters.
 
-    ``cap``: "sqrt" for the integer root of the edge count plus one, "adaptive" for 1, 4, 16, ... until heavy sources are no
+    ``cap``: "sqrt" for the integer root of the edge count plus one, "adaptive" for 16, 64, 256, ... until heavy sources are no
     more than the cap, a number, or None for complete lists. The answer does not depend on it.
     """
     middle = store.table(canon.middle, "middle")
     starts, ends = store.table(canon.starts.distinct(), "starts"), store.table(canon.ends.distinct(), "ends")
     canon = Canonical(starts, middle, ends, canon.identity, canon.n_states)
     told: dict[str, int] = {"canonical_edges": canon.n_edges(), "inspect_reach": 0, "rounds": 0}
-    size = default_cap(told["canonical_edges"]) if cap == "sqrt" else 1 if cap == "adaptive" else cap
+    size = default_cap(told["canonical_edges"]) if cap == "sqrt" else FIRST_CAP if cap == "adaptive" else cap
     while True:
         reach, log = capped_reach(canon, size, store) if layout == "rows" or size is None else array_reach(canon, size, store)
         reach = store.table(reach, "lists")

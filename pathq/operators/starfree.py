@@ -7,7 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pathq.operators.capped_split import evaluate_capped_split
+from pathq.operators.capped_split import FIRST_CAP, evaluate_capped_split
 from pathq.operators.fixpoint import union_of
 from pathq.operators.product import to_canonical
 from pathq.plans.automaton import compile_path, resolve
@@ -55,7 +55,7 @@ def path_join(parts: Sequence[DataFrame], store: Store, cap: int | str = "adapti
     told = {"inspect_reach": 0, "inspect_trail": 0, "heavy_sources": 0, "cap": 0}
     if len(parts) == 1:
         return parts[0].select(F.col("p").alias("src"), F.col("q").alias("dst")).distinct(), told
-    size = 1 if cap == "adaptive" else cap
+    size = FIRST_CAP if cap == "adaptive" else cap
     while True:
         lists: list[DataFrame] = []
         following = parts[-1].select(F.col("p").alias("x"), F.col("q").alias("y"))

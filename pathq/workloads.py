@@ -145,9 +145,9 @@ WORKLOADS: dict[str, tuple[Callable, str, str]] = {
     "order_suppliers": (commerce, "contains from", "auto"),
     "either_region": (commerce, "(lives|placed contains from based) in", "auto"),
     "co_linked_pages": (links, "links ^links", "auto"),
-    "urgent_closure": (partial(handoff, above=300_000), "1-URGENT+", "closure"),
+    "urgent_closure": (partial(handoff, above=300_000), "1-URGENT+", "auto"),
     "urgent_walk_closure": (urgent_walk, "x+", "auto"),
-    "star_reflexive": (partial(handoff, above=300_000), "1-URGENT*", "closure"),
+    "star_reflexive": (partial(handoff, above=300_000), "1-URGENT*", "auto"),
     "near_same_walk": (near, "same same* cross", "auto"),
     "copy_components": (copies, "(copy|^copy)*", "auto"),
     "quoted_items": (passages, "quotes ^quotes", "auto"),
