@@ -156,6 +156,17 @@ def _hops(limit: int = 64) -> str:
     return f"t(src, dst, h) AS (SELECT src, dst, 0 FROM e UNION SELECT t.src, e.dst, h + 1 FROM t JOIN e ON t.dst = e.src WHERE h < {limit})"
 
 
+def gain(name: str) -> str:
+    """Inspections of complete lists and of the forward search, and their ratio, of one workload."""
+    graph, expr = SIZES[name]
+    a = compile_path(expr)
+    last = ", ".join(map(str, sorted(a.accepting)))
+    return f"""SELECT '{name}' AS workload, lists, search, round(search / lists, 6) AS gain FROM (
+WITH RECURSIVE {walk(graph, expr, "SELECT 1 AS id WHERE false")},
+rear(y, v, q) AS (SELECT DISTINCT b, b, p FROM move WHERE p IN ({last}) UNION SELECT y, a, move.q FROM rear JOIN move ON v = b AND rear.q = p)
+SELECT (SELECT count(*) FROM rear JOIN move ON v = b AND rear.q = p)::BIGINT AS lists, (SELECT count(*) FROM walk JOIN move ON v = a AND walk.q = move.q)::BIGINT AS search)"""
+
+
 EVENT_VERTICES = "SELECT event_id AS id FROM events"
 CHAT_VERTICES = "SELECT conv_id * 1000 + turn AS id FROM conversations"
 EXPECTED_EXAMPLE = "(0, 'd', 0, true, true, true), (0, 'e', 1, true, true, false), (0, 'g', 2, true, true, true), (1, 'f', 2, false, false, true), (2, 'e', 1, false, true, false), (2, 'g', 2, false, true, true)"
@@ -292,4 +303,7 @@ SELECT user_id, (epoch_us(min(ts)) // 1000000)::BIGINT AS start, count(*) AS n_e
     "stream_user_automaton": f"WITH f AS ({answers(FLOW, 'view (view|click)*')}), o AS (SELECT event_id, user_id, event_type, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events) SELECT o.user_id, count(DISTINCT CASE WHEN o.event_type = 'purchase' AND f.dst IS NOT NULL THEN o.event_id END) AS matched FROM o LEFT JOIN f ON f.dst = o.event_id GROUP BY o.user_id",
     "sql_path_query": answers(TURNS, "user (assistant user)*", CHAT_VERTICES),
     "sql_path_matches": "SELECT conv_id, regexp_full_match(string_agg(role, ' ' ORDER BY turn), '(user assistant ?)+') AS matched FROM conversations GROUP BY conv_id",
+    "graph_copies_edges": COPY,
+    "graph_copies_labels": f"SELECT label, count(*) AS n_edges FROM (SELECT DISTINCT label, src FROM (SELECT label, src FROM ({COPY}) UNION ALL SELECT 'lang:' || lang, doc_id FROM documents UNION ALL SELECT 'src:' || source, doc_id FROM documents UNION ALL SELECT 'rated:' || quality::VARCHAR, doc_id FROM labels) WHERE label IS NOT NULL) GROUP BY label",
+    "gain_by_workload": " UNION ALL ".join(f"SELECT * FROM ({gain(n)})" for n in ("handoff_sparse", "relay_sparse", "partchain_small")),
 }

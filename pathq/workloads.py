@@ -657,7 +657,8 @@ QUERIES: dict[str, Query] = {name: partial(run_workload, name) for name in WORKL
     "graph_turns_edges": partial(edges_of, turns),
     "graph_links_edges": lambda spark, d: links(spark, d).edges.groupBy("src").agg(F.count(F.lit(1)).alias("n_links")),
     "graph_near_edges": partial(edges_of, near),
-    "graph_copies_edges": partial(edges_of, copies),
+    "graph_copies_edges": lambda spark, d: copies(spark, d).edges.filter(F.col("label") == "copy"),
+    "graph_copies_labels": lambda spark, d: copies(spark, d).label_histogram(),
     "graph_passages_edges": partial(edges_of, passages),
     "label_histogram": label_histogram,
     "degree_histogram": degree_histogram,
