@@ -38,7 +38,7 @@ from pathq.llm.shingles import document_sets, minhash, mix
 POSITIONS = 64  # minwise values that branching picks from
 SKETCHED = 256  # minwise values of which a sketch keeps two bits
 SHALLOW = 3  # steps without pivots
-HEAVY = 1_000_000  # shingles that a task holds of one node
+HEAVY = 2_000_000  # shingles that a task holds of one node
 TINY = 24  # nodes up to this size give all their pairs at once
 SKETCH_SCHEMA = "doc_id long, n_shingles long, f1 long, f2 long, sketch binary, sig binary"
 
@@ -336,7 +336,7 @@ class Join:
         return sketches, linked.union(work.table(crossing.distinct(), "links-2"))
 
 
-def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: float = 0.9995, small: int = 1024) -> DataFrame:
+def near_duplicates(docs: DataFrame, k: int = 5, threshold: int = 80, recall: float = 0.9995, small: int = 2048) -> DataFrame:
     """Per row of ``docs``: doc_id, n_shingles, component_id (smallest id reachable over links), kept.
 
     ``threshold`` is in hundredths: sets link if 100 * |both| >= threshold * |either|.
