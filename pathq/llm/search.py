@@ -145,7 +145,7 @@ def _answers(index: Index | None, k: int, rerank: int):
                 near = np.broadcast_to(np.arange(len(rows)), (len(q), len(rows)))
             for i in range(len(q)):
                 cand = near[i][ids[near[i]] != who[i]]
-                score = x[cand] @ q[i]
+                score = (x[cand] * q[i]).sum(axis=1)  # the same for equal vectors wherever they stand, unlike a matrix product
                 best = np.lexsort((ids[cand], -score))[:k]
                 out.append(pd.DataFrame({"query_id": np.full(len(best), who[i]), "vec_id": ids[cand][best], "score": score[best]}))
         return pd.concat(out, ignore_index=True)
