@@ -49,6 +49,12 @@ def whole_plans(spark: SparkSession) -> Iterator[None]:
             spark.conf.set(EXCLUDED, before)
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a folder, in whatever file system it lies."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
 class Store:
     """A fresh folder for the relations of one evaluation. Reading a table back starts a new, short plan."""
 
@@ -65,3 +71,7 @@ class Store:
         with whole_plans(self.spark):
             df.observe(seen, F.count(F.lit(1)).alias("n")).write.parquet(where)
         return self.spark.read.schema(df.schema).parquet(where), observed(seen)
+
+    def close(self) -> None:
+        """Remove all tables. What was built on them can no longer be read, so write answers first."""
+        remove(self.spark, self.root)

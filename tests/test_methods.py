@@ -249,3 +249,15 @@ def test_plans(spark):
     assert "WindowGroupLimit" in _capped(canon.ends, 3)._jdf.queryExecution().executedPlan().toString()
     assert capped_reach(canon, 2, Store(spark, "test"))[0].groupBy("x").count().filter("count > 2").count() == 0
     assert "method:" in explain_path(g, "d e*")
+
+
+def test_store_is_removed(spark):
+    import os
+
+    store = Store(spark, "test")
+    t, n = store.counted(spark.range(5), "numbers")
+    assert n == 5 and t.count() == 5
+    root = store.root.removeprefix("file://")
+    assert os.path.isdir(root)
+    store.close()
+    assert not os.path.exists(root)
