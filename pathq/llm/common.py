@@ -9,7 +9,7 @@ from contextlib import contextmanager
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathq.store import shared_root
+from pathq.store import remove, shared_root
 
 
 @contextmanager
@@ -46,9 +46,7 @@ class Workspace:
         """Write the result beside the folder, and remove the folder with all intermediate tables."""
         where = f"{self.root}-result"
         df.write.parquet(where)
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.root)
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        remove(self.spark, self.root)
         return self.spark.read.schema(df.schema).parquet(where)
 
 
