@@ -38,17 +38,22 @@ class Tally:
     """Adaptive counts of the three outcomes, one row per lane and context."""
 
     def __init__(self, lanes: int, contexts: int):
-        self.c = [np.full(lanes * contexts, x) for x in (6.0, 1.0, 1.0)]
+        self.size = lanes * contexts
+        self.c = np.repeat(np.array([6.0, 1.0, 1.0]), self.size)
 
     def look(self, row: np.ndarray) -> None:
-        self.row, self.seen = row, [c.take(row) for c in self.c]
-        self.sum = self.seen[0] + self.seen[1] + self.seen[2]
-        self.p1, self.p2 = self.seen[1] / self.sum, self.seen[2] / self.sum
+        self.row, self.row1, self.row2 = row, row + self.size, row + 2 * self.size
+        c1, c2 = self.c.take(self.row1), self.c.take(self.row2)
+        self.sum = self.c.take(row) + c1 + c2
+        self.p1, self.p2 = c1 / self.sum, c2 / self.sum
 
-    def learn(self, hit: list[np.ndarray]) -> None:
-        keep = np.where(self.sum > 96.0, 0.5, 1.0)
-        for c, seen, h in zip(self.c, self.seen, hit, strict=True):
-            c[self.row] = seen * keep + h
+    def learn(self, outcome: np.ndarray) -> None:
+        full = np.flatnonzero(self.sum > 96.0)
+        if len(full):
+            for row in (self.row, self.row1, self.row2):
+                self.c[row[full]] *= 0.5
+        at = outcome * self.size + self.row
+        self.c[at] = self.c.take(at) + 1.0
 
 
 class Model:
@@ -63,7 +68,7 @@ class Model:
         self.live = (self.width > 0).astype(np.int64)
         self.where = np.repeat(np.arange(INTERVALS, dtype=np.int64), self.width)
         # the remembered id, and in the two low bits how often it held
-        self.two, self.one = np.zeros(lanes * SLOTS2, np.uint32), np.zeros(lanes * SLOTS1, np.uint32)
+        self.two, self.one = np.zeros(lanes * SLOTS2, np.int64), np.zeros(lanes * SLOTS1, np.int64)
         self.base2, self.base1 = self.lane * SLOTS2, self.lane * SLOTS1
         self.base_a, self.base_b, self.base0 = self.lane * 32, self.lane * 27, self.lane * INTERVALS
         self.by_sure, self.by_past = Tally(lanes, 32), Tally(lanes, 27)
@@ -81,7 +86,7 @@ class Model:
         mixed = self.last * 40503
         self.at2 = ((mixed + self.before * 30011 + (self.last >> 7)) & (SLOTS2 - 1)) + self.base2
         self.at1 = ((mixed + (self.last >> 9)) & (SLOTS1 - 1)) + self.base1
-        m2, m1 = self.two.take(self.at2).astype(np.int64), self.one.take(self.at1).astype(np.int64)
+        self.m2, self.m1 = m2, m1 = self.two.take(self.at2), self.one.take(self.at1)
         self.s2, self.s1, self.c2, self.c1 = m2 & 3, m1 & 3, m2 >> 2, m1 >> 2
         self.by_sure.look(self.base_a + self.s2 * 8 + self.s1 * 2 + (self.c1 == self.c2))
         self.by_past.look(self.base_b + self.past)
@@ -114,15 +119,13 @@ class Model:
         a, b = self.by_sure, self.by_past
         gain = np.where(right2, a.p2 - b.p2, np.where(right1, a.p1 - b.p1, b.p1 + b.p2 - a.p1 - a.p2))
         self.weight = np.minimum(np.maximum(self.weight + np.copysign(0.02, gain), 0.02), 0.98)
-        neither = ~(right2 | right1)
-        hit = [neither.astype(np.float64), right1.astype(np.float64), right2.astype(np.float64)]
-        a.learn(hit)
-        b.learn(hit)
+        outcome = right1 + 2 * right2
+        a.learn(outcome)
+        b.learn(outcome)
         fresh = ids << 2
-        self.two[self.at2] = np.where(right2, (self.c2 << 2) | np.minimum(self.s2 + 1, 3), np.where(self.s2 > 0, ((self.c2 << 2) | self.s2) - 1, fresh))
-        held1 = ids == self.c1
-        self.one[self.at1] = np.where(held1, (self.c1 << 2) | np.minimum(self.s1 + 1, 3), np.where(self.s1 > 0, ((self.c1 << 2) | self.s1) - 1, fresh))
-        self.past = (self.past * 3 + right1 + 2 * right2) % 27
+        for at, m, sure, right, table in ((self.at2, self.m2, self.s2, right2, self.two), (self.at1, self.m1, self.s1, ids == self.c1, self.one)):
+            table[at] = np.where(right, m + (sure < 3), np.where(sure > 0, m - 1, fresh))
+        self.past = (self.past * 3 + outcome) % 27
         self.counts[self.base0 + self.where.take(ids)] += 24
         self.before, self.last = self.last, ids
         self.step += 1
