@@ -39,7 +39,7 @@ POSITIONS = 64  # minwise values that branching picks from
 SKETCHED = 256  # minwise values of which a sketch keeps two bits
 SHALLOW = 3  # steps without pivots
 HEAVY = 2_000_000  # shingles that a task holds of one node
-TINY = 24  # nodes up to this size give all their pairs at once
+TINY = 4  # nodes up to this size give all their pairs at once
 SKETCH_SCHEMA = "doc_id long, n_shingles long, f1 long, f2 long, sketch binary, sig binary"
 
 
