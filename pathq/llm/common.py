@@ -13,15 +13,17 @@ from pathq.store import remove, shared_root
 
 
 @contextmanager
-def small_batches(spark: SparkSession, rows: int = 1000) -> Iterator[None]:
-    """Within it, Python workers get at most ``rows`` rows at a time: texts are long, and batches are held twice."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(key)
-    spark.conf.set(key, str(min(rows, int(before)) if int(before) > 0 else rows))
+def small_batches(spark: SparkSession, rows: int = 500, size: int = 8 << 20) -> Iterator[None]:
+    """Within it, Python workers get at most ``rows`` rows or about ``size`` bytes at a time: texts and sets are long, and batches are held twice."""
+    limits = {"spark.sql.execution.arrow.maxRecordsPerBatch": rows, "spark.sql.execution.arrow.maxBytesPerBatch": size}
+    before = {key: spark.conf.get(key, None) for key in limits}
+    for key, most in limits.items():
+        spark.conf.set(key, str(most))
     try:
         yield
     finally:
-        spark.conf.set(key, before)
+        for key, value in before.items():
+            spark.conf.unset(key) if value is None else spark.conf.set(key, value)
 
 
 class Workspace:
