@@ -3,7 +3,11 @@
 Coarse centroids divide the vectors into lists. What remains of a vector after its centroid is cut into subspaces and
 each part replaced by the nearest of 256 codewords. A query visits the lists whose centroids have the largest inner
 product with it, scores their codes with a table of inner products per subspace, and reranks the best by the
-original vectors in double precision.
+original vectors in double precision; then also every other row whose rough score, plus the most that its own
+quantisation error can add, reaches the k-th best found. So within the lists visited nothing is lost to the codes.
+
+Equal vectors are one entry with their smallest ids, one more than a query asks for: whatever the size of a group of
+copies, a query's best of them are among these. Queries are not collapsed, as each leaves out itself.
 
 Centroids and codewords are fitted on a bounded sample (``max_train``), on the driver; every row is indexed. How many
 lists a query visits (``probes``) is set by measuring on that sample, against brute force, which lists hold true
@@ -88,6 +92,15 @@ class Index:
             total += table[:, codes[:, i]]
         return total
 
+    def errors(self, x: np.ndarray, own: int, codes: np.ndarray) -> np.ndarray:
+        """(rows, parts) lengths of what the codes of the rows of one list leave out."""
+        rest = x - self.centres[own]
+        return np.stack([np.sqrt(((rest[:, i * self.width : (i + 1) * self.width] - words[codes[:, i]]) ** 2).sum(1)) for i, words in enumerate(self.words)], axis=1)
+
+    def slack(self, q: np.ndarray, errors: np.ndarray) -> np.ndarray:
+        """(queries, rows) the most by which inner products can differ from their approximation."""
+        return np.sqrt((q.reshape(len(q), self.parts, self.width) ** 2).sum(2)) @ errors.T
+
     def _probes(self, sample: np.ndarray, own: np.ndarray, k: int, recall: float, rng: np.random.Generator) -> int:
         """The fewest lists that hold the target share of the sample queries' true neighbours in the sample."""
         picked = rng.choice(len(sample), min(400, len(sample)), replace=False)
@@ -109,7 +122,7 @@ def _assigned(index: Index):
                 continue
             x = np.stack(frame["embedding"].to_numpy()).astype(np.float64)
             own = index.assign(x)
-            yield pd.DataFrame({"vec_id": frame["vec_id"], "list": own.astype(np.int32), "codes": [c.tobytes() for c in index.encode(x, own)], "embedding": frame["embedding"]})
+            yield pd.DataFrame({"ids": frame["ids"], "list": own.astype(np.int32), "codes": [c.tobytes() for c in index.encode(x, own)], "embedding": frame["embedding"]})
 
     return run
 
@@ -131,28 +144,57 @@ def _answers(index: Index | None, k: int, rerank: int):
     def run(queries: pd.DataFrame, rows: pd.DataFrame) -> pd.DataFrame:
         if not len(queries) or not len(rows):
             return pd.DataFrame({"query_id": pd.Series(dtype="int64"), "vec_id": pd.Series(dtype="int64"), "score": pd.Series(dtype="float64")})
-        x, ids = np.stack(rows["embedding"].to_numpy()).astype(np.float64), rows["vec_id"].to_numpy()
+        x = np.stack(rows["embedding"].to_numpy()).astype(np.float64)
+        size = rows["ids"].map(len).to_numpy()
+        ids, start = np.concatenate(rows["ids"].to_numpy()), np.concatenate(([0], np.cumsum(size)[:-1]))
+        alone = np.where(size == 1, ids[start], -1), size == 1
         codes = None if index is None else np.frombuffer(b"".join(rows["codes"]), np.uint8).reshape(len(rows), -1)
+        rough_too = codes is not None and len(rows) > max(rerank, k)
+        if rough_too:
+            own = int(rows["list"].iloc[0])
+            errors = index.errors(x, own, codes)
         out = []
         for at in range(0, len(queries), 128):
             part = queries.iloc[at : at + 128]
             q, who = np.stack(part["embedding"].to_numpy()).astype(np.float64), part["query_id"].to_numpy()
-            if codes is not None and len(rows) > rerank:
-                rough = index.scores(q, int(rows["list"].iloc[0]), codes)
-                rough[who[:, None] == ids[None, :]] = -np.inf
-                near = np.argpartition(-rough, rerank - 1, axis=1)[:, :rerank]
-            else:
-                near = np.broadcast_to(np.arange(len(rows)), (len(q), len(rows)))
+            itself = (alone[0][None, :] == who[:, None]) & alone[1][None, :]  # entries that hold nothing but the query
+            if rough_too:
+                rough = index.scores(q, own, codes)
+                rough[itself] = -np.inf
+                first = np.argpartition(-rough, max(rerank, k) - 1, axis=1)[:, : max(rerank, k)]
+                rough += index.slack(q, errors)  # from here on the most that a row can score
             for i in range(len(q)):
-                cand = near[i][ids[near[i]] != who[i]]
+                if rough_too:
+                    near = first[i][~itself[i, first[i]]]
+                    found = (x[near] * q[i]).sum(axis=1)
+                    least = np.partition(found, len(found) - k)[len(found) - k] if len(found) >= k else -np.inf
+                    cand = np.flatnonzero((rough[i] >= least - 1e-9 * (1 + abs(least))) & ~itself[i])
+                else:
+                    cand = np.flatnonzero(~itself[i])
                 score = (x[cand] * q[i]).sum(axis=1)  # the same for equal vectors wherever they stand, unlike a matrix product
-                best = np.lexsort((ids[cand], -score))[:k]
-                out.append(pd.DataFrame({"query_id": np.full(len(best), who[i]), "vec_id": ids[cand][best], "score": score[best]}))
+                if len(cand) > k:  # every entry left has an id to give
+                    top = score >= np.partition(score, len(score) - k)[len(score) - k]
+                    cand, score = cand[top], score[top]
+                n = size[cand]
+                spots = np.repeat(start[cand] - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum()) if len(cand) else cand
+                who_else, score = ids[spots], np.repeat(score, n)
+                other = who_else != who[i]
+                who_else, score = who_else[other], score[other]
+                best = np.lexsort((who_else, -score))[:k]
+                out.append(pd.DataFrame({"query_id": np.full(len(best), who[i]), "vec_id": who_else[best], "score": score[best]}))
         return pd.concat(out, ignore_index=True)
 
     return run
 
 
+def _collapsed(rows: DataFrame, most: int) -> DataFrame:
+    """(ids, embedding, dim): distinct vectors with their ``most`` smallest ids, ascending. The bound applies before the shuffle."""
+    same = [F.xxhash64("embedding").alias("h"), "embedding", "dim"]
+    order = Window.partitionBy("h", "embedding", "dim").orderBy("vec_id")
+    kept = rows.select("vec_id", *same).withColumn("r", F.row_number().over(order)).filter(F.col("r") <= most)
+    return kept.groupBy("h", "embedding", "dim").agg(F.sort_array(F.collect_list("vec_id")).alias("ids")).select("ids", "embedding", "dim")
+
+
 def _cut(counts: DataFrame, key: str, most: int) -> dict:
     return {r[key]: -(-r["count"] // most) for r in counts.collect()}
 
@@ -167,11 +209,12 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20, recall: float = 0
     work = Workspace(spark, "nearest")
     good = vectors.filter(usable(F.col("embedding")) & F.col("vec_id").isNotNull())
     rows = work.table(good.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding").distinct().withColumn("dim", F.size("embedding")), "rows")
-    by_dim = sorted(((r["count"], r["dim"]) for r in rows.groupBy("dim").count().collect()), reverse=True)  # one row per vector length
+    entries = work.table(_collapsed(rows, k + 1), "entries")
+    by_dim = sorted(((r["count"], r["dim"]) for r in entries.groupBy("dim").count().collect()), reverse=True)  # one row per vector length
     found = None
     for i, (n, dim) in enumerate(by_dim):
-        own = rows.filter(F.col("dim") == dim)
-        part = _indexed(work, own, is_query, n, k, recall, max_train, block, group, rerank) if i == 0 and n > 4 * rerank else _brute(own, is_query, n, k, block, group)
+        own, asked = entries.filter(F.col("dim") == dim), rows.filter((F.col("dim") == dim) & is_query)
+        part = _indexed(work, own, asked, n, k, recall, max_train, block, group, rerank) if i == 0 and n > 4 * rerank else _brute(own, asked, n, k, block, group)
         found = part if found is None else found.unionByName(part)
     if found is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
@@ -180,12 +223,13 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20, recall: float = 0
     return work.finish(found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score"))
 
 
-def _indexed(work: Workspace, rows: DataFrame, is_query: Column, n: int, k: int, recall: float, max_train: int, block: int, group: int, rerank: int) -> DataFrame:
+def _indexed(work: Workspace, entries: DataFrame, asked: DataFrame, n: int, k: int, recall: float, max_train: int, block: int, group: int, rerank: int) -> DataFrame:
     share = min(1.0, max_train / n)
-    drawn = rows.filter(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) <= int(share * (1 << 20))).orderBy("vec_id").limit(max_train).select("embedding").toPandas()
+    first = F.col("ids")[0]
+    drawn = entries.filter(F.pmod(F.xxhash64(first), F.lit(1 << 20)) <= int(share * (1 << 20))).orderBy(first).limit(max_train).select("embedding").toPandas()
     index = Index(np.stack(drawn["embedding"].to_numpy()).astype(np.float64), n, k, recall)
-    filed = work.table(rows.mapInPandas(_assigned(index), "vec_id long, list int, codes binary, embedding array<float>"), "lists")
-    asked = rows.filter(is_query).select("vec_id", "embedding").mapInPandas(_probed(index), "query_id long, embedding array<float>, lists array<int>")
+    filed = work.table(entries.mapInPandas(_assigned(index), "ids array<long>, list int, codes binary, embedding array<float>"), "lists")
+    asked = asked.select("vec_id", "embedding").mapInPandas(_probed(index), "query_id long, embedding array<float>, lists array<int>")
     asked = work.table(asked.withColumn("list", F.explode("lists")).drop("lists"), "asked")
     # both are at most as many as there are lists
     blocks, groups = _cut(filed.groupBy("list").count(), "list", block), _cut(asked.groupBy("list").count(), "list", group)
@@ -195,16 +239,15 @@ def _indexed(work: Workspace, rows: DataFrame, is_query: Column, n: int, k: int,
     every = lambda parts, name: F.explode(F.sequence(F.lit(0), _lookup(parts, F.col("list")) - 1)).alias(name)
     one = lambda parts, who, name: F.pmod(F.xxhash64(who), _lookup(parts, F.col("list"))).cast("int").alias(name)
     live = F.col("list").isin(both)
-    right = filed.filter(live).select("vec_id", "codes", "embedding", "list", one(blocks, "vec_id", "b"), every(groups, "g"))
+    right = filed.filter(live).select("ids", "codes", "embedding", "list", one(blocks, F.col("ids")[0], "b"), every(groups, "g"))
     left = asked.filter(live).select("query_id", "embedding", "list", one(groups, "query_id", "g"), every(blocks, "b"))
     return left.groupBy(*key).cogroup(right.groupBy(*key)).applyInPandas(_answers(index, k, rerank), "query_id long, vec_id long, score double")
 
 
-def _brute(rows: DataFrame, is_query: Column, n: int, k: int, block: int, group: int) -> DataFrame:
-    """The stated queries against all rows, in blocks."""
-    asked = rows.filter(is_query)
+def _brute(entries: DataFrame, asked: DataFrame, n: int, k: int, block: int, group: int) -> DataFrame:
+    """The stated queries against all entries, in blocks."""
     blocks, groups = -(-n // block), max(1, -(-asked.count() // group))
-    right = rows.select("vec_id", "embedding", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("b"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g"))
+    right = entries.select("ids", "embedding", F.pmod(F.xxhash64(F.col("ids")[0]), F.lit(blocks)).alias("b"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g"))
     left = asked.select(F.col("vec_id").alias("query_id"), "embedding", F.pmod(F.xxhash64("vec_id"), F.lit(groups)).cast("int").alias("g"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("b"))
     return left.groupBy("b", "g").cogroup(right.groupBy("b", "g")).applyInPandas(_answers(None, k, 0), "query_id long, vec_id long, score double")
 

@@ -406,3 +406,24 @@ def test_nearest(spark):
     assert hit >= 0.9 * total and set(by) == {i for i in good if i % 20 == 0}
     assert search.nearest(df.limit(0), F.lit(True)).count() == 0
     assert search.nearest(df.filter("vec_id < 3"), F.lit(True)).count() == 6
+
+
+def test_nearest_in_groups_of_copies(spark):
+    """Large groups of exact and of tight near copies, against brute force by id: ties go to the smallest ids of the whole group."""
+    rng = np.random.default_rng(5)
+    base = rng.standard_normal((800, 16))
+    same = np.repeat(base[:1], 700, axis=0)
+    tight = base[1] + rng.standard_normal((700, 16)) * 1e-4
+    x = np.concatenate((base, same, tight)).astype(np.float32)[rng.permutation(2200)]
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    exact = x.astype(float)
+    got = {}
+    for r in search.nearest(df, F.col("vec_id") % 20 == 0, k=20, rerank=60, recall=1.0).collect():
+        got.setdefault(r["query_id"], set()).add(r["vec_id"])
+    hit = total = 0
+    for i in range(0, 2200, 20):
+        score = (exact * exact[i]).sum(axis=1)
+        order = np.lexsort((np.arange(2200), -score))
+        best = [int(j) for j in order[order != i][:20]]
+        hit, total = hit + len(got[i] & set(best)), total + 20
+    assert len(got) == 110 and hit >= 0.97 * total
