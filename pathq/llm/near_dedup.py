@@ -16,6 +16,10 @@ members on full sets. Jaccard distance is a metric, so a member that is nearer t
 with nothing that the pivot's links do not already connect; it leaves the node. The others branch on. No node is
 capped or sampled, and a group of copies costs comparisons in proportion to its size.
 
+The number of trees follows from the depth at which nodes are compared, as a pair at the threshold survives fewer of
+more steps. The first trees suffice for the first steps. Classes that go deeper get further trees among themselves, until
+they have as many as their own depth asks for; a pair of which one end never went so deep has met already.
+
 Edge cases: null, empty and blank texts have an empty set and link with nothing. Texts with fewer words than a
 shingle are one shingle. Repeated rows are copies of each other. A row whose doc_id is null takes no part: it gets a
 null component and kept = false. An empty table gives an empty result. Extra columns are ignored.
@@ -25,6 +29,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -228,6 +233,22 @@ def _cross_links(threshold: int):
     return run
 
 
+def trees_for(depth: int, similarity: float, recall: float) -> int:
+    """Trees after which a pair of that similarity has met with probability ``recall``, if its nodes are compared at that depth.
+
+    All trees pick from the same positions, so the chance is taken over the number of positions in which the pair agrees.
+    """
+    agree = np.arange(POSITIONS + 1) / POSITIONS
+    weight = np.array([math.comb(POSITIONS, i) * similarity**i * (1 - similarity) ** (POSITIONS - i) for i in range(POSITIONS + 1)])
+    meets = np.ones(POSITIONS + 1)
+    for _ in range(depth):
+        meets = 0.75 * agree * meets + 0.25 * (1 - (1 - agree * meets) ** 2)
+    n = 2
+    while float(weight @ (1 - meets) ** n) > 1 - recall:
+        n += 1
+    return n
+
+
 class Join:
     """One run of the join over (doc_id, text)."""
 
@@ -235,8 +256,9 @@ class Join:
         self.docs, self.k, self.threshold, self.small = docs.select("doc_id", "text"), k, threshold, small
         self.work = Workspace(docs.sparkSession, "near-dedup")
         s = threshold / 100
-        step = 0.75 * s + 0.25 * (1 - (1 - s) ** 2)  # a pair at the threshold shares a child with this probability
-        self.trees = max(2, math.ceil(math.log(1 - recall) / math.log(1 - step**SHALLOW)))
+        self.needed = lru_cache(maxsize=None)(lambda depth: trees_for(depth, s, recall))
+        self.trees = self.needed(SHALLOW)
+        self.planted = 0  # trees so far; each has a root of its own
         off = (1 - s) * 0.75  # two bits agree by chance once in four
         self.most_bits = min(254, math.ceil(SKETCHED * off + 4.5 * math.sqrt(SKETCHED * off * (1 - off))))
 
@@ -277,9 +299,9 @@ class Join:
         measured = self.overlaps(pairs, self.sets_of(wanted, f"{name}-sets"))
         return self.work.table(measured.select("a", "b", (F.col("both") * 100 >= F.col("either") * self.threshold).alias("linked")), name)
 
-    def pivot_round(self, large: DataFrame, sets: DataFrame, i: int) -> tuple[DataFrame, DataFrame]:
+    def pivot_round(self, large: DataFrame, sets: DataFrame, i: str, seed: int) -> tuple[DataFrame, DataFrame]:
         """(links with pivots, rows that stay)."""
-        order = F.xxhash64(F.lit(i), F.col("rep"))
+        order = F.xxhash64(F.lit(seed), F.col("rep"))
         pivots = self.work.table(large.groupBy("node").agg(F.min_by("rep", F.struct(order, "rep")).alias("pivot")), f"pivots-{i}")
         starred = self.work.table(large.join(pivots, "node").filter("rep <> pivot"), f"starred-{i}")
         pairs = starred.select(F.col("pivot").alias("b"), F.col("rep").alias("a")).distinct()
@@ -293,6 +315,28 @@ class Join:
         stay = measured.join(shell, "node").filter(~F.col("linked") | (F.col("d") >= reach))
         return star.filter(linked).select("a", "b"), stay.select("node", "rep", "n", "sketch")
 
+    def grow(self, classes: DataFrame, trees: int, nodes: list[DataFrame], links: list[DataFrame]) -> DataFrame | None:
+        """Branch classes down new trees; adds to small nodes and links, and returns (rep, depth) of those beyond the first steps."""
+        name = f"{self.planted}-"
+        roots = F.explode(F.array(*[F.lit(1_000_003 * (self.planted + j + 1)).cast("long") for j in range(trees)]))
+        self.planted += trees
+        small, large = self.settle(self.branch(classes.withColumn("node", roots)), f"{name}step-1")
+        nodes.append(small)
+        depth, sets, deep = 1, None, None
+        while not large.isEmpty():
+            if depth >= SHALLOW:
+                if sets is None:
+                    sets = self.sets_of(large.select("rep").distinct(), f"{name}large-sets")
+                found, large = self.pivot_round(large, sets, f"{name}{depth}", self.planted * 1000 + depth)
+                links.append(found)
+            depth += 1
+            if depth > SHALLOW:
+                reached = self.work.table(large.select("rep").distinct(), f"{name}deep-{depth}").withColumn("depth", F.lit(depth))
+                deep = reached if deep is None else deep.union(reached)
+            small, large = self.settle(self.branch(large.join(self.signed.select("rep", "sig"), "rep")), f"{name}step-{depth}")
+            nodes.append(small)
+        return deep
+
     def run(self) -> tuple[DataFrame, DataFrame]:
         """(sketches of all documents, links that connect all linked classes). ``signed`` then holds the classes."""
         work = self.work
@@ -300,19 +344,18 @@ class Join:
         filled = sketches.filter("n_shingles > 0 and doc_id is not null")
         one = filled.groupBy("rep", F.col("n_shingles").alias("n")).agg(F.min("doc_id").alias("doc_id"), F.first("sketch").alias("sketch"), F.first("sig").alias("sig"))
         signed = self.signed = work.table(one, "classes")
-        roots = F.explode(F.array(*[F.lit(1_000_003 * (j + 1)).cast("long") for j in range(self.trees)]))
-        small, large = self.settle(self.branch(signed.withColumn("node", roots)), "step-1")
-        nodes, links = [small], []
-        depth, sets = 1, None
-        while not large.isEmpty():
-            if depth >= SHALLOW:
-                if sets is None:
-                    sets = self.sets_of(large.select("rep").distinct(), "large-sets")
-                found, large = self.pivot_round(large, sets, depth)
-                links.append(found)
-            depth += 1
-            small, large = self.settle(self.branch(large.join(signed.select("rep", "sig"), "rep")), f"step-{depth}")
-            nodes.append(small)
+        nodes: list[DataFrame] = []
+        links: list[DataFrame] = []
+        deep = self.grow(signed, self.trees, nodes, links)
+        # a class that needs more trees has been in all so far, or it would not have gone so deep
+        while deep is not None:
+            deepest = work.table(deep.groupBy("rep").agg(F.max("depth").alias("depth")), f"{self.planted}-deepest")
+            depths = [r[0] for r in deepest.select("depth").distinct().collect() if self.needed(r[0]) > self.planted]  # as many as steps
+            if not depths:
+                break
+            more = min(max(self.needed(d) for d in depths), 2 * self.planted) - self.planted
+            again = self.grow(signed.join(deepest.filter(F.col("depth").isin(depths)).select("rep"), "rep", "left_semi"), more, nodes, links)
+            deep = deepest if again is None else deepest.select("rep", "depth").union(again)
         small = nodes[0]
         for more in nodes[1:]:
             small = small.union(more)

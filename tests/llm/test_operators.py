@@ -315,6 +315,25 @@ def test_near_duplicates(spark, small):
     assert near_dedup.near_duplicates(docs_of(spark, [])).count() == 0
 
 
+def test_trees_follow_the_depth(spark):
+    """Classes whose nodes stay large for many steps get the trees that their depth asks for."""
+    assert [near_dedup.trees_for(d, 0.8, 0.9995) for d in (3, 4, 8, 14)] == [9, 12, 28, 93]
+    rng = random.Random(6)
+    rows = list(enumerate(copies(rng, 4) + copies(rng, 1)))
+    join = near_dedup.Join(docs_of(spark, rows), 4, 80, 0.9995, 2048)
+    grow, grown = join.grow, []
+
+    def seen(classes, trees, nodes, links):
+        grown.append((trees, classes.count()))
+        grow(classes, trees, nodes, links)
+        deep = [(r["rep"], 8) for r in classes.select("rep").sort("rep").limit(3).collect()]  # as if they had gone so far
+        return spark.createDataFrame(deep, "rep long, depth int")
+
+    join.grow = seen
+    join.run()
+    assert grown == [(9, len(set(t for _, t in rows))), (9, 3), (10, 3)]
+
+
 def test_long_texts_shingle_alike(monkeypatch):
     import pyarrow as pa
 
