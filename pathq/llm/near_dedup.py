@@ -273,12 +273,12 @@ class Join:
         return picked.select(F.xxhash64("node", "pick", token).alias("node"), "rep", "n", "sketch")
 
     def sets_of(self, reps: DataFrame, name: str) -> DataFrame:
-        """(rep, set) of some classes, read again from a text of each. ``reps``: distinct column ``rep``."""
+        """(rep, set) of some classes, read again from a text of each, dealt by rep. ``reps``: distinct column ``rep``."""
         wanted = self.work.table(self.signed.select("rep", "doc_id").join(reps, "rep", "left_semi"), f"{name}-wanted")
         texts = prefilter(self.docs, wanted, "doc_id").join(wanted.select("doc_id").distinct(), "doc_id")  # a semi join would be pushed below the filter
         found = texts.mapInArrow(_sets(self.k), "f1 long, f2 long, set binary").withColumn("rep", F.xxhash64("f1", "f2"))
         # rows may repeat, and rows of one id may differ in text: a class needs one set
-        return self.work.table(found.join(wanted.select("rep"), "rep", "left_semi").groupBy("rep").agg(F.first("set").alias("set")), name)
+        return found.join(wanted.select("rep"), "rep", "left_semi").groupBy("rep").agg(F.first("set").alias("set"))
 
     def overlaps(self, pairs: DataFrame, sets: DataFrame) -> DataFrame:
         """(a, b, both, either) for distinct pairs of classes in ``sets``."""
@@ -286,17 +286,24 @@ class Join:
         return pairs.join(a, "a").join(b, "b").select("a", "b", "set_a", "set_b").mapInArrow(_overlaps, "a long, b long, both long, either long")
 
     def settle(self, rows: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
-        """(rows of small nodes, rows of large nodes), with their node's size. Nodes of one document end here."""
-        sizes = rows.groupBy("node").agg(F.count(F.lit(1)).alias("size"), F.sum("n").alias("weight"))
+        """(rows of small nodes, rows of large nodes), with their node's size. Nodes of one document end here.
+
+        Small nodes are compared exhaustively, so of nodes with the same members, which independent trees often have, one is
+        enough: 128 bits over the members name them. Only rows of nodes that are left are shuffled.
+        """
+        members = [F.bit_xor(F.xxhash64(F.col("rep"), F.lit(seed))).alias(f"m{seed}") for seed in (1, 2)]
+        sizes = rows.groupBy("node").agg(F.count(F.lit(1)).alias("size"), F.sum("n").alias("weight"), *members)
         fits = (F.col("size") <= self.small) & ((F.col("weight") <= HEAVY) | (F.col("size") <= 2))
-        counts = self.work.table(sizes.filter("size > 1").select("node", "size", fits.alias("fits")), f"{name}-counts")
-        sized = self.work.table(rows.join(counts, "node"), f"{name}-sized")
+        counts = self.work.table(sizes.filter("size > 1").select("node", "size", "m1", "m2", fits.alias("fits")), f"{name}-counts")
+        once = counts.filter("fits").groupBy("size", "m1", "m2").agg(F.min("node").alias("node")).select("node", "size", F.lit(True).alias("fits"))
+        live = self.work.table(once.unionByName(counts.filter("not fits").select("node", "size", "fits")), f"{name}-live")
+        sized = self.work.table(prefilter(rows, live, "node").join(live, "node"), f"{name}-sized")
         return sized.filter("fits").drop("fits"), sized.filter("not fits").drop("fits", "size")
 
     def confirm(self, pairs: DataFrame, name: str) -> DataFrame:
         """(a, b, linked) of distinct pairs, on full sets."""
         wanted = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
-        measured = self.overlaps(pairs, self.sets_of(wanted, f"{name}-sets"))
+        measured = self.overlaps(pairs, self.sets_of(wanted, name))  # the sets are dealt by rep once, for both joins
         return self.work.table(measured.select("a", "b", (F.col("both") * 100 >= F.col("either") * self.threshold).alias("linked")), name)
 
     def pivot_round(self, large: DataFrame, sets: DataFrame, i: str, seed: int) -> tuple[DataFrame, DataFrame]:
@@ -326,14 +333,15 @@ class Join:
         while not large.isEmpty():
             if depth >= SHALLOW:
                 if sets is None:
-                    sets = self.sets_of(large.select("rep").distinct(), f"{name}large-sets")
+                    sets = self.work.table(self.sets_of(large.select("rep").distinct(), f"{name}large"), f"{name}large-sets")
                 found, large = self.pivot_round(large, sets, f"{name}{depth}", self.planted * 1000 + depth)
                 links.append(found)
             depth += 1
             if depth > SHALLOW:
                 reached = self.work.table(large.select("rep").distinct(), f"{name}deep-{depth}").withColumn("depth", F.lit(depth))
                 deep = reached if deep is None else deep.union(reached)
-            small, large = self.settle(self.branch(large.join(self.signed.select("rep", "sig"), "rep")), f"{name}step-{depth}")
+            signed = prefilter(self.signed.select("rep", "sig"), large, "rep")
+            small, large = self.settle(self.branch(large.join(signed, "rep")), f"{name}step-{depth}")
             nodes.append(small)
         return deep
 
@@ -374,7 +382,7 @@ class Join:
         open_ = work.table(open_, "open")
         if open_.isEmpty():
             return sketches, linked
-        sets = self.sets_of(open_.select("rep").distinct(), "open-sets")
+        sets = self.sets_of(open_.select("rep").distinct(), "open")
         crossing = sorted_(open_.join(sets, "rep")).select("node", "rep", "part", "set").mapInArrow(_cross_links(self.threshold), "a long, b long")
         return sketches, linked.union(work.table(crossing.distinct(), "links-2"))
 
