@@ -4,12 +4,13 @@ A file holds consecutive documents in ascending id order, each with its end id.
 coded blocks follow, each with its length, its number of ids and a checksum of the ids; the foot lists every document's
 id and number of ids. Blocks are independent, so a damaged one is found by its checksum and loses only itself.
 
-Documents are ranged by id: cut points come from quantiles of the ids alone, texts are then dealt to ranges and sorted
-within them. Files are written by tasks under names of their own; the committed manifest says which count and gives
+Documents are ranged by id, so that ranges hold about equally many bytes of text: cut points are quantiles of the ids,
+drawn in proportion to the length of their texts. Each range is a task's, which sorts its texts and writes them. Files are written by tasks under names of their own; the committed manifest says which count and gives
 each one's number of ids, from which the starts of all files follow.
 
 Tokenising goes word by word through a bounded memo: the pre-tokenizer never joins across a single space
-between two visible characters, so pieces between such spaces are encoded once by the library and looked up after.
+between two visible characters, so pieces between such spaces are encoded once by the library and looked up after. A
+text that holds the string of an added token goes to the library whole.
 
 Edge cases: null and empty texts give the end id alone. Documents with a null id come first, as do their ids. Rows
 that repeat an id are documents of their own, one after the other. Very long texts are encoded whole; their ids may
@@ -54,7 +55,7 @@ class Tokens:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.vocabulary = self.tokenizer.get_vocab_size()
         self.spaced = np.zeros(self.vocabulary, bool)
         for token, i in self.tokenizer.get_vocab().items():
@@ -80,12 +81,16 @@ class Tokens:
                 self.memo[x] = self._run(x).tobytes()
 
     def batch(self, texts: list[str | None]) -> list[np.ndarray]:
-        cut, new = [], set()
+        cut: list[list[str] | np.ndarray] = []
+        new: set[str] = set()
         if len(self.memo) > self.most:
             self.memo = {}
         memo = self.memo
         for text in texts:
             pieces: list[str] = []
+            if text and any(t in text for t in self.added):
+                cut.append(self._run(text))
+                continue
             if text:
                 pieces = _APART.split(text) if _ODD.search(text) else text.split(" ")
                 pieces[1:] = [" " + x for x in pieces[1:]]
@@ -93,7 +98,7 @@ class Tokens:
             cut.append(pieces)
         if new:
             self._learn(sorted(new))
-        return [np.frombuffer(b"".join([memo[x] for x in pieces]), np.uint32) for pieces in cut]
+        return [pieces if isinstance(pieces, np.ndarray) else np.frombuffer(b"".join([memo[x] for x in pieces]), np.uint32) for pieces in cut]
 
     def ids(self, text: str | None) -> np.ndarray:
         return self.batch([text])[0]
@@ -239,23 +244,60 @@ def _write(folder: str, path: str, end_id: int, block: int, lanes: int, file_ids
     return run
 
 
-def write(docs: DataFrame, tokenizer: str, folder: str | None = None, end_id: int = 0, block: int = 4096, lanes: int = 2048, rows_a_range: int = 10_000, most_ranges: int = 8192, file_ids: int = 1 << 26) -> tuple[DataFrame, str]:
-    """Writes the ids of ``docs`` (doc_id, text). Returns the manifest, with the start of every file, and the folder."""
+def cut_points(lengths: DataFrame, n: int, total: int) -> list[int]:
+    """At most n - 1 ids that part (doc_id, n_bytes) into ranges of about equally many bytes.
+
+    Each id is drawn as often as its bytes hold units of 1/64 of a range, the rest by a hash of the id; so quantiles of some
+    64 n draws are taken, whatever the corpus. An id that fills ranges of its own is one cut point.
+    """
+    if n < 2:
+        return []
+    unit = max(1.0, total / (64 * n))
+    chance = F.pmod(F.xxhash64("doc_id", F.lit(17)), F.lit(1 << 20)) / float(1 << 20)
+    times = F.floor(F.col("n_bytes") / unit + chance).cast("int")
+    drawn = lengths.filter("doc_id is not null").withColumn("times", times).filter("times > 0")
+    drawn = drawn.select("doc_id", F.explode(F.sequence(F.lit(1), F.least("times", F.lit(64 * n)))).alias("k"))
+    return sorted(set(drawn.agg(F.percentile_approx("doc_id", [i / n for i in range(1, n)], max(10_000, 32 * n)).alias("c")).first()["c"] or []))
+
+
+def ranged(rows: DataFrame, cuts: list[int]) -> DataFrame:
+    """``rows`` with ``range``, the number of cut points below doc_id; null ids are in range 0.
+
+    The ids between two cut points are parted into cells of a grid, and the small table of (cell, range) is broadcast: as
+    many rows as there are cells and cut points. So a row looks at the cut points of its own cell only.
+    """
+    if not cuts:
+        return rows.withColumn("range", F.lit(0))
+    lo, cells = cuts[0], 2 * len(cuts)
+    width = max(1, -(-(cuts[-1] - lo) // cells))
+    cell_of = lambda c: max(0, min(cells, (c - lo) // width + 1))
+    bounds = [None, *cuts, None]  # range i holds ids above bounds[i], up to bounds[i + 1]
+    table = []
+    for i, (a, b) in enumerate(zip(bounds[:-1], bounds[1:], strict=True)):
+        table += [(c, i, a, b) for c in range(0 if a is None else cell_of(a), (cells if b is None else cell_of(b)) + 1)]
+    small = rows.sparkSession.createDataFrame(table, "__cell long, range int, __above long, __upto long")
+    id_ = F.col("doc_id")
+    step = F.expr(f"(cast(doc_id as decimal(20,0)) - cast('{lo}' as decimal(20,0))) div cast('{width}' as decimal(20,0))")
+    cell = F.when(id_ < lo, 0).when(id_ >= cuts[-1], cell_of(cuts[-1])).otherwise(F.least(step + 1, F.lit(cells).cast("long")))
+    placed = rows.withColumn("__cell", cell.cast("long")).join(F.broadcast(small), "__cell", "left")
+    fits = (F.col("__above").isNull() | (id_ > F.col("__above"))) & (F.col("__upto").isNull() | (id_ <= F.col("__upto")))
+    return placed.filter(id_.isNull() | fits).withColumn("range", F.coalesce("range", F.lit(0))).select(*rows.columns, "range")
+
+
+def write(docs: DataFrame, tokenizer: str, folder: str | None = None, end_id: int = 0, block: int = 4096, lanes: int = 2048, range_bytes: int = 32 << 20, most_ranges: int = 65_536, file_ids: int = 1 << 26) -> tuple[DataFrame, str]:
+    """Writes the ids of ``docs`` (doc_id, text). Returns the manifest, with the start of every file, and the folder.
+
+    ``range_bytes`` of text make a range; above ``most_ranges`` of them ranges grow. A task holds one batch of texts and its
+    coder, and sorts its range with Spark, which spills; so a large range costs time only. A range ends a file at ``file_ids``.
+    """
     work = Workspace(docs.sparkSession, "tokens")
     folder = folder or work.path("ids")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    n = rows.select("doc_id").count()
-    ranges = max(1, min(most_ranges, -(-n // rows_a_range)))
-    cuts: list[int] = []
-    if ranges > 1:
-        shares = [i / ranges for i in range(1, ranges)]
-        cuts = sorted(set(rows.select("doc_id").agg(F.percentile_approx("doc_id", shares, 50 * ranges)).first()[0] or []))
-    where = F.lit(0)
-    if cuts:  # the number of cut points not above the id, by the place the id would have among them
-        edges = F.array(*[F.lit(c) for c in cuts])
-        where = F.size(F.filter(edges, lambda c: c < F.col("doc_id")))
-    ranged = rows.withColumn("range", F.coalesce(where, F.lit(0)).cast("int"))
-    sorted_ = ranged.repartition(len(cuts) + 1, "range").sortWithinPartitions("range", F.asc_nulls_first("doc_id"))
+    lengths = work.table(rows.select("doc_id", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes")), "lengths")
+    total = lengths.agg(F.coalesce(F.sum("n_bytes"), F.lit(0)).alias("n")).first()["n"]
+    cuts = cut_points(lengths, max(1, min(most_ranges, -(-total // range_bytes))), total)
+    # a range is a partition, by number
+    sorted_ = ranged(rows, cuts).repartitionById(len(cuts) + 1, F.col("range")).sortWithinPartitions("range", F.asc_nulls_first("doc_id"))
     done = work.table(sorted_.select("range", "doc_id", "text").mapInArrow(_write(folder, tokenizer, end_id, block, lanes, file_ids), MANIFEST), "manifest")
     # a row per file; names are in order of writing
     starts, total = [], 0

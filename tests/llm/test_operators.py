@@ -197,9 +197,8 @@ def test_token_files(spark):
 
     path = tokens.default_tokenizer()
     t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
-    rows = [*ODD, (8, "naïve  café 😀\r\n\ttab"), (9, "<|endoftext|> x"), (-3, "negative id")]
-    manifest, folder = tokens.write(docs_of(spark, rows), path, block=64, lanes=4, rows_a_range=3)
+    rows = [*ODD, (8, "naïve  café 😀\r\n\ttab"), (9, "a <|endoftext|> x"), (-3, "negative id"), (10, "b<|endoftext|>"), (1 << 62, "far"), (-(1 << 62), "far below")]
+    manifest, folder = tokens.write(docs_of(spark, rows), path, block=64, lanes=4, range_bytes=40)
     got = sorted(tokens.read(manifest, folder, lanes=3).collect(), key=lambda r: r["start"])
     key = lambda i: (i is not None, i)
     assert [key(r["doc_id"]) for r in got] == sorted(key(i) for i, _ in rows)
@@ -407,7 +406,7 @@ def test_near_vectors(spark):
 def test_nearest(spark):
     rows = vector_rows(1, 900)
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumn("score", F.lit("x"))
-    out = search.nearest(df, F.col("vec_id") % 20 == 0, k=20, rerank=60).collect()
+    out = search.nearest(df, F.col("vec_id") % 20 == 0, k=20).collect()
     good = {i: np.array(v, np.float32).astype(float) for i, v in rows if i is not None and usable(v)}
     by = {}
     for r in out:
@@ -437,7 +436,7 @@ def test_nearest_in_groups_of_copies(spark):
     df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
     exact = x.astype(float)
     got = {}
-    for r in search.nearest(df, F.col("vec_id") % 20 == 0, k=20, rerank=60, recall=1.0).collect():
+    for r in search.nearest(df, F.col("vec_id") % 20 == 0, k=20, recall=1.0).collect():
         got.setdefault(r["query_id"], set()).add(r["vec_id"])
     hit = total = 0
     for i in range(0, 2200, 20):
