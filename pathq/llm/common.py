@@ -44,6 +44,10 @@ class Workspace:
             df.write.parquet(where)
         return self.spark.read.schema(df.schema).parquet(where)
 
+    def close(self) -> None:
+        """Remove the folder; what was built on it can no longer be read."""
+        remove(self.spark, self.root)
+
     def finish(self, df: DataFrame) -> DataFrame:
         """Write the result beside the folder, and remove the folder with all intermediate tables."""
         where = f"{self.root}-result"

@@ -20,6 +20,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from pathq.llm.common import Workspace
+
 ADDED = ("n_tokens", "bucket", "bucket_len", "batch", "slot", "padding")
 
 
@@ -143,5 +145,7 @@ def pack(docs: DataFrame, length: Column | None = None, n_buckets: int = 16, tok
 
 def op1_packing(spark, sf_dir: str) -> DataFrame:
     """Packs every row of documents; the texts themselves are not carried along."""
+    work = Workspace(spark, "packing")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", word_length(F.col("text")).alias("__len"))
-    return pack(docs, length=F.col("__len")).drop("__len")
+    docs = work.table(docs, "lengths")  # texts are read once; the plan and the ranks need lengths alone
+    return work.finish(pack(docs, length=F.col("__len")).drop("__len"))
