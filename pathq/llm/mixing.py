@@ -150,6 +150,8 @@ def mix(
 
 def op4_mixing(spark, sf_dir: str) -> DataFrame:
     """A row per document: how often it is taken, with its source's weight; texts are not carried along."""
+    work = Workspace(spark, "mixing-lengths")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "source", word_length(F.col("text")).alias("__len"))
+    docs = work.table(docs, "lengths")  # texts are read once
     mixed = mix(docs, length=F.col("__len"), target_entropy=0.97, max_repeats=4.0)
-    return mixed.select("doc_id", "source", "n_tokens", F.round("weight", 9).alias("weight"), "epoch", "block", F.round("position", 9).alias("position"))
+    return work.finish(mixed.select("doc_id", "source", "n_tokens", F.round("weight", 9).alias("weight"), "epoch", "block", F.round("position", 9).alias("position")))
