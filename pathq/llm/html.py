@@ -5,6 +5,11 @@ gives log-odds of being content; they become capacities from the source or to th
 other, and blocks under one parent, are tied by smoothness edges whose capacity falls with their distance in the
 tree. The minimum cut separates content from boilerplate.
 
+What elements say of themselves by name, class, id and role is evidence, not a verdict. A class is read token by token;
+tokens that only tell a state of the page (has-sidebar) do not count, and where tokens disagree the first one that says
+anything holds. An element that says boilerplate but holds the page's main element, its first heading or nearly all its
+prose is a wrapper, and what it says is void.
+
 The parser is a single pass over tags: it knows comments, raw-text elements, void elements and the end tags that HTML
 lets pages leave out. Character references are decoded, white space inside a block becomes one space, and blocks are
 joined by an empty line.
@@ -33,16 +38,20 @@ _ATTRIBUTE = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\
 _SPLIT = re.compile(r"[^a-z0-9]+|(?<=[a-z])(?=[A-Z])")
 
 # Element names of HTML by how they are parsed.
-RAW = frozenset("script style noscript template iframe textarea title xmp noembed noframes svg math object select".split())
+RAW = frozenset("script style noscript template iframe textarea title noembed noframes svg select".split())
+TO_THE_END = frozenset("script style textarea title".split())  # of a page, where they are not closed
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr nobr blink".split())
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr nobr blink math mrow mi mo mn ms mtext msup msub msubsup mfrac msqrt mroot mover munder mstyle semantics object".split())
 CLOSES_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul".split())
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "thead": {"tr", "td", "th"}, "tbody": {"thead", "tbody", "tr", "td", "th"}, "tfoot": {"tbody", "tr", "td", "th"}}
 SCOPE = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table"}, "th": {"table"}, "option": {"select"}, "thead": {"table"}, "tbody": {"table"}, "tfoot": {"table"}}
 WALLS = frozenset("html body table td th caption button object".split())
 
+STOPS = ".!?:;\"')…»”。！？"  # that end a sentence
+
 # Words in class, id and role that tell boilerplate or content.
 BOILERPLATE = frozenset("nav navbar navigation menu menubar submenu footer foot sidebar side aside rail ad ads advert advertisement adverts advertising adsense banner sponsor sponsored promo promotion promoted cookie cookies consent gdpr notice notices alert disclaimer comment comments disqus reply replies respond discussion share sharing social follow related recommend recommended recommendations more trending popular newsletter subscribe subscription signup login signin register popup modal overlay dialog breadcrumb breadcrumbs pagination pager toolbar topbar masthead skip search form copyright legal widget widgets tags toc contentinfo complementary paywall".split())
+STATES = frozenset("has with no not without is open opened closed enabled disabled layout active page".split())  # such a token tells a state
 HEADERS = frozenset("header head top site".split())
 CONTENT = frozenset("article content main post entry story body text prose page hentry articlebody".split())
 BAD_TAGS = frozenset("nav footer aside form dialog menu button fieldset".split())
@@ -51,11 +60,25 @@ GOOD_TAGS = frozenset("article main".split())
 
 @dataclass(slots=True)
 class Node:
+    """An element, with what it says of itself: good for content, bad for boilerplate, and how strongly."""
+
     tag: str
     parent: Node | None
     depth: int
-    good: bool  # an ancestor or the element itself says content
-    bad: float  # how strongly an ancestor or the element itself says boilerplate
+    good: bool
+    bad: float
+    prose: int = 0  # characters of unlinked prose inside
+    wraps: bool = False  # holds the page's main element or its first heading
+
+    def told(self, all_prose: int) -> tuple[bool, float]:
+        """(whether anything around says content, how strongly anything around says boilerplate)."""
+        good, bad, at = False, 0.0, self
+        while at is not None:
+            good = good or at.good
+            if at.bad and not (at.wraps or all_prose and at.prose > 0.9 * all_prose):
+                bad = max(bad, at.bad if at.bad >= 2 or not good else 0.0)
+            at = at.parent
+        return good, bad
 
 
 @dataclass(slots=True)
@@ -85,30 +108,35 @@ class Weights:
     fade: float = field(default=0.5)
 
 
-def _signals(tag: str, attributes: str, parent: Node | None) -> tuple[bool, float]:
-    good, bad = (parent.good, parent.bad) if parent else (False, 0.0)
-    if tag in GOOD_TAGS:
-        good = True
-    if tag in BAD_TAGS:
-        bad = 2.0
-    elif tag == "header" and not good:
-        bad = max(bad, 1.0)
+def _said(value: str) -> str:
+    """What a class, id or role says: "content", "boilerplate", "header" or nothing."""
+    said = ""
+    for token in value.split():
+        words = {w for w in _SPLIT.split(re.sub(r"(?<=[a-z0-9])(?=[A-Z])", "-", token).lower()) if w}
+        if words & STATES and len(words) > 1:
+            continue
+        now = "boilerplate" if words & BOILERPLATE else "content" if words & CONTENT else "header" if words & HEADERS else ""
+        if now and (not said or said == "header"):
+            said = now
+    return said
+
+
+def _signals(tag: str, attributes: str) -> tuple[bool, float]:
+    """What an element says of itself."""
+    good, bad = tag in GOOD_TAGS, 2.0 if tag in BAD_TAGS else 1.0 if tag == "header" else 0.0
     if "=" in attributes or "hidden" in attributes:
-        words: set[str] = set()
         for name, *values in _ATTRIBUTE.findall(attributes):
             name, value = name.lower(), "".join(values)
-            if name in ("class", "id", "role"):
-                words.update(w for w in re.split(r"[^a-z0-9]+", re.sub(r"(?<=[a-z])(?=[A-Z])", "-", value).lower()) if w)
+            if name in ("class", "id", "role") and tag not in ("html", "body"):
+                said = _said(value)
+                if said == "boilerplate" and not (good and bad < 2 and name != "class"):
+                    good, bad = False, 2.0
+                elif said == "content" and bad < 2:
+                    good = True
+                elif said == "header" and not good:
+                    bad = max(bad, 1.0)
             elif name == "hidden" or name == "aria-hidden" and value.lower() == "true" or name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value.lower()):
-                bad = 2.0
-        if words and tag not in ("html", "body"):
-            own = bool(words & CONTENT)
-            if words & BOILERPLATE:
-                bad = 2.0
-            elif words & HEADERS and not own and not good or "banner" in words:
-                bad = max(bad, 1.0)
-            elif own:
-                good = True
+                bad = 3.0
     return good, bad
 
 
@@ -117,7 +145,7 @@ def parse(page: str) -> list[Block]:
     root = Node("#", None, 0, False, 0.0)
     node, blocks = root, []
     pieces: list[str] = []
-    linked, links, place, head = 0, 0, root, 0
+    linked, links, place, head, headed = 0, 0, root, 0, False
 
     def flush() -> None:
         nonlocal pieces, linked, place
@@ -125,6 +153,12 @@ def parse(page: str) -> list[Block]:
             text = " ".join("".join(pieces).split())
             if text:
                 blocks.append(Block(place, text, min(linked, len(text)), head > 0))
+                own = len(text) - blocks[-1].linked
+                if not head and (text[-1] in STOPS or text.count(" ") >= 9):
+                    up = place
+                    while up is not None:
+                        up.prose += own
+                        up = up.parent
         pieces, linked = [], 0
 
     def add(raw: str) -> None:
@@ -188,7 +222,7 @@ def parse(page: str) -> list[Block]:
         if tag in RAW:
             end = re.compile(rf"</{re.escape(tag)}(?=[\s/>]|\Z)[^>]*>?", re.I).search(page, at)
             if not m[3].rstrip().endswith("/"):
-                at = end.end() if end else n
+                at = end.end() if end else n if tag in TO_THE_END else at  # others are left open by mistake, and what follows is the page
             continue
         if tag in VOID:
             continue
@@ -203,8 +237,13 @@ def parse(page: str) -> list[Block]:
             if close({"a"}, WALLS):
                 pass
             links += 1
-        good, bad = _signals(tag, m[3], node)
-        node = Node(tag, node, node.depth + 1, good, bad)
+        node = Node(tag, node, node.depth + 1, *_signals(tag, m[3]))
+        if tag == "main" or tag == "h1" and not headed:
+            headed = headed or tag == "h1"
+            up = node.parent
+            while up is not None and not up.wraps:
+                up.wraps = up.tag not in ("header", "nav")  # the name of a site stands there
+                up = up.parent
         if tag == "head":
             head = 1
     flush()
@@ -214,14 +253,15 @@ def parse(page: str) -> list[Block]:
 # --- labelling -----------------------------------------------------------------------------------------------------
 
 
-def odds(block: Block, w: Weights) -> float:
+def odds(block: Block, w: Weights, all_prose: int = 0) -> float:
     """Log-odds that the block is content."""
     node, text = block.node, block.text
-    if node.bad >= 2:
+    good, bad = node.told(all_prose)
+    if bad >= 2:
         return w.strong
     words = text.count(" ") + 1
     score = w.start + w.length * math.log1p(min(words, 200)) + w.link * block.linked / len(text)
-    if text[-1] in ".!?:;\"')…»”。！？":
+    if text[-1] in STOPS:
         score += w.sentence
     at = node
     while at.parent is not None and at.tag in INLINE:
@@ -232,9 +272,9 @@ def odds(block: Block, w: Weights) -> float:
         score += w.heading
     elif at.tag == "li":
         score += w.item
-    if node.good:
+    if good:
         score += w.good
-    if node.bad >= 1:
+    if bad >= 1:
         score += w.header
     return score
 
@@ -251,9 +291,12 @@ def _apart(a: Node, b: Node) -> tuple[int, bool]:
     return steps, same
 
 
-def label(blocks: list[Block], w: Weights = Weights()) -> list[bool]:
-    """True for content blocks, by minimum cut."""
-    terminal = [odds(b, w) for b in blocks]
+def label(blocks: list[Block], w: Weights = Weights()) -> tuple[list[bool], int]:
+    """(True for content blocks, by minimum cut; how many of them the edges turned against their own odds)."""
+    root = blocks[0].node if blocks else None
+    while root is not None and root.parent is not None:
+        root = root.parent
+    terminal = [odds(b, w, root.prose) for b in blocks]
     edges: list[tuple[int, int, float]] = []
     last: dict[int, int] = {}
     for i, b in enumerate(blocks):
@@ -264,7 +307,8 @@ def label(blocks: list[Block], w: Weights = Weights()) -> list[bool]:
         if (j := last.get(parent)) is not None:
             edges.append((j, i, w.sibling))
         last[parent] = i
-    return cut(terminal, edges)
+    kept = cut(terminal, edges)
+    return kept, sum(k != (t > 0) for k, t in zip(kept, terminal, strict=True))
 
 
 def cut(terminal: list[float], edges: list[tuple[int, int, float]]) -> list[bool]:
@@ -338,20 +382,27 @@ def _flow(core: list[int], terminal: list[float], links: list[dict[int, float]])
 def main_text(page: str | None, w: Weights = Weights()) -> str:
     if not page:
         return ""
-    blocks = parse(page)
-    return "\n\n".join(b.text for b, keep in zip(blocks, label(blocks, w), strict=True) if keep)
+    return labelled(page, w)[0]
+
+
+def labelled(page: str | None, w: Weights = Weights()) -> tuple[str, int, int]:
+    """(main text, number of blocks, number of blocks whose label the smoothness edges turned)."""
+    blocks = parse(page) if page else []
+    kept, turned = label(blocks, w)
+    return "\n\n".join(b.text for b, keep in zip(blocks, kept, strict=True) if keep), len(blocks), turned
 
 
 def extract(pages: DataFrame, w: Weights = Weights()) -> DataFrame:
-    """Per row of ``pages`` (page_id, url, html): page_id, url, text, n_chars."""
+    """Per row of ``pages`` (page_id, url, html): page_id, url, text, n_chars, n_blocks, n_turned."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [main_text(x.as_py(), w) for x in batch["html"]]
-            yield pa.RecordBatch.from_arrays([batch["page_id"], batch["url"], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
+            texts, blocks, turned = zip(*(labelled(x.as_py(), w) for x in batch["html"]), strict=True) if batch.num_rows else ((), (), ())
+            lengths = pa.array([len(t) for t in texts], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch["page_id"], batch["url"], pa.array(texts, pa.string()), lengths, pa.array(blocks, pa.int64()), pa.array(turned, pa.int64())], names=["page_id", "url", "text", "n_chars", "n_blocks", "n_turned"])
 
     rows = pages.select(pages["page_id"].cast("long").alias("page_id"), pages["url"].cast("string").alias("url"), "html")
-    return rows.mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    return rows.mapInArrow(run, "page_id long, url string, text string, n_chars long, n_blocks long, n_turned long")
 
 
 def op5_html_text(spark, sf_dir: str) -> DataFrame:
