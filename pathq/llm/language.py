@@ -8,8 +8,8 @@ N-grams run over the lower-cased text, where every run of characters that are no
 They are packed exactly into 63 bits (three code points of 21 bits). Whole texts count; long ones are counted
 in slabs, so memory is bounded by the slab and by the text's distinct n-grams.
 
-Profiles are fitted on a bounded sample of labelled rows (``max_train_docs``, drawn by a hash of the id);
-prediction covers every row.
+Profiles are fitted on a bounded sample of labelled rows (``max_train_docs`` of each language, drawn by a hash of the
+id; all rows of a language that has fewer); prediction covers every row.
 
 Edge cases: null texts and texts without a letter give ``und`` and score 0. Ties go to the smaller name. Repeated
 rows are predicted alike. Without any training row all predictions are ``und``. Extra columns are ignored; a
@@ -117,20 +117,25 @@ def _sample_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         yield pa.RecordBatch.from_arrays([pa.array([lang] * len(own), pa.string()), pa.array(list(own), pa.int64()), pa.array(list(own.values()), pa.int64())], names=["lang", "gram", "n"])
 
 
-def fit(labelled: DataFrame, max_train_docs: int = 8000, top: int = TOP) -> dict[str, np.ndarray]:
-    """Profiles by language, from at most about ``max_train_docs`` rows of (doc_id, text, lang) with a label and text."""
+def fit(labelled: DataFrame, max_train_docs: int = 2000, top: int = TOP) -> dict[str, np.ndarray]:
+    """Profiles by language, from about ``max_train_docs`` rows of each language, or all it has, out of (doc_id, text, lang)."""
     spark = labelled.sparkSession
     usable = labelled.filter(F.col("lang").isNotNull() & F.col("text").isNotNull())
-    n = usable.count()
-    share = min(1.0, max_train_docs / n) if n else 1.0
-    drawn = usable.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int(share * (1 << 20)) + (share == 1.0))
+    rows = usable.groupBy("lang").count().collect()  # names of languages: a closed set
+    if not rows:
+        return {}
+    most = 1 << 20
+    shares = F.create_map(*[F.lit(x) for r in rows for x in (r["lang"], min(most, max_train_docs * most // r["count"]))])
+    drawn = usable.filter(F.pmod(F.xxhash64("doc_id"), F.lit(most)) < F.element_at(shares, F.col("lang")))
     counts = drawn.select("text", "lang").mapInArrow(_sample_counts, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
-    counts = Workspace(spark, "language").table(counts, "grams")
+    work = Workspace(spark, "language")
+    counts = work.table(counts, "grams")
     langs = [r[0] for r in counts.select("lang").distinct().collect()]  # names of languages: a closed set
     profiles = {}
     for lang in sorted(langs):
         best = counts.filter(F.col("lang") == lang).orderBy(F.desc("n"), "gram").limit(top).select("gram").collect()
         profiles[lang] = np.array([r[0] for r in best], dtype=np.uint64)
+    work.close()
     return profiles
 
 
