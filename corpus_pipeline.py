@@ -13,14 +13,15 @@ from pathq.llm.common import Workspace, prefilter
 from pathq.llm.language import UNKNOWN, fit, identify
 from pathq.llm.mixing import ADDED, mix
 from pathq.llm.near_dedup import near_duplicates
-from pathq.llm.packing import pack
+from pathq.llm.packing import pack, word_length
 
 #: Below this score nothing of a text resembles any language learned; prose in a learned language scores far above.
 LEAST_SCORE = 0.05
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rejects documents without a letter, or with n-grams that no profile has."""
+    """Rejects documents without a letter, null and empty texts among them, or with n-grams that no profile has. Repeated
+    rows fare alike; rows without an id or label are judged by their text; without any labelled row all are rejected."""
     said = identify(docs, fit(docs.select("doc_id", "text", "lang")))
     return said.filter((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= LEAST_SCORE)).select(*docs.columns)
 
@@ -42,12 +43,20 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Brings the sources nearer to equal shares within the same token budget; no source is repeated more than twice."""
+    """Brings the sources nearer to equal shares within the same token budget; no source is repeated more than twice.
+
+    A null source is a source of its own. Documents without words, null texts among them, are taken once. Repeated rows are
+    rows of their own. An empty table stays empty.
+    """
     return mix(docs, target_entropy=0.97, max_repeats=2.0).drop(*ADDED)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pack(docs).drop("text")
+    """Every row with its bucket, batch and slot, without its text. Null and empty texts have length 0 and lie in the
+    first bucket; repeated rows are rows of their own; an empty table stays empty; columns named like the added ones are replaced."""
+    lengths = docs.select(*[c for c in docs.columns if c != "text"], word_length(F.col("text")).alias("__len"))
+    work = Workspace(spark, "pipeline-packing")
+    return work.finish(pack(work.table(lengths, "lengths"), length=F.col("__len")).drop("__len"))  # texts are read once
 
 
 STAGES = [("language", language), ("near_dedup", near_dedup), ("mixture", mixture), ("packing", packing)]
