@@ -278,7 +278,7 @@ def ranged(rows: DataFrame, cuts: list[int]) -> DataFrame:
     small = rows.sparkSession.createDataFrame(table, "__cell long, range int, __above long, __upto long")
     id_ = F.col("doc_id")
     step = F.expr(f"(cast(doc_id as decimal(20,0)) - cast('{lo}' as decimal(20,0))) div cast('{width}' as decimal(20,0))")
-    cell = F.when(id_ < lo, 0).when(id_ >= cuts[-1], cell_of(cuts[-1])).otherwise(F.least(step + 1, F.lit(cells).cast("long")))
+    cell = F.when(id_.isNull(), -1).when(id_ < lo, 0).when(id_ >= cuts[-1], cell_of(cuts[-1])).otherwise(F.least(step + 1, F.lit(cells).cast("long")))
     placed = rows.withColumn("__cell", cell.cast("long")).join(F.broadcast(small), "__cell", "left")
     fits = (F.col("__above").isNull() | (id_ > F.col("__above"))) & (F.col("__upto").isNull() | (id_ <= F.col("__upto")))
     return placed.filter(id_.isNull() | fits).withColumn("range", F.coalesce("range", F.lit(0))).select(*rows.columns, "range")
