@@ -28,6 +28,16 @@ def bound_closure(v: int, e: int, out: int) -> float:
     return min(out * math.sqrt(e), float(v) * e)
 
 
+def floor_combinatorial(v: int, e: int, exponent: float = 0.9) -> float:
+    """What no combinatorial method can keep to for all graphs, at any exponent below 1, if Boolean matrix products need cubic work."""
+    return (float(v) * e) ** exponent
+
+
+def floor_any(e: int, out: int, exponent: float = 0.9) -> float:
+    """What no method can keep to for all graphs, at any exponent below 1, if sparse matrix products need more than linear work."""
+    return float(e + out) ** exponent
+
+
 def most_heavy_sources(v: int, e: int, out: int) -> float:
     return min(out / math.sqrt(e), v) if e else 0.0
 

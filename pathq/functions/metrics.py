@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import asdict, dataclass, fields
 
 from pyspark.sql import DataFrame, SparkSession
@@ -19,13 +20,16 @@ class RunReport:
     n_edges: int = 0
     n_labels: int = 0
     automaton_size: int = 0
+    product_vertices: int = 0
     product_edges: int = 0
     canonical_edges: int = 0
     out: int = 0
+    out_states: int = 0
     cap: int = 0
     reach_rows: int = 0
     n_light: int = 0
     n_heavy: int = 0
+    n_absent: int = 0
     heavy_sources: int = 0
     light_rows: int = 0
     trail_rows: int = 0
@@ -33,35 +37,72 @@ class RunReport:
     inspect_reach: int = 0
     inspect_trail: int = 0
     inspect_search: int = 0
+    inspect_closure: int = 0
     rounds: int = 0
+    seconds: float = 0.0
+    shuffle_bytes: int = 0
+    peak_rows: int = 0
 
     @property
     def inspected(self) -> int:
         return self.inspect_reach + self.inspect_trail
 
-    @property
-    def gain(self) -> float | None:
-        """Search inspections per inspection of the capped split."""
-        return self.inspect_search / self.inspected if self.inspected else None
+    def gain_over(self, search: RunReport) -> float | None:
+        """Inspections of a search of the same query per inspection of this run; None where this run made none."""
+        return search.inspect_search / self.inspected if self.inspected else None
 
     @property
     def bound_search(self) -> float:
         return bounds.bound_search(self.n_vertices, self.n_edges)
 
+    @property
+    def bound_combined(self) -> float:
+        """The search bound with its factor for the automaton."""
+        return self.bound_search * max(1, self.automaton_size)
+
     @property
     def bound_split(self) -> float:
         return bounds.bound_split(self.n_vertices, self.n_edges, self.out)
 
     def invariants(self) -> dict[str, bool]:
-        """What has to hold whatever the data; product vertices stand for vertices."""
+        """What has to hold of a capped run whatever the data; product vertices stand for vertices."""
         v = self.n_light + self.n_heavy
         return {
             "lists_within_cap": self.cap == 0 or self.reach_rows <= v * self.cap,
             "reach_within_bound": self.cap == 0 or self.inspect_reach <= self.canonical_edges * self.cap,
-            "trail_within_bound": self.inspect_trail <= self.heavy_sources * max(self.canonical_edges, 1),
-            "few_heavy_sources": self.cap == 0 or self.heavy_sources * self.cap <= self.out * max(self.automaton_size, 1) or self.heavy_sources == 0,
+            "trail_within_bound": self.inspect_trail <= self.heavy_sources * self.canonical_edges,
+            # every heavy source has as many answers as the cap, at least
+            "few_heavy_sources": self.heavy_sources * self.cap <= self.out,
         }
 
     def to_df(self, spark: SparkSession) -> DataFrame:
-        kinds = {"int": "long", "str": "string"}
+        kinds = {"int": "long", "str": "string", "float": "double"}
         return spark.createDataFrame([tuple(asdict(self).values())], ", ".join(f"{f.name} {kinds[f.type]}" for f in fields(self)))
+
+
+class Probe:
+    """What Spark's own counters say of the stages that run between its making and ``read``: time, shuffled bytes, and the
+    most rows that one task read from a shuffle. Other work of the session in that time counts too."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.began = spark, time.perf_counter()
+        self.last = max((s.stageId() for s in self._stages()), default=-1)
+
+    def _stages(self, peaks: bool = False) -> list:
+        sc = self.spark.sparkContext
+        quantiles = sc._gateway.new_array(sc._jvm.double, 1 if peaks else 0)
+        if peaks:
+            quantiles[0] = 1.0
+        found = sc._jsc.sc().statusStore().stageList(None, False, peaks, quantiles, None)
+        return [found.apply(i) for i in range(found.size())]
+
+    def read(self) -> dict[str, float | int]:
+        seconds, shuffled, peak = time.perf_counter() - self.began, 0, 0
+        for s in self._stages(peaks=True):
+            if s.stageId() <= self.last:
+                continue
+            shuffled += s.shuffleWriteBytes()
+            told = s.taskMetricsDistributions()
+            if told.isDefined():
+                peak = max(peak, int(told.get().shuffleReadMetrics().readRecords().apply(0)))
+        return {"seconds": round(seconds, 3), "shuffle_bytes": shuffled, "peak_rows": peak}

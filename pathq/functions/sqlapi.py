@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,46 +17,51 @@ from pathq.sources.graph import PathGraph
 LIMIT = 5_000_000
 
 
-def local_answers(edges: list[tuple[int, str, int]], expr: str) -> list[tuple[int, int]]:
-    """Answers over the edges of one component, in memory, without the pairs of the empty path."""
+def local_answers(src: np.ndarray, label: np.ndarray, dst: np.ndarray, expr: str) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct answers over the edges of one component, in memory; the empty path answers for every end of an edge."""
     a = compile_path(expr)
     n = a.n_states
-    moves: list[tuple[int, int]] = []
-    for s, label, t in edges:
-        for q, symbol, p in a.transitions:
-            if symbol.matches(label):
-                u, v = (t, s) if symbol.backward else (s, t)
-                moves.append((u * n + q, v * n + p))
-    if not moves:
-        return []
-    m = np.unique(np.array(moves, np.int64), axis=0)
-    src, dst = m[:, 0], m[:, 1]
-    starts = np.unique(src[np.isin(src % n, sorted(a.initial))])
-    ends = np.unique(dst[np.isin(dst % n, sorted(a.accepting))])
-    if not len(starts) or not len(ends):
-        return []
-    g = Local.build((starts // n, starts), (src, dst), (ends, ends // n))
-    x, y = flat(g.capped_split())
-    return sorted(set(zip(x.tolist(), y.tolist(), strict=True)))
+    names, src, dst = np.unique(np.concatenate((src, dst))), np.asarray(src, np.int64), np.asarray(dst, np.int64)
+    u, v = np.searchsorted(names, src), np.searchsorted(names, dst)  # dense, so that product vertices fit a number
+    moves = [np.empty((0, 2), np.int64)]
+    for q, symbol, p in a.transitions:
+        at = np.array([symbol.matches(x) for x in label], bool)
+        here, there = (v[at], u[at]) if symbol.backward else (u[at], v[at])
+        moves.append(np.stack((here * n + q, there * n + p), axis=1))
+    m = np.unique(np.concatenate(moves), axis=0)
+    starts = np.unique(m[np.isin(m[:, 0] % n, sorted(a.initial)), 0])
+    ends = np.unique(m[np.isin(m[:, 1] % n, sorted(a.accepting)), 1])
+    found = flat(Local.build((starts // n, starts), (m[:, 0], m[:, 1]), (ends, ends // n)).capped_split()) if len(starts) and len(ends) else (starts[:0], starts[:0])
+    own = np.arange(len(names) if a.nullable else 0)
+    pairs = np.unique(np.stack((np.append(found[0], own), np.append(found[1], own)), axis=1).astype(np.int64), axis=0)
+    return names[pairs[:, 0]], names[pairs[:, 1]]
 
 
 class PathQuery:
-    """UDTF body: gathers a partition's edges, answers when it ends. One partition is one component of the graph."""
+    """UDTF body: gathers a partition's edges as Arrow batches, answers when it ends. One partition is one component of the graph.
 
-    def __init__(self) -> None:
-        self.edges: list[tuple[int, str, int]] = []
-        self.expr: str | None = None
-
-    def eval(self, row, expr: str):
-        if self.expr is None:
-            self.expr = expr
-        if len(self.edges) >= LIMIT:
-            raise ValueError(f"a component has more than {LIMIT} edges; use pathq.plans.planner.evaluate")
-        self.edges.append((row["src"], row["label"], row["dst"]))
+    Edges with a null end or label are no edges.
+    """
 
-    def terminate(self) -> Iterator[tuple[int, int]]:
-        if self.expr is not None:
-            yield from local_answers(self.edges, self.expr)
+    def __init__(self) -> None:
+        self.held: list[pa.Table] = []
+        self.n, self.expr = 0, None
+
+    def eval(self, edges: pa.RecordBatch, expr: pa.Array) -> Iterator[pa.Table]:
+        if edges.num_rows:
+            self.expr = self.expr or expr[0].as_py()
+            whole = pa.table({c: edges[c] for c in ("src", "label", "dst")}).drop_null()
+            self.held.append(whole)
+            self.n += whole.num_rows
+            if self.n > LIMIT:
+                raise ValueError(f"a component has more than {LIMIT} edges; use pathq.plans.planner.evaluate")
+        return iter(())
+
+    def terminate(self) -> Iterator[pa.Table]:
+        if self.n:
+            whole = pa.concat_tables(self.held)
+            src, dst = local_answers(whole["src"].to_numpy(), whole["label"].to_numpy(), whole["dst"].to_numpy(), self.expr)
+            yield pa.table({"src": pa.array(src, pa.int64()), "dst": pa.array(dst, pa.int64())})
 
 
 def matches(automaton: Automaton, words: pd.Series) -> pd.Series:
@@ -97,7 +103,7 @@ def capped_set(column, cap: int):
 
 def register(spark: SparkSession, graph: PathGraph | None = None, name: str = "edges") -> None:
     """The table function ``path_query(TABLE(...) PARTITION BY (...), expr)``, the scalar ``path_matches(labels, expr)`` and, with a graph, views of it."""
-    spark.udtf.register("path_query", F.udtf(PathQuery, returnType="src: bigint, dst: bigint"))
+    spark.udtf.register("path_query", F.arrow_udtf(PathQuery, returnType="src bigint, dst bigint"))
 
     @F.pandas_udf("boolean")
     def path_matches(words: pd.Series, exprs: pd.Series) -> pd.Series:

@@ -51,35 +51,44 @@ def heavy_walk(starts: DataFrame, middle: DataFrame, heavy: DataFrame, store: St
     return walked, arrivals(rest, light), log
 
 
-def evaluate_capped_split(canon: Canonical, store: Store, cap: Cap = "sqrt", prune: bool = False, shortcut: bool = False, layout: str = "rows") -> tuple[DataFrame, dict[str, int]]:
+def stored(canon: Canonical, store: Store) -> tuple[Canonical, int]:
+    """(the same relations as tables, their number of rows)."""
+    (starts, a), (middle, b), (ends, c) = (store.counted(df, name) for df, name in ((canon.starts.distinct(), "starts"), (canon.middle, "middle"), (canon.ends.distinct(), "ends")))
+    return Canonical(starts, middle, ends, canon.identity, canon.packing), a + b + c
+
+
+def evaluate_capped_split(canon: Canonical, store: Store, cap: Cap = "sqrt", prune: bool = False, shortcut: bool = False, layout: str = "rows", most_rows: int | None = None) -> tuple[DataFrame, dict[str, int]]:
     """Distinct (src, dst) and counters.
 
     ``cap``: "sqrt" for the integer root of the edge count plus one, "adaptive" for 16, 64, 256, ... until heavy sources are no
-    more than the cap, a number, or None for complete lists. The answer does not depend on it.
+    more than the cap, a number, or None for complete lists. The answer does not depend on it. ``most_rows`` lowers the
+    cap so that lists of all vertices with a middle edge into them hold no more rows than that.
     """
-    middle = store.table(canon.middle, "middle")
-    starts, ends = store.table(canon.starts.distinct(), "starts"), store.table(canon.ends.distinct(), "ends")
-    canon = Canonical(starts, middle, ends, canon.identity, canon.n_states)
-    told: dict[str, int] = {"canonical_edges": canon.n_edges(), "inspect_reach": 0, "rounds": 0}
-    size = default_cap(told["canonical_edges"]) if cap == "sqrt" else FIRST_CAP if cap == "adaptive" else cap
+    canon, n_edges = stored(canon, store)
+    starts, middle, ends = canon.starts, canon.middle, canon.ends
+    told: dict[str, int] = {"canonical_edges": n_edges, "inspect_reach": 0, "rounds": 0}
+    size = default_cap(n_edges) if cap == "sqrt" else FIRST_CAP if cap == "adaptive" else cap
+    if most_rows is not None and size is not None:
+        size = max(1, min(size, most_rows // max(1, n_edges)))
+    smaller = None
     while True:
-        reach, log = capped_reach(canon, size, store) if layout == "rows" or size is None else array_reach(canon, size, store)
-        reach = store.table(reach, "lists")
+        reach, log = capped_reach(canon, size, store, smaller) if layout == "rows" or size is None else array_reach(canon, size, store)
         told["inspect_reach"] += log.inspected
         told["rounds"] += log.rounds
         light, heavy, counts = split(reach, size, store)
         sources = heavy_sources(starts, heavy).count() if counts["n_heavy"] else 0
         if cap != "adaptive" or sources <= size:
             break
+        smaller = (size, reach) if layout == "rows" else None
         size *= 4
-    told |= counts | {"cap": size or 0, "reach_rows": reach.count(), "heavy_sources": sources, "inspect_trail": 0, "trail_rows": 0}
+    told |= counts | {"cap": size or 0, "heavy_sources": sources, "inspect_trail": 0, "trail_rows": 0}
     found, n_light = store.counted(light_answers(starts, light).distinct(), "light-answers")
     told |= {"light_rows": n_light, "heavy_rows": 0}
     if sources:
         walked, short, log = heavy_walk(starts, middle, heavy, store, reach.select("x") if prune else None, light if shortcut else None)
         answers = arrivals(walked, ends)
         more, n_heavy = store.counted((answers if short is None else answers.unionByName(short)).distinct(), "heavy-answers")
-        told |= {"inspect_trail": log.inspected, "trail_rows": walked.count(), "heavy_rows": n_heavy}
+        told |= {"inspect_trail": log.inspected, "trail_rows": sum(log.new_rows) + log.seeds, "heavy_rows": n_heavy}
         told["rounds"] += log.rounds
         found = found.unionByName(more)
     return with_identity(found, canon), told

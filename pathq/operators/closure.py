@@ -9,12 +9,14 @@ from pathq.operators.fixpoint import Meter, RoundLog, iterate
 from pathq.store import Store
 
 
-def transitive_closure(edges: DataFrame, store: Store, rule: str = "delta", reflexive: DataFrame | None = None) -> tuple[DataFrame, RoundLog]:
+def transitive_closure(edges: DataFrame, store: Store, rule: str = "delta", reflexive: DataFrame | None = None, patience: int = 24) -> tuple[DataFrame, RoundLog]:
     """Distinct (src, dst) joined by one edge or more; with ``reflexive`` (id) also every (v, v).
 
     ``delta`` extends each pair once, in the round after it was found, by the edges at its end: the join with the edges
     comes first, then distinct, then the test against all pairs. ``right`` puts an edge in front instead. ``squaring`` joins
-    new pairs with all pairs, which takes a logarithmic number of rounds but may do more work.
+    new pairs with all pairs, which takes a logarithmic number of rounds but may do more work. ``deep`` starts as ``delta``
+    and goes on by squaring after ``patience`` rounds: what delta rounds have found by then are all pairs up to a distance,
+    and the newest those at it, so every farther pair has a shortest path that a newest pair begins.
     """
     e = store.table(edges.select("src", "dst").distinct(), "edges")
     hop = e.select(F.col("src").alias("here"), F.col("dst").alias("there"))
@@ -33,8 +35,8 @@ def transitive_closure(edges: DataFrame, store: Store, rule: str = "delta", refl
         behind = newest.join(other, F.col("src") == F.col("there")).select(F.col("here").alias("src"), "dst")
         return meter.watch(ahead.unionByName(behind)).distinct().join(total, ["src", "dst"], "left_anti")
 
-    steps = {"delta": delta, "left": delta, "right": right, "squaring": squaring}
-    found, log = iterate(e, steps[rule], store, f"closure-{rule}")
+    steps = {"delta": delta, "left": delta, "right": right, "squaring": squaring, "deep": delta}
+    found, log = iterate(e, steps[rule], store, f"closure-{rule}", change=(patience, squaring) if rule == "deep" else None)
     if reflexive is not None:
         found = found.unionByName(reflexive.select(F.col("id").alias("src"), F.col("id").alias("dst"))).distinct()
     return found, log

@@ -17,6 +17,7 @@ class RoundLog:
 
     new_rows: list[int] = field(default_factory=list)
     inspections: list[int] = field(default_factory=list)
+    seeds: int = 0
 
     @property
     def rounds(self) -> int:
@@ -47,27 +48,54 @@ class Meter:
 Step = Callable[[DataFrame, DataFrame, Meter], DataFrame]
 
 
-def iterate(seed: DataFrame, step: Step, store: Store, name: str, *, compact_every: int = 8, max_rounds: int = 100_000) -> tuple[DataFrame, RoundLog]:
-    """Rows of ``seed`` and all that ``step(newest, all so far, meter)`` adds, until it adds none.
+class Parts:
+    """A growing relation as a few tables. ``fan_in`` tables of one level become one of the next.
 
-    The step returns rows that are not in ``all so far``. Each round is one action, which writes its new rows to the
-    shared store and counts them; what was found before is not written again, but for a compaction now and then that
-    keeps plans short. Exceeding ``max_rounds`` raises.
+    So a row is written again once per level, of which there are as many as the logarithm of the number of rounds, and
+    a plan over all rows stays short.
     """
-    log, meter = RoundLog(), Meter()
+
+    def __init__(self, store: Store, name: str, fan_in: int = 8):
+        self.store, self.name, self.fan_in, self.levels = store, name, fan_in, [[]]
+
+    def add(self, part: DataFrame) -> None:
+        self.levels[0].append(part)
+        for i, level in enumerate(self.levels):
+            if len(level) < self.fan_in:
+                break
+            if i + 1 == len(self.levels):
+                self.levels.append([])
+            self.levels[i + 1].append(self.store.table(union_of(level), f"{self.name}-level-{i + 1}"))
+            self.levels[i] = []
+
+    def all(self) -> DataFrame:
+        return union_of([p for level in reversed(self.levels) for p in level])
+
+
+def iterate(seed: DataFrame, step: Step, store: Store, name: str, *, known: DataFrame | None = None, max_rounds: int = 100_000, change: tuple[int, Step] | None = None) -> tuple[DataFrame, RoundLog]:
+    """Rows of ``seed`` and ``known`` and all that ``step(newest, all so far, meter)`` adds to them, until it adds none.
+
+    The step returns rows that are not in ``all so far``; ``known`` are rows of earlier, which are not extended again. Each
+    round is one action, which writes its new rows to the shared store and counts them. ``change`` (rounds, step) goes on
+    with another step after so many rounds. Exceeding ``max_rounds`` raises.
+    """
+    log, meter, parts = RoundLog(), Meter(), Parts(store, name)
+    if known is not None:
+        parts.add(known)
     newest, n = store.counted(seed, f"{name}-seed")
-    parts: list[DataFrame] = [newest]
+    parts.add(newest)
+    log.seeds = n
     while n:
         if log.rounds >= max_rounds:
             raise RuntimeError(f"{name}: no fixpoint after {max_rounds} rounds")
-        if len(parts) > compact_every:
-            parts = [store.table(union_of(parts), f"{name}-all")]
-        newest, n = store.counted(step(newest, union_of(parts), meter), f"{name}-new")
+        if change is not None and log.rounds == change[0]:
+            step = change[1]
+        newest, n = store.counted(step(newest, parts.all(), meter), f"{name}-new")
         log.new_rows.append(n)
         log.inspections.append(meter.take())
         if n:
-            parts.append(newest)
-    return union_of(parts), log
+            parts.add(newest)
+    return parts.all(), log
 
 
 def union_of(parts: Sequence[DataFrame]) -> DataFrame:

@@ -1,8 +1,9 @@
 """Physical strategies that run a whole method inside tasks, where rounds over the cluster would cost more than the work.
 
-``by_component``: the graph falls apart by a known key; each component is evaluated in one task. ``broadcast_search``: the
-product is small enough to be sent everywhere, under a checked bound; starts are spread over tasks. Both give the
-answers of the distributed rounds.
+``by_part``: the graph falls apart by a known key; each part is evaluated in one task. ``in_tasks``: the graph is small, under a
+checked bound; its starts are dealt to a few tasks, each of which gets all middle edges and ends. Both give the answers
+of the distributed rounds. Rows reach the tasks through a shuffle and leave them as Arrow batches, so the driver holds
+neither relations nor answers, and a lost executor costs its tasks.
 """
 
 from __future__ import annotations
@@ -10,99 +11,108 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathq.operators.local import Local, flat
+from pathq.operators.capped_split import Cap, default_cap, stored
+from pathq.operators.local import Counters, Local
 from pathq.operators.product import Canonical
 from pathq.operators.search import with_identity
+from pathq.store import Store
 
-ANSWERS = "src long, dst long"
-LIMIT = 4_000_000  # product edges that are still broadcast: two arrays of 8 bytes each, 64 MB
+LIMIT = 4_000_000  # rows of the three relations that one task takes: some 200 MB in arrays
+OUTPUT = "kind int, src long, dst long"  # kind 0: an answer; kind 1: a counter's place and value
 
 
 class TooLarge(ValueError):
-    """The relations exceed what one task or one broadcast may hold."""
+    """The relations exceed what one task may hold."""
 
 
-def _arrays(df: DataFrame, a: str, b: str, limit: int) -> tuple[np.ndarray, np.ndarray]:
-    table = df.select(a, b).limit(limit + 1).toArrow()
-    if table.num_rows > limit:
-        raise TooLarge(f"more than {limit} rows")
-    return table.column(0).to_numpy(), table.column(1).to_numpy()
+def _tagged(canon: Canonical) -> DataFrame:
+    """(kind, p, q, at): middle edges, starts and ends in one relation, each with the product vertex that places it."""
+    if canon.packing.wide:
+        raise ValueError("product vertices of this graph do not fit one number; use the distributed methods")
+    parts = ((0, canon.middle, "src", "dst", "src"), (1, canon.starts.distinct(), "s", "x", "x"), (2, canon.ends.distinct(), "x", "y", "x"))
+    out = None
+    for kind, df, p, q, at in parts:
+        rows = df.select(F.lit(kind).alias("kind"), F.col(p).alias("p"), F.col(q).alias("q"), F.col(at).alias("at"))
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
-def broadcast_search(canon: Canonical, limit: int = LIMIT, method: str = "split", cap: int | str | None = "sqrt") -> tuple[DataFrame, dict[str, int]]:
-    """Distinct (src, dst). Lists are computed once on the driver's copy, within the bound; traversals run in tasks.
+def _runner(method: str, cap: Cap):
+    """Rows (part, kind, p, q), sorted by part -> answers and counters of each part."""
 
-    With ``method="search"`` every start is traversed. Raises ``TooLarge`` beyond ``limit`` rows of any relation.
-    """
-    spark = canon.middle.sparkSession
-    middle, starts, ends = (_arrays(df, a, b, limit) for df, a, b in ((canon.middle, "src", "dst"), (canon.starts.distinct(), "s", "x"), (canon.ends.distinct(), "x", "y")))
-    graph = Local.build(starts, middle, ends)
-    told = graph.counters
-    known: tuple[np.ndarray, np.ndarray] = (np.empty(0, np.int64), np.empty(0, np.int64))
-    left = np.arange(len(graph.s))
-    if method == "split":
-        size = None if cap is None else int(np.sqrt(graph.n_edges)) + 1 if cap == "sqrt" else int(cap)
-        lists = graph.reach(size)
-        heavy = np.array([size is not None and own is not None and len(own) >= size for own in lists], bool)
-        begins = heavy[graph.x] if len(graph.x) else np.zeros(0, bool)
-        light: dict[int, set[int]] = {}
-        for s, x in zip(graph.s[~begins].tolist(), graph.x[~begins].tolist(), strict=True):
-            if lists[x]:
-                light.setdefault(s, set()).update(lists[x])
-        known, left = flat(list(light.items())), np.flatnonzero(begins)
-        told.cap, told.n_heavy, told.reach_rows = size or 0, int(heavy.sum()), sum(len(x) for x in lists if x)
-        told.n_light = sum(x is not None for x in lists) - told.n_heavy
-        told.heavy_sources, told.light_rows = len(set(graph.s[left].tolist())), len(known[0])
-    parts = max(1, min(len(left), spark.sparkContext.defaultParallelism * 2))
-    shared = spark.sparkContext.broadcast(graph)
+    def evaluate(held: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+        kind, p, q = (np.concatenate(c) for c in zip(*held, strict=True))
+        pick = lambda k: (p[kind == k], q[kind == k])
+        middle, starts, ends = pick(0), pick(1), pick(2)
+        if not len(starts[0]):
+            return
+        g = Local.build(starts, middle, ends)
+        batch = lambda k, a, b: pa.RecordBatch.from_arrays([pa.array(np.full(len(a), k, np.int32)), pa.array(a), pa.array(b)], names=["kind", "src", "dst"])
+        for src, dst in g.capped_split(cap) if method == "split" else g.two_ended() if method == "two-ended" else g.search():
+            for at in range(0, len(src), 1 << 18):
+                yield batch(0, src[at : at + (1 << 18)], dst[at : at + (1 << 18)])
+        told = list(g.counters.row().values())
+        yield batch(1, np.arange(len(told), dtype=np.int64), np.array(told, np.int64))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        g = shared.value
+        last, held = None, []
         for batch in batches:
-            for k in batch["k"].to_pylist():
-                src, dst = flat(g.search(left[k::parts]))
-                for at in range(0, max(1, len(src)), 1 << 20):
-                    yield pa.RecordBatch.from_arrays([pa.array(src[at : at + (1 << 20)]), pa.array(dst[at : at + (1 << 20)])], names=["src", "dst"])
-
-    out = None
-    if len(known[0]):
-        out = spark.createDataFrame(pa.table({"src": known[0], "dst": known[1]}).to_pandas(), ANSWERS)
-    if len(left):
-        walked = spark.range(parts).withColumnRenamed("id", "k").repartition(parts, "k").mapInArrow(run, ANSWERS)
-        out = walked if out is None else out.unionByName(walked)
-    if out is None:
-        out = spark.createDataFrame([], ANSWERS)
-    return with_identity(out, canon), told.row()
-
-
-def by_component(canon: Canonical, component: DataFrame, method: str = "split", cap: int | str | None = "sqrt") -> tuple[DataFrame, DataFrame]:
-    """(distinct answers, counters per component), one task per group of components.
-
-    ``component``: (id, part), a part per product vertex, such that no middle edge leaves its part. A part has to fit a task;
+            if not batch.num_rows:
+                continue
+            part, *columns = (batch[c].to_numpy() for c in ("part", "kind", "p", "q"))
+            edges = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(part)]
+            for lo, hi in zip(edges[:-1], edges[1:], strict=True):
+                if part[lo] != last:
+                    if held:
+                        yield from evaluate(held)
+                    last, held = part[lo], []
+                held.append(tuple(c[lo:hi] for c in columns))
+        if held:
+            yield from evaluate(held)
+
+    return run
+
+
+def _evaluated(placed: DataFrame, canon: Canonical, store: Store, method: str, cap: Cap, tasks: int | None) -> tuple[DataFrame, dict[str, int]]:
+    dealt = placed.repartition(tasks, "part") if tasks else placed.repartition("part")
+    out = store.table(dealt.select("part", "kind", "p", "q").sortWithinPartitions("part").mapInArrow(_runner(method, cap), OUTPUT), "kernel")
+    names = list(Counters().row())
+    told = dict.fromkeys(names, 0)
+    for r in out.filter("kind = 1").groupBy("src").agg(F.sum("dst").alias("all"), F.max("dst").alias("most")).collect():  # a row per counter
+        told[names[r["src"]]] = r["most"] if names[r["src"]] == "cap" else r["all"]
+    return with_identity(out.filter("kind = 0").select("src", "dst"), canon), told
+
+
+def in_tasks(canon: Canonical, store: Store, method: str = "split", cap: Cap = "sqrt", limit: int = LIMIT, tasks: int = 1) -> tuple[DataFrame, dict[str, int]]:
+    """Distinct (src, dst) and counters. Raises ``TooLarge`` beyond ``limit`` rows of all relations together.
+
+    One task computes lists once. A search may take more ``tasks``; each gets all edges and its share of the starts.
+    """
+    if canon.packing.wide:
+        raise ValueError("product vertices of this graph do not fit one number; use the distributed methods")
+    canon, n = stored(canon, store)
+    if n > limit:
+        raise TooLarge(f"{n} rows, more than {limit}")
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(tasks - 1).cast("long")))
+    rows = _tagged(canon)
+    starts = rows.filter("kind = 1").withColumn("part", F.pmod(F.xxhash64("p"), F.lit(tasks).cast("long")))
+    placed = rows.filter("kind <> 1").withColumn("part", every).unionByName(starts)
+    found, told = _evaluated(placed, canon, store, method, cap, tasks)
+    return found, told | {"canonical_edges": n}
+
+
+def by_part(canon: Canonical, part: DataFrame, store: Store, method: str = "split", cap: Cap = "sqrt") -> tuple[DataFrame, dict[str, int]]:
+    """Distinct (src, dst) and counters summed over parts, one task per group of parts.
+
+    ``part``: (id, part), a part per product vertex, such that no middle edge leaves its part. A part has to fit a task;
     graphs whose parts may be large take the distributed rounds.
     """
-    rows = (
-        canon.middle.select(F.lit(0).alias("kind"), F.col("src").alias("p"), F.col("dst").alias("q"), F.col("src").alias("id"))
-        .unionByName(canon.starts.select(F.lit(1).alias("kind"), F.col("s").alias("p"), F.col("x").alias("q"), F.col("x").alias("id")))
-        .unionByName(canon.ends.select(F.lit(2).alias("kind"), F.col("x").alias("p"), F.col("y").alias("q"), F.col("x").alias("id")))
-    )
-    placed = rows.join(component, "id").select("part", "kind", "p", "q")
-
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        pick = lambda k: (frame.p.to_numpy()[frame.kind.to_numpy() == k], frame.q.to_numpy()[frame.kind.to_numpy() == k])
-        middle, starts, ends = pick(0), pick(1), pick(2)
-        if not len(starts[0]) or not len(ends[0]):
-            return pd.DataFrame({"src": pd.Series(dtype="int64"), "dst": pd.Series(dtype="int64"), "n": pd.Series(dtype="int64")})
-        g = Local.build(starts, middle, ends)
-        src, dst = flat(g.capped_split(cap) if method == "split" else g.search())
-        looked = g.counters.inspect_reach + g.counters.inspect_trail + g.counters.inspect_search
-        # the last row carries the count of edges looked at
-        return pd.DataFrame({"src": np.append(src, 0), "dst": np.append(dst, 0), "n": np.append(np.full(len(src), -1), looked)})
-
-    out = placed.groupBy("part").applyInPandas(run, "src long, dst long, n long")
-    return with_identity(out.filter("n < 0").select("src", "dst"), canon), out.filter("n >= 0").select(F.col("n").alias("inspections"))
+    canon, n = stored(canon, store)
+    cap = default_cap(n) if cap == "sqrt" else cap  # of the whole graph
+    placed = _tagged(canon).join(part.select(F.col("id").alias("at"), F.xxhash64("part").alias("part")), "at")
+    found, told = _evaluated(placed, canon, store, method, cap, None)
+    return found, told | {"canonical_edges": n}

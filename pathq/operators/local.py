@@ -3,11 +3,16 @@
 from __future__ import annotations
 
 import math
-from collections import defaultdict, deque
+from collections import deque
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 
+BITS = 1 << 25  # visited (start, vertex) pairs that one block of searches marks
+LIST_ROWS = 4_000_000  # entries of all lists together; caps are lowered to keep to it, which changes no answer
+Pairs = tuple[np.ndarray, np.ndarray]
+
 
 @dataclass
 class Counters:
@@ -39,29 +44,37 @@ class Adjacency:
     def of(self, v: int) -> np.ndarray:
         return self.to[self.at[v] : self.at[v + 1]]
 
+    def spread(self, row: np.ndarray, v: np.ndarray) -> Pairs:
+        """(row, target) of every edge that leaves v, for pairs (row, v)."""
+        n = self.at[v + 1] - self.at[v]
+        spots = np.repeat(self.at[v] - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum()) if len(v) else v
+        return np.repeat(row, n), self.to[spots]
+
 
 @dataclass
 class Local:
-    """A canonical graph with dense ids: starts (s, x), middle (src, dst), ends (x, y); s and y keep their own ids."""
+    """A canonical graph with dense ids: starts (s, x), middle (src, dst), ends (x, y); ``own`` and ``ys`` name s and y."""
 
+    own: np.ndarray
     s: np.ndarray
     x: np.ndarray
     middle: Adjacency
     turned: Adjacency
-    ends: dict[int, list[int]]
+    ends: Adjacency
+    ys: np.ndarray
     n: int
     n_edges: int
     counters: Counters = field(default_factory=Counters)
 
     @classmethod
-    def build(cls, starts: tuple[np.ndarray, np.ndarray], middle: tuple[np.ndarray, np.ndarray], ends: tuple[np.ndarray, np.ndarray]) -> Local:
+    def build(cls, starts: Pairs, middle: Pairs, ends: Pairs) -> Local:
         ids = np.unique(np.concatenate((starts[1], *middle, ends[0])))
         dense = lambda a: np.searchsorted(ids, a)
         src, dst, n = dense(middle[0]), dense(middle[1]), len(ids)
-        by: dict[int, list[int]] = defaultdict(list)
-        for x, y in zip(dense(ends[0]).tolist(), ends[1].tolist(), strict=True):
-            by[x].append(y)
-        return cls(starts[0], dense(starts[1]), Adjacency(src, dst, n), Adjacency(dst, src, n), by, n, len(starts[0]) + len(src) + len(ends[0]))
+        own, s = np.unique(starts[0], return_inverse=True)
+        ys, y = np.unique(ends[1], return_inverse=True)
+        order = np.argsort(s, kind="stable")
+        return cls(own, s[order], dense(starts[1])[order], Adjacency(src, dst, n), Adjacency(dst, src, n), Adjacency(dense(ends[0]), y, n), ys, n, len(s) + len(src) + len(y))
 
     def reach(self, cap: int | None) -> list[set[int] | None]:
         """Capped lists. Every entry that a list gains is offered once to each vertex one middle edge before."""
@@ -76,8 +89,8 @@ class Local:
                 own.add(y)
                 todo.append((x, y))
 
-        for x in sorted(self.ends):
-            for y in sorted(self.ends[x]):
+        for x in np.flatnonzero(np.diff(self.ends.at)).tolist():
+            for y in sorted(self.ends.of(x).tolist()):
                 add(x, y)
         while todo:
             x, y = todo.popleft()
@@ -87,73 +100,101 @@ class Local:
                 add(w, y)
         return lists
 
-    def spread(self, x: int, step: Adjacency | None = None) -> tuple[np.ndarray, int]:
-        """(vertices that x reaches, itself included; edges looked at)."""
-        step = step or self.middle
-        seen = np.zeros(self.n, bool)
-        seen[x] = True
-        newest, looked = np.array([x]), 0
-        while len(newest):
-            if len(newest) == 1:
-                found = step.of(int(newest[0]))
-                looked += len(found)
-            else:
-                found = np.concatenate([step.of(v) for v in newest.tolist()])
-                looked += len(found)
-            newest = np.unique(found[~seen[found]])
+    def search(self, only: np.ndarray | None = None) -> Iterator[Pairs]:
+        """(s, y) by searches from all starts (or those at places ``only``), a block of sources at a time.
+
+        A visited pair of source and vertex looks at the vertex's edges once, which is what the counters say.
+        """
+        s, x = (self.s, self.x) if only is None else (self.s[only], self.x[only])
+        who, row = np.unique(s, return_inverse=True)
+        width = max(1, min(4096, BITS // max(1, self.n)))
+        for lo in range(0, len(who), width):
+            some = (row >= lo) & (row < lo + width)
+            seen = np.zeros(min(width, len(who) - lo) * self.n, bool)
+            newest = np.unique((row[some] - lo) * self.n + x[some])
             seen[newest] = True
-        return np.flatnonzero(seen), looked
-
-    def search(self, only: np.ndarray | None = None) -> list[tuple[int, set[int]]]:
-        """(s, ends) by one traversal per distinct start vertex, shared by the starts that begin there."""
-        out: dict[int, set[int]] = defaultdict(set)
-        by_x: dict[int, list[int]] = defaultdict(list)
-        for i in range(len(self.s)) if only is None else only.tolist():
-            by_x[int(self.x[i])].append(int(self.s[i]))
-        for x, who in by_x.items():
-            seen, looked = self.spread(x)
-            self.counters.inspect_search += looked * len(who)
-            self.counters.trail_rows += len(seen) * len(who)
-            found: set[int] = set()
-            for v in seen.tolist():
-                if v in self.ends:
-                    found.update(self.ends[v])
-            for s in who:
-                out[s] |= found
-        return list(out.items())
-
-    def capped_split(self, cap: int | str | None = "sqrt") -> list[tuple[int, set[int]]]:
-        """(s, ends) by capped lists, light answers and traversals from heavy starts."""
+            while len(newest):
+                r, v = self.middle.spread(newest // self.n, newest % self.n)
+                self.counters.inspect_search += len(r)
+                key = r * self.n + v
+                newest = np.unique(key[~seen[key]])
+                seen[newest] = True
+            spots = np.flatnonzero(seen)
+            self.counters.trail_rows += len(spots)
+            r, y = self.ends.spread(spots // self.n, spots % self.n)
+            key, wide = np.unique(r * len(self.ys) + y), max(1, len(self.ys))
+            yield self.own[who[lo + key // wide]], self.ys[key % wide]
+
+    def two_ended(self) -> Iterator[Pairs]:
+        """(s, y) by searches from starts and ends at once; the side with fewer new pairs goes on, the first that ends knows all."""
+        begins = Adjacency(self.x, self.s, self.n)
+        sides = []
+        for step, at, width in ((self.middle, begins, len(self.own)), (self.turned, self.ends, len(self.ys))):
+            if width * self.n > 1 << 30:
+                raise ValueError("too many pairs to search from both ends in one task")
+            row, v = at.spread(np.arange(self.n), np.arange(self.n))[::-1]
+            newest, seen = np.unique(row * self.n + v), np.zeros(width * self.n, bool)
+            seen[newest] = True
+            sides.append([step, newest, seen])
+        while len(sides[0][1]) and len(sides[1][1]):
+            side = sides[0] if len(sides[0][1]) <= len(sides[1][1]) else sides[1]
+            step, newest, seen = side
+            r, v = step.spread(newest // self.n, newest % self.n)
+            self.counters.inspect_search += len(r)
+            key = r * self.n + v
+            side[1] = np.unique(key[~seen[key]])
+            seen[side[1]] = True
+        ahead = not len(sides[0][1])
+        spots = np.flatnonzero(sides[0][2] if ahead else sides[1][2])
+        r, other = (self.ends if ahead else begins).spread(spots // self.n, spots % self.n)
+        pairs = np.unique(np.stack((r, other) if ahead else (other, r), axis=1), axis=0)
+        yield self.own[pairs[:, 0]], self.ys[pairs[:, 1]]
+
+    def capped_split(self, cap: int | str | None = "sqrt") -> Iterator[Pairs]:
+        """(s, y) by capped lists, light answers and searches from heavy starts; a pair may come from both."""
         size = math.isqrt(self.n_edges) + 1 if cap == "sqrt" else 1 if cap == "adaptive" else cap
         c = self.counters
         while True:
+            size = None if size is None else max(1, min(size, LIST_ROWS // max(1, self.n)))
             lists = self.reach(size)
             heavy = np.array([size is not None and own is not None and len(own) >= size for own in lists], bool)
             begins = heavy[self.x] if len(self.x) else np.zeros(0, bool)
-            sources = len(set(self.s[begins].tolist()))
-            if cap != "adaptive" or sources <= size:
+            sources = len(np.unique(self.s[begins]))
+            if cap != "adaptive" or sources <= size or size >= LIST_ROWS // max(1, self.n):
                 break
             size *= 4
-        listed = [own is not None for own in lists]
+        listed = sum(own is not None for own in lists)
         c.cap, c.reach_rows, c.n_heavy, c.heavy_sources = size or 0, sum(len(own) for own in lists if own), int(heavy.sum()), sources
-        c.n_light = sum(listed) - c.n_heavy
-        out: dict[int, set[int]] = defaultdict(set)
-        for s, x in zip(self.s[~begins].tolist(), self.x[~begins].tolist(), strict=True):
-            if lists[x]:
-                out[s] |= lists[x]
-        c.light_rows = sum(map(len, out.values()))
+        c.n_light = listed - c.n_heavy
+        src: list[int] = []
+        dst: list[int] = []
+        light_s, light_x = self.s[~begins].tolist(), self.x[~begins].tolist()
+        at = 0
+        while at < len(light_s):
+            to = at
+            found: set[int] = set()
+            while to < len(light_s) and light_s[to] == light_s[at]:  # starts are sorted by s
+                found |= lists[light_x[to]] or set()
+                to += 1
+            src.extend([light_s[at]] * len(found))
+            dst.extend(found)
+            at = to
+            if len(src) > 1 << 20:
+                c.light_rows += len(src)
+                yield self.own[np.array(src)], self.ys[np.array(dst)]
+                src, dst = [], []
+        if src:
+            c.light_rows += len(src)
+            yield self.own[np.array(src)], self.ys[np.array(dst)]
         if sources:
             before, c.inspect_search = c.inspect_search, 0
-            found = self.search(np.flatnonzero(begins))
+            for block in self.search(np.flatnonzero(begins)):
+                c.heavy_rows += len(block[0])
+                yield block
             c.inspect_trail, c.inspect_search = c.inspect_search, before
-            c.heavy_rows = sum(len(ys) for _, ys in found)
-            for s, ys in found:
-                out[s] |= ys
-        return list(out.items())
 
 
-def flat(found: list[tuple[int, set[int]]]) -> tuple[np.ndarray, np.ndarray]:
-    n = [len(ys) for _, ys in found]
-    src = np.repeat(np.array([s for s, _ in found], np.int64), n)
-    dst = np.fromiter((y for _, ys in found for y in sorted(ys)), np.int64, sum(n))
-    return src, dst
+def flat(found: Iterable[Pairs]) -> Pairs:
+    blocks = list(found)
+    none = np.empty(0, np.int64)
+    return (np.concatenate([b[0] for b in blocks]), np.concatenate([b[1] for b in blocks])) if blocks else (none, none)

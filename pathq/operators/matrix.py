@@ -61,13 +61,15 @@ def multiply(a: DataFrame, b: DataFrame, block: int) -> DataFrame:
 
 
 def unite(blocks: DataFrame) -> DataFrame:
+    """(bi, bj, bits, ones): blocks of one place as one, and how many bits it has set."""
+
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         out = np.zeros(len(frame.bits.iloc[0]), np.uint8)
         for x in frame.bits:
             out |= np.frombuffer(x, np.uint8)
-        return pd.DataFrame({"bi": [frame.bi.iloc[0]], "bj": [frame.bj.iloc[0]], "bits": [out.tobytes()]})
+        return pd.DataFrame({"bi": [frame.bi.iloc[0]], "bj": [frame.bj.iloc[0]], "bits": [out.tobytes()], "ones": [int(np.bitwise_count(out).sum())]})
 
-    return blocks.groupBy("bi", "bj").applyInPandas(run, "bi long, bj long, bits binary")
+    return blocks.groupBy("bi", "bj").applyInPandas(run, "bi long, bj long, bits binary, ones long")
 
 
 def to_pairs(blocks: DataFrame, block: int) -> DataFrame:
@@ -99,13 +101,14 @@ def matrix_word(parts: list[DataFrame], store: Store, block: int = 512) -> DataF
 
 
 def matrix_closure(edges: DataFrame, store: Store, block: int = 512) -> DataFrame:
-    """Distinct (src, dst) joined by one edge or more, by repeated squaring of the block matrix."""
+    """Distinct (src, dst) joined by one edge or more, by repeated squaring of the block matrix until no bit is added."""
     names = store.table(number(edges.select(F.col("src").alias("id")).union(edges.select("dst")), store), "numbers")
     pairs = edges.join(names.select(F.col("id").alias("src"), "i"), "src").join(names.select(F.col("id").alias("dst"), F.col("i").alias("j")), "dst").select("i", "j")
     blocks, ones = store.table(to_blocks(pairs, block), "blocks"), -1
     while True:
-        blocks = store.table(unite(blocks.unionByName(multiply(blocks, blocks, block))), "blocks")
-        now = blocks.agg(F.sum(F.crc32("bits")), F.count(F.lit(1))).first()
-        if tuple(now) == ones:
+        own = blocks.select("bi", "bj", "bits")
+        blocks = store.table(unite(own.unionByName(multiply(own, own, block).select("bi", "bj", "bits"))), "blocks")
+        now = blocks.agg(F.sum("ones")).first()[0] or 0
+        if now == ones:
             return _named(to_pairs(blocks, block), names)
-        ones = tuple(now)
+        ones = now

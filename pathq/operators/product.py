@@ -11,19 +11,37 @@ from pathq.plans.automaton import Automaton
 from pathq.sources.graph import PathGraph
 
 
-def pack(vertex: Column, state: Column | int, n_states: int) -> Column:
-    """A product vertex in one BIGINT; arithmetic that would overflow raises, as ANSI mode is Spark's default."""
-    return vertex * F.lit(n_states).cast("long") + (F.lit(state) if isinstance(state, int) else state)
+@dataclass(frozen=True)
+class Packing:
+    """How a vertex and a state become one product vertex: one BIGINT, or, where ids leave no room for that, a pair (id, q)."""
+
+    n_states: int
+    wide: bool = False
+
+    @classmethod
+    def of(cls, graph: PathGraph, n_states: int) -> Packing:
+        """The BIGINT where every id of the graph times the number of states fits it. Reads the edges once, but for one state."""
+        return cls.within(graph.id_range(), n_states) if n_states > 1 else cls(n_states)
 
+    @classmethod
+    def within(cls, ids: tuple[int, int], n_states: int) -> Packing:
+        return cls(n_states, ids[0] * n_states < -(1 << 63) or (ids[1] + 1) * n_states > (1 << 63) - 1)
 
-def state_of(packed: Column, n_states: int) -> Column:
-    return F.pmod(packed, F.lit(n_states).cast("long"))
+    def pack(self, vertex: Column, state: Column | int) -> Column:
+        q = F.lit(state) if isinstance(state, int) else state
+        if self.wide:
+            return F.struct(vertex.alias("id"), q.cast("int").alias("q"))
+        return vertex * F.lit(self.n_states).cast("long") + q
 
+    def state(self, packed: Column) -> Column:
+        return packed["q"] if self.wide else F.pmod(packed, F.lit(self.n_states).cast("long"))
 
-def vertex_of(packed: Column, n_states: int) -> Column:
-    """Exact for negative ids too: what is divided is a multiple."""
-    whole = (packed - state_of(packed, n_states)).cast("decimal(20,0)")
-    return (whole / F.lit(n_states).cast("decimal(20,0)")).cast("long") if n_states > 1 else packed
+    def vertex(self, packed: Column) -> Column:
+        """Exact for negative ids too: what is divided is a multiple."""
+        if self.wide:
+            return packed["id"]
+        whole = packed - self.state(packed)
+        return whole if self.n_states == 1 else F.call_function("div", whole, F.lit(self.n_states).cast("long"))
 
 
 def transitions(graph: PathGraph, automaton: Automaton) -> DataFrame:
@@ -32,12 +50,12 @@ def transitions(graph: PathGraph, automaton: Automaton) -> DataFrame:
     return graph.spark.createDataFrame(rows, "q int, label string, p int, turned boolean")
 
 
-def product_edges(graph: PathGraph, automaton: Automaton) -> DataFrame:
+def product_edges(graph: PathGraph, automaton: Automaton, packing: Packing | None = None) -> DataFrame:
     """(src, dst) packed: an edge of the graph and a transition under the same label. Two labels may give one product edge."""
-    n = automaton.n_states
+    packing = packing or Packing.of(graph, automaton.n_states)
     joined = graph.edges.join(F.broadcast(transitions(graph, automaton)), "label")
     ahead, behind = F.when(F.col("turned"), F.col("dst")).otherwise(F.col("src")), F.when(F.col("turned"), F.col("src")).otherwise(F.col("dst"))
-    return joined.select(pack(ahead, F.col("q"), n).alias("src"), pack(behind, F.col("p"), n).alias("dst")).distinct()
+    return joined.select(packing.pack(ahead, F.col("q")).alias("src"), packing.pack(behind, F.col("p")).alias("dst")).distinct()
 
 
 @dataclass(frozen=True)
@@ -52,14 +70,14 @@ class Canonical:
     middle: DataFrame
     ends: DataFrame
     identity: DataFrame | None = None
-    n_states: int = 1
+    packing: Packing = Packing(1)
 
     def n_edges(self) -> int:
         return self.middle.count() + self.starts.count() + self.ends.count()
 
     def reversed(self) -> Canonical:
         turn = lambda df, a, b: df.select(F.col(b).alias(a), F.col(a).alias(b))
-        return Canonical(self.ends.select(F.col("y").alias("s"), "x"), turn(self.middle, "src", "dst"), self.starts.select("x", F.col("s").alias("y")), turn(self.identity, "src", "dst") if self.identity is not None else None, self.n_states)
+        return Canonical(self.ends.select(F.col("y").alias("s"), "x"), turn(self.middle, "src", "dst"), self.starts.select("x", F.col("s").alias("y")), turn(self.identity, "src", "dst") if self.identity is not None else None, self.packing)
 
     def seeded(self, sources: DataFrame | None = None, targets: DataFrame | None = None) -> Canonical:
         """Only answers from some sources (id) into some targets (id); both cut the relations before any search."""
@@ -70,37 +88,37 @@ class Canonical:
         if targets is not None:
             ends = ends.join(targets.select(F.col("id").alias("y")), "y", "left_semi")
             identity = identity.join(targets.select(F.col("id").alias("dst")), "dst", "left_semi") if identity is not None else None
-        return Canonical(starts, self.middle, ends, identity, self.n_states)
+        return Canonical(starts, self.middle, ends, identity, self.packing)
 
 
-def to_canonical(graph: PathGraph, automaton: Automaton, middle: DataFrame | None = None, initial: frozenset[int] | None = None, accepting: frozenset[int] | None = None) -> Canonical:
+def to_canonical(graph: PathGraph, automaton: Automaton, middle: DataFrame | None = None, initial: frozenset[int] | None = None, accepting: frozenset[int] | None = None, packing: Packing | None = None) -> Canonical:
     """The reduction, with its loops kept to product vertices that an edge leaves or enters.
 
     An answer by a non-empty path leaves an initial state and enters an accepting one, so starts come from the sources of
     product edges and ends from their targets; the empty path is ``identity``. End states are projected away at once.
     """
-    n = automaton.n_states
+    packing = packing or Packing.of(graph, automaton.n_states)
     initial, accepting = initial if initial is not None else automaton.initial, accepting if accepting is not None else automaton.accepting
-    middle = product_edges(graph, automaton) if middle is None else middle
-    at = lambda c, states: middle.filter(state_of(F.col(c), n).isin(sorted(states)) if states else F.lit(False)).select(F.col(c).alias("x")).distinct()
+    middle = product_edges(graph, automaton, packing) if middle is None else middle
+    at = lambda c, states: middle.filter(packing.state(F.col(c)).isin(sorted(states)) if states else F.lit(False)).select(F.col(c).alias("x")).distinct()
     starts, ends = at("src", initial), at("dst", accepting)
     identity = None
     if initial & accepting:
         v = graph.vertices
         identity = v.select(F.col("id").alias("src"), F.col("id").alias("dst"))
-    return Canonical(starts.select(vertex_of(F.col("x"), n).alias("s"), "x"), middle, ends.select("x", vertex_of(F.col("x"), n).alias("y")), identity, n)
+    return Canonical(starts.select(packing.vertex(F.col("x")).alias("s"), "x"), middle, ends.select("x", packing.vertex(F.col("x")).alias("y")), identity, packing)
 
 
 def stored_loops(graph: PathGraph, automaton: Automaton) -> DataFrame:
     """The reduction with every loop as a row: (src, label, dst) packed, labels a, b and c."""
-    n = automaton.n_states
+    packing = Packing(automaton.n_states)  # rows with one BIGINT per end are what the direct route takes
 
     def loops(states: frozenset[int], label: str) -> DataFrame:
         # one row per vertex and state; there are as many states as the query has
         spread = graph.vertices.withColumn("q", F.explode(F.array(*[F.lit(q) for q in sorted(states)])))
-        return spread.select(pack(F.col("id"), F.col("q"), n).alias("src"), F.lit(label).alias("label"), pack(F.col("id"), F.col("q"), n).alias("dst"))
+        return spread.select(packing.pack(F.col("id"), F.col("q")).alias("src"), F.lit(label).alias("label"), packing.pack(F.col("id"), F.col("q")).alias("dst"))
 
-    b = product_edges(graph, automaton).select("src", F.lit("b").alias("label"), "dst")
+    b = product_edges(graph, automaton, packing).select("src", F.lit("b").alias("label"), "dst")
     return b.unionByName(loops(automaton.initial, "a")).unionByName(loops(automaton.accepting, "c"))
 
 

@@ -10,36 +10,58 @@ from pathq.operators.product import Canonical
 from pathq.store import Store
 
 
-def _capped(rows: DataFrame, cap: int | None, have: DataFrame | None = None) -> DataFrame:
-    """Of new (x, y), as many per x as there is room for, smallest y first, so that a retried task picks the same."""
-    if cap is None:
-        return rows
-    w = Window.partitionBy("x").orderBy("y")
-    if have is None:
-        return rows.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= cap).select("x", "y")
-    # the plain bound lets Spark cut each group before the shuffle; the exact room follows
-    ranked = rows.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= cap)
-    return ranked.join(have, "x", "left").filter(F.col("rank") <= F.lit(cap) - F.coalesce("n", F.lit(0))).select("x", "y")
+def _full(lists: DataFrame, cap: int) -> DataFrame:
+    """Vertices whose list is full: those with an entry at the last place. A filter that reaches the scan, one row per vertex."""
+    return lists.filter(F.col("n") == cap).select("x")
+
+
+def _added(offered: DataFrame, total: DataFrame, cap: int) -> DataFrame:
+    """(x, y, n) of what lists gain from what they are offered: as far as there is room, smallest y first, so that a retried task picks the same.
+
+    n is the place of the entry in its list. Full lists refuse before anything is shuffled. Old and new entries of the
+    others meet in one shuffle by x, where old ones come first: an offer counts if it is not old and its place is within the cap.
+    """
+    open_ = offered.join(_full(total, cap), "x", "left_anti")
+    both = open_.select("x", "y", F.lit(0).alias("old")).unionByName(total.select("x", "y", F.lit(1).alias("old")))
+    each = both.repartition("x").groupBy("x", "y").agg(F.max("old").alias("old"))
+    place = F.row_number().over(Window.partitionBy("x").orderBy(F.desc("old"), "y"))
+    return each.withColumn("n", place).filter((F.col("old") == 0) & (F.col("n") <= cap)).select("x", "y", "n")
 
 
-def capped_reach(canon: Canonical, cap: int | None, store: Store) -> tuple[DataFrame, RoundLog]:
-    """(x, y) with at most ``cap`` rows per x; all of them where cap is None.
+def capped_reach(canon: Canonical, cap: int | None, store: Store, smaller: tuple[int, DataFrame] | None = None) -> tuple[DataFrame, RoundLog]:
+    """(x, y) with at most ``cap`` rows per x, and n, the place of y in x's list; all of them, without places, where cap is None.
 
     A round offers each new entry of a list to the vertices one middle edge before. Entries go to lists with room only;
-    a list that is full stays full, so what it refuses is never needed again. A list below the cap is complete.
+    a list that is full stays full, so what it refuses is never needed again. A list below the cap is complete. With
+    ``smaller`` (its cap, its lists) only lists that were full there are offered again what they refused.
     """
     middle = canon.middle
 
-    def step(newest: DataFrame, total: DataFrame, meter: Meter) -> DataFrame:
-        offered = newest.join(middle, F.col("x") == F.col("dst")).select(F.col("src").alias("x"), "y")
-        offered = meter.watch(offered)
-        if cap is None:
-            return offered.distinct().join(total, ["x", "y"], "left_anti")
-        have = total.groupBy("x").agg(F.count(F.lit(1)).alias("n"))
-        room = offered.join(have.filter(F.col("n") >= cap), "x", "left_anti")
-        return _capped(room.distinct().join(total, ["x", "y"], "left_anti"), cap, have)
+    def offers(entries: DataFrame, edges: DataFrame, meter: Meter) -> DataFrame:
+        return meter.watch(entries.select(F.col("x").alias("via"), "y").join(edges, F.col("via") == F.col("dst")).select(F.col("src").alias("x"), "y"))
+
+    def complete(newest: DataFrame, total: DataFrame, meter: Meter) -> DataFrame:
+        return offers(newest, middle, meter).distinct().join(total, ["x", "y"], "left_anti").withColumn("n", F.lit(0))
 
-    return iterate(_capped(canon.ends.distinct(), cap), step, store, "reach")
+    def capped(newest: DataFrame, total: DataFrame, meter: Meter) -> DataFrame:
+        return _added(offers(newest, middle, meter), total, cap)
+
+    ends = canon.ends.distinct()
+    if cap is None:
+        return iterate(ends.withColumn("n", F.lit(0)), complete, store, "reach")
+    if smaller is None:
+        # the bound reaches below the shuffle
+        seed = ends.withColumn("n", F.row_number().over(Window.partitionBy("x").orderBy("y"))).filter(F.col("n") <= cap)
+        return iterate(seed, capped, store, "reach")
+    before, lists = smaller
+    meter = Meter()
+    full = _full(lists, before)
+    again = offers(lists, middle.join(full.select(F.col("x").alias("src")), "src", "left_semi"), meter)
+    first = store.table(_added(again.unionByName(ends.join(full, "x", "left_semi")), lists, cap), "again")
+    looked = meter.take()
+    found, log = iterate(first, capped, store, "reach", known=lists)
+    log.inspections.insert(0, looked)
+    return found, log
 
 
 def array_reach(canon: Canonical, cap: int, store: Store) -> tuple[DataFrame, RoundLog]:
@@ -65,15 +87,15 @@ def array_reach(canon: Canonical, cap: int, store: Store) -> tuple[DataFrame, Ro
         if n:
             total = store.table(total.join(newest, "x", "left_anti").unionByName(newest.select("x", "ys")), "lists")
             newest = newest.select("x", F.col("fresh").alias("ys"))
-    return total.select("x", F.explode("ys").alias("y")), log
+    return total.select("x", F.posexplode("ys").alias("n", "y")).select("x", "y", (F.col("n") + 1).alias("n")), log
 
 
 def split(reach: DataFrame, cap: int | None, store: Store) -> tuple[DataFrame, DataFrame, dict[str, int]]:
-    """(light pairs (x, y), heavy vertices (x), counts). Light: list below the cap, hence complete."""
+    """(light pairs (x, y), heavy vertices (x), counts). Light: list below the cap, hence complete. Places tell it in one scan."""
+    pairs = reach.select("x", "y")
     if cap is None:
-        light = store.table(reach, "light")
-        return light, reach.select("x").limit(0), {"n_light": light.select("x").distinct().count(), "n_heavy": 0}
-    sizes = store.table(reach.groupBy("x").agg(F.count(F.lit(1)).alias("n")), "sizes")
-    heavy = sizes.filter(F.col("n") >= cap).select("x")
-    n = sizes.agg(F.count(F.lit(1)).alias("all"), F.count_if(F.col("n") >= cap).alias("heavy")).first()
-    return reach.join(heavy, "x", "left_anti"), heavy, {"n_light": n["all"] - n["heavy"], "n_heavy": n["heavy"]}
+        n = reach.agg(F.countDistinct("x").alias("lists"), F.count(F.lit(1)).alias("rows")).first()
+        return pairs, reach.select("x").limit(0), {"n_light": n["lists"], "n_heavy": 0, "reach_rows": n["rows"]}
+    n = reach.agg(F.count_if(F.col("n") == 1).alias("lists"), F.count_if(F.col("n") == cap).alias("heavy"), F.count(F.lit(1)).alias("rows")).first()
+    heavy = _full(reach, cap)
+    return pairs.join(heavy, "x", "left_anti") if n["heavy"] else pairs, heavy, {"n_light": n["lists"] - n["heavy"], "n_heavy": n["heavy"], "reach_rows": n["rows"]}

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathq.operators.fixpoint import Meter, RoundLog, iterate, union_of
+from pathq.operators.fixpoint import Meter, Parts, RoundLog, iterate
 from pathq.operators.product import Canonical, transitions
 from pathq.plans.automaton import Automaton
 from pathq.sources.graph import PathGraph
@@ -32,7 +34,12 @@ def with_identity(answers: DataFrame, canon: Canonical) -> DataFrame:
 
 
 def product_search(canon: Canonical, store: Store, direction: str = "forward", naive: bool = False) -> tuple[DataFrame, dict[str, int]]:
-    """One search per start over the stored product; all searches advance together.
+    """Distinct (src, dst) and counters of ``searched``."""
+    return searched(canon, store, direction, naive)[:2]
+
+
+def searched(canon: Canonical, store: Store, direction: str = "forward", naive: bool = False) -> tuple[DataFrame, dict[str, int], DataFrame]:
+    """(answers, counters, visited (s, x)): one search per start over the stored product; all searches advance together.
 
     ``backward`` starts at the ends on turned edges. ``both`` lets the side with fewer new pairs advance; the side that
     comes to its end first knows all answers.
@@ -44,35 +51,59 @@ def product_search(canon: Canonical, store: Store, direction: str = "forward", n
     found = arrivals(walked, side.ends)
     if direction == "backward":
         found = found.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
-    return with_identity(found, canon), {"inspect_search": log.inspected, "rounds": log.rounds}
+    return with_identity(found, canon), {"inspect_search": log.inspected, "rounds": log.rounds}, walked
 
 
-def _two_ended(canon: Canonical, store: Store) -> tuple[DataFrame, dict[str, int]]:
+def _two_ended(canon: Canonical, store: Store) -> tuple[DataFrame, dict[str, int], DataFrame]:
     class Side:
         def __init__(self, c: Canonical, name: str):
             self.c, self.name, self.meter, self.inspected, self.rounds = c, name, Meter(), 0, 0
             self.newest, self.n = store.counted(c.starts.select("s", "x").distinct(), name)
-            self.parts = [self.newest]
+            self.parts = Parts(store, name)
+            self.parts.add(self.newest)
 
         def advance(self) -> None:
-            if len(self.parts) > 8:
-                self.parts = [store.table(union_of(self.parts), f"{self.name}-all")]
             moved = self.newest.join(self.c.middle, F.col("x") == F.col("src")).select("s", F.col("dst").alias("x"))
-            new = self.meter.watch(moved).distinct().join(union_of(self.parts), ["s", "x"], "left_anti")
+            new = self.meter.watch(moved).distinct().join(self.parts.all(), ["s", "x"], "left_anti")
             self.newest, self.n = store.counted(new, self.name)
             self.inspected += self.meter.take()
             self.rounds += 1
             if self.n:
-                self.parts.append(self.newest)
+                self.parts.add(self.newest)
 
     front, rear = Side(canon, "front"), Side(canon.reversed(), "rear")
     while front.n and rear.n:
         (front if front.n <= rear.n else rear).advance()
     done = front if not front.n else rear
-    found = arrivals(union_of(done.parts), done.c.ends)
+    found = arrivals(done.parts.all(), done.c.ends)
     if done is rear:
         found = found.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
-    return with_identity(found, canon), {"inspect_search": front.inspected + rear.inspected, "rounds": front.rounds + rear.rounds}
+    return with_identity(found, canon), {"inspect_search": front.inspected + rear.inspected, "rounds": front.rounds + rear.rounds}, done.parts.all()
+
+
+def recursive_sql(canon: Canonical, store: Store, hops: int = 8, most: int = 96) -> tuple[DataFrame, int]:
+    """(answers, levels): a recursive query of SQL. It cannot remove repeats between its levels, so their number is bounded,
+    and the bound doubled until the last level holds no pair that was not there before. Raises above ``most`` levels."""
+    spark = canon.middle.sparkSession
+    names = {k: f"pathq_{k}_{uuid.uuid4().hex}" for k in ("starts", "middle")}
+    store.table(canon.starts.select("s", "x").distinct(), "starts").createOrReplaceTempView(names["starts"])
+    store.table(canon.middle, "middle").createOrReplaceTempView(names["middle"])
+    while True:
+        walked = store.table(
+            spark.sql(f"""
+            WITH RECURSIVE walk(s, x, h) AS (
+              SELECT s, x, 0 FROM {names["starts"]} UNION ALL SELECT s, dst, h + 1 FROM walk JOIN {names["middle"]} ON x = src WHERE h < {hops})
+            SELECT s, x, min(h) AS h FROM walk GROUP BY s, x"""),
+            "walked",
+        )
+        if walked.filter(F.col("h") == hops).isEmpty():
+            break
+        if 2 * hops > most:
+            raise RuntimeError(f"more than {most} levels")
+        hops *= 2
+    for name in names.values():
+        spark.catalog.dropTempView(name)
+    return with_identity(arrivals(walked.select("s", "x"), canon.ends), canon), hops
 
 
 def fused_search(graph: PathGraph, automaton: Automaton, store: Store) -> tuple[DataFrame, dict[str, int]]:

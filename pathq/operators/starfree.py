@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathq.operators.capped_split import FIRST_CAP, evaluate_capped_split
-from pathq.operators.fixpoint import union_of
+from pathq.operators.fixpoint import Meter, union_of
 from pathq.operators.product import to_canonical
 from pathq.plans.automaton import compile_path, resolve
 from pathq.plans.classify import Word, expand_words
@@ -49,8 +49,9 @@ def path_join(parts: Sequence[DataFrame], store: Store, cap: int | str = "adapti
     From the last position to the second, every vertex gets a list of at most ``cap`` ends, made from the lists of the next
     position; a list below the cap is complete. First-position edges into light vertices answer from lists; those
     into heavy vertices walk forward, position by position, pruned to vertices that have a list. ``adaptive`` raises the cap
-    fourfold until no more sources are heavy than the cap.
+    fourfold until no more sources are heavy than the cap. Inspections are the rows that the joins with edges make.
     """
+    meter = Meter()
     parts = [store.table(r, f"position-{i}") for i, r in enumerate(parts)]
     told = {"inspect_reach": 0, "inspect_trail": 0, "heavy_sources": 0, "cap": 0}
     if len(parts) == 1:
@@ -62,11 +63,11 @@ def path_join(parts: Sequence[DataFrame], store: Store, cap: int | str = "adapti
         first = True
         for i in range(len(parts) - 1, 0, -1):
             if not first:
-                following = parts[i].join(following, F.col("q") == F.col("x")).select(F.col("p").alias("x"), "y")
+                following = meter.watch(parts[i].join(following, F.col("q") == F.col("x")).select(F.col("p").alias("x"), "y"))
             first = False
             w = Window.partitionBy("x").orderBy("y")
-            following, n = store.counted(following.distinct().withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= size).select("x", "y"), f"lists-{i}")
-            told["inspect_reach"] += n
+            following = store.table(following.distinct().withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= size).select("x", "y"), f"lists-{i}")
+            told["inspect_reach"] += meter.take()
             lists.append(following)
         lists.reverse()  # lists[i] belongs to position i + 1
         sizes = store.table(lists[0].groupBy("x").agg(F.count(F.lit(1)).alias("n")), "sizes")
@@ -83,8 +84,8 @@ def path_join(parts: Sequence[DataFrame], store: Store, cap: int | str = "adapti
         at = into.select(F.col("p").alias("src"), F.col("q").alias("dst"))
         for i, r in enumerate(parts[1:], 1):
             step = r if i + 1 == len(parts) else r.join(lists[i].select("x").distinct(), F.col("q") == F.col("x"), "left_semi")
-            at, n = store.counted(at.join(step, F.col("dst") == F.col("p")).select("src", F.col("q").alias("dst")).distinct(), f"trail-{i}")
-            told["inspect_trail"] += n
+            at = store.table(meter.watch(at.join(step, F.col("dst") == F.col("p")).select("src", F.col("q").alias("dst"))).distinct(), f"trail-{i}")
+            told["inspect_trail"] += meter.take()
         out = out.unionByName(at)
     return out.distinct(), told
 

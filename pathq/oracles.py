@@ -91,58 +91,79 @@ def word(graph: str, *labels: str) -> str:
     return f"WITH g AS ({graph}) {words(graph, *labels)}"
 
 
-H300, H400 = handoff(300_000), handoff(400_000)
-URGENT = f"SELECT DISTINCT src, 'x' AS label, dst FROM ({H400}) WHERE label = '1-URGENT'"
-LINKS = "SELECT DISTINCT page_id * 2 AS src, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS target FROM pages"
+def _n() -> tuple[int, int]:
+    a = compile_path(SHORT)
+    (first,) = a.initial
+    return a.n_states, first
 
 
-def lists(cap: int) -> str:
-    """Ends per middle vertex of the sparse hand-off graph, as the automaton has them: packed vertex and count up to the cap."""
-    a = compile_path(SHORT)
-    n, last = a.n_states, ", ".join(map(str, sorted(a.accepting)))
-    return f"""{walk(H400, SHORT, "SELECT 1 AS id WHERE false")},
-back(x, v, q) AS (
-  SELECT DISTINCT b * {n} + p, b, p FROM move WHERE p IN ({last})
-  UNION SELECT DISTINCT a * {n} + q, a, q FROM move),
-reach(x, v, q) AS (
-  SELECT x, v, q FROM back
-  UNION SELECT x, b, p FROM reach JOIN move ON v = a AND reach.q = move.q),
-deg AS (SELECT x, count(DISTINCT v) AS d FROM reach WHERE q IN ({last}) GROUP BY x),
-listed AS (SELECT x, least(d, {cap})::BIGINT AS deg, d >= {cap} AS heavy FROM deg)"""
+N, FIRST = _n()
+H300, H325, H350, H400, H450 = map(handoff, (300_000, 325_000, 350_000, 400_000, 450_000))
+URGENT = f"SELECT DISTINCT src, 'x' AS label, dst FROM ({H350}) WHERE label = '1-URGENT'"
+LINKS = "SELECT DISTINCT page_id * 2 AS src, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS target FROM pages"
+LAST = ", ".join(map(str, sorted(compile_path(SHORT).accepting)))
+NONE = "SELECT 1 AS id WHERE false"
 
 
-def split(tail: str, cap: int = 2) -> str:
-    return f"WITH RECURSIVE {lists(cap)}\n{tail}"
+def lists(graph: str, cap: str = "(SELECT cap FROM capped)") -> str:
+    """Ends per middle vertex of a hand-off graph, as the automaton has them: packed vertex, count, count up to the cap, class."""
+    n = compile_path(SHORT).n_states
+    return f"""{walk(graph, SHORT, NONE)},
+capped AS (SELECT canonical_edges, floor(sqrt(canonical_edges))::BIGINT + 1 AS cap FROM (SELECT (SELECT count(*) FROM move)
+  + (SELECT count(*) FROM (SELECT DISTINCT a, q FROM move WHERE q = {FIRST})) + (SELECT count(*) FROM (SELECT DISTINCT b, p FROM move WHERE p IN ({LAST}))) AS canonical_edges)),
+ends AS (SELECT DISTINCT b AS v, p AS q FROM move WHERE p IN ({LAST})),
+rear(y, v, q) AS (SELECT v, v, q FROM ends UNION SELECT y, a, move.q FROM rear JOIN move ON v = b AND rear.q = p),
+deg AS (SELECT v * {n} + q AS x, count(*) AS d FROM rear GROUP BY ALL),
+listed AS (SELECT x, d, least(d, {cap})::BIGINT AS deg, d >= {cap} AS heavy FROM deg)"""
 
 
-def _n() -> tuple[int, int]:
-    a = compile_path(SHORT)
-    (first,) = a.initial
-    return a.n_states, first
+def split(tail: str, graph: str | None = None, cap: str = "(SELECT cap FROM capped)") -> str:
+    return f"WITH RECURSIVE {lists(graph or H325, cap)}\n{tail}"
 
 
-N, FIRST = _n()
 HEAVY_START = f"SELECT (x - {FIRST}) // {N} AS s FROM listed WHERE heavy AND x % {N} = {FIRST} AND x IN (SELECT a * {N} + q FROM move)"
 
 SIZES = {
     "handoff_split": (H300, SHORT),
     "handoff_sparse": (H400, SHORT),
+    "flow_funnel": (FLOW, "view (view|click)* purchase"),
+    "flow_until_purchase": (FLOW, "(view|click|signup|error)* purchase"),
+    "flow_dead_end": (FLOW, "(view|click|signup|purchase|error)* refund"),
     "relay_dense": (relay(100), "view click* purchase"),
     "relay_sparse": (relay(150), "view click* purchase"),
     "partchain_small": (partchain(40), "R N* A"),
 }
+SWEEP = {
+    "handoff 300k": (H300, SHORT),
+    "handoff 350k": (H350, SHORT),
+    "handoff 400k": (H400, SHORT),
+    "partchain 36": (partchain(36), "R N* A"),
+    "partchain 40": (partchain(40), "R N* A"),
+    "relay 100": (relay(100), "view click* purchase"),
+    "relay 150": (relay(150), "view click* purchase"),
+}
+ALL_EVENTS = "SELECT event_id AS id FROM events"
 
 
-def sizes(columns: str, order: str = "") -> str:
-    """One row per workload: v, e after dropping labels that the query lacks (vertices before), and out."""
-    parts = []
-    for name, (graph, expr) in SIZES.items():
-        labels = ", ".join(f"'{x}'" for x in sorted({s.label for _, s, _ in compile_path(expr).transitions}))
-        parts.append(
-            f"SELECT '{name}' AS workload, (SELECT count(*) FROM (SELECT src FROM ({graph}) UNION SELECT dst FROM ({graph})))::DOUBLE AS v, "
-            f"(SELECT count(*) FROM ({graph}) WHERE label IN ({labels}))::DOUBLE AS e, (SELECT count(*) FROM ({answers(graph, expr)}))::DOUBLE AS o"
-        )
-    return f"WITH z AS ({' UNION ALL '.join(parts)}) SELECT {columns} FROM z {order}"
+def sized(name: str, graph: str, expr: str) -> str:
+    """A row of one graph and query: v, e after dropping labels that the query lacks (vertices before), o answers, and looks of
+    the forward and backward search and of complete lists."""
+    a = compile_path(expr)
+    labels = ", ".join(f"'{x}'" for x in sorted({s.label for _, s, _ in a.transitions}))
+    last = ", ".join(map(str, sorted(a.accepting)))
+    vertices = ALL_EVENTS if graph == FLOW else f"SELECT src AS id FROM ({graph}) UNION SELECT dst FROM ({graph})"
+    return f"""(WITH RECURSIVE {walk(graph, expr, NONE)},
+rear(y, v, q) AS (SELECT DISTINCT b, b, p FROM move WHERE p IN ({last}) UNION SELECT y, a, move.q FROM rear JOIN move ON v = b AND rear.q = p),
+deg AS (SELECT v, q, count(*) AS d FROM rear GROUP BY ALL),
+canon AS (SELECT (SELECT count(*) FROM move) + (SELECT count(*) FROM (SELECT DISTINCT a, q FROM move WHERE q IN ({", ".join(map(str, sorted(a.initial)))}))) + (SELECT count(*) FROM (SELECT DISTINCT b, p FROM move WHERE p IN ({last}))) AS n)
+SELECT '{name}' AS name, (SELECT count(DISTINCT id) FROM ({vertices}))::DOUBLE AS v, (SELECT count(*) FROM g WHERE label IN ({labels}))::DOUBLE AS e, (SELECT count(*) FROM found)::DOUBLE AS o,
+  (SELECT count(*) FROM walk JOIN move ON v = a AND walk.q = move.q)::BIGINT AS forward, (SELECT count(*) FROM rear JOIN move ON v = b AND rear.q = p)::BIGINT AS lists,
+  (SELECT count(*) FROM (SELECT DISTINCT y, v, q FROM rear) r JOIN move ON r.v = b AND r.q = p)::BIGINT AS backward,
+  coalesce((SELECT max(d) FROM deg), 0) >= floor(sqrt((SELECT n FROM canon))) + 1 AS full)"""
+
+
+def sizes(columns: str, of: dict[str, tuple[str, str]] = SIZES) -> str:
+    return f"WITH z AS ({' UNION ALL '.join(f'SELECT * FROM {sized(n, *x)}' for n, x in of.items())}) SELECT {columns} FROM z"
 
 
 def _delta(rec: str) -> str:
@@ -156,17 +177,6 @@ def _hops(limit: int = 64) -> str:
     return f"t(src, dst, h) AS (SELECT src, dst, 0 FROM e UNION SELECT t.src, e.dst, h + 1 FROM t JOIN e ON t.dst = e.src WHERE h < {limit})"
 
 
-def gain(name: str) -> str:
-    """Inspections of complete lists and of the forward search, and their ratio, of one workload."""
-    graph, expr = SIZES[name]
-    a = compile_path(expr)
-    last = ", ".join(map(str, sorted(a.accepting)))
-    return f"""SELECT '{name}' AS workload, lists, search, round(search / lists, 6) AS gain FROM (
-WITH RECURSIVE {walk(graph, expr, "SELECT 1 AS id WHERE false")},
-rear(y, v, q) AS (SELECT DISTINCT b, b, p FROM move WHERE p IN ({last}) UNION SELECT y, a, move.q FROM rear JOIN move ON v = b AND rear.q = p)
-SELECT (SELECT count(*) FROM rear JOIN move ON v = b AND rear.q = p)::BIGINT AS lists, (SELECT count(*) FROM walk JOIN move ON v = a AND walk.q = move.q)::BIGINT AS search)"""
-
-
 EVENT_VERTICES = "SELECT event_id AS id FROM events"
 CHAT_VERTICES = "SELECT conv_id * 1000 + turn AS id FROM conversations"
 EXPECTED_EXAMPLE = "(0, 'd', 0, true, true, true), (0, 'e', 1, true, true, false), (0, 'g', 2, true, true, true), (1, 'f', 2, false, false, true), (2, 'e', 1, false, true, false), (2, 'g', 2, false, true, true)"
@@ -176,10 +186,38 @@ OTHER = "1-URGENT 2-HIGH* 5-LOW"
 
 
 def both(tail: str) -> str:
-    return f"WITH one AS ({answers(H400, SHORT)}), two AS ({answers(H400, OTHER)}) {tail}"
+    return f"WITH one AS ({answers(H350, SHORT)}), two AS ({answers(H350, OTHER)}), three AS ({answers(H350, '2-HIGH*')}) {tail}"
+
+
+SPARSE, MIXED = answers(H400, SHORT), answers(H350, SHORT)
+
+
+def segment(column: str, name: str) -> str:
+    return f"{column} IN (SELECT c_custkey FROM customer WHERE c_mktsegment = '{name}')"
+
+
+def windows(starts: str) -> str:
+    """Answers of the funnel in every window's own graph: events of a user in one window, each leading to the next."""
+    return f"""WITH RECURSIVE e AS (SELECT *, epoch_us(ts) AS us FROM events), w AS ({starts}),
+n AS (SELECT start, user_id, event_id, event_type, lead(event_id) OVER (PARTITION BY start, user_id ORDER BY ts, event_id) AS nxt FROM w),
+m AS (SELECT * FROM n WHERE nxt IS NOT NULL),
+t(start, user_id, s, v, q) AS (
+  SELECT start, user_id, event_id, nxt, 1 FROM m WHERE event_type = 'view'
+  UNION SELECT t.start, t.user_id, s, nxt, CASE WHEN event_type = 'purchase' THEN 2 ELSE 1 END FROM t JOIN m ON t.start = m.start AND t.user_id = m.user_id AND v = m.event_id AND q = 1 AND event_type IN ('view', 'click', 'purchase'))
+SELECT DISTINCT start::BIGINT AS start, user_id, s AS src, v AS dst FROM t WHERE q = 2"""
 
 
-SPARSE = answers(H400, SHORT)
+REPORTED = f"""SELECT (SELECT count(*) FROM (SELECT src FROM g UNION SELECT dst FROM g))::BIGINT AS n_vertices, (SELECT count(*) FROM g WHERE label IN (SELECT label FROM tr))::BIGINT AS n_edges,
+  (SELECT count(DISTINCT label) FROM tr)::BIGINT AS n_labels, (SELECT count(*) FROM found)::BIGINT AS out,
+  (SELECT count(*) FROM (SELECT a, q FROM move UNION SELECT b, p FROM move))::BIGINT AS product_vertices, (SELECT count(*) FROM move)::BIGINT AS product_edges, canonical_edges::BIGINT AS canonical_edges, cap,
+  (SELECT sum(deg) FROM listed)::BIGINT AS reach_rows, (SELECT count(*) FROM listed WHERE NOT heavy)::BIGINT AS n_light, (SELECT count(*) FROM listed WHERE heavy)::BIGINT AS n_heavy,
+  (SELECT count(*) FROM (SELECT a, q FROM move UNION SELECT b, p FROM move))::BIGINT - (SELECT count(*) FROM listed)::BIGINT AS n_absent,
+  (SELECT count(*) FROM hs)::BIGINT AS heavy_sources, (SELECT count(*) FROM found WHERE src NOT IN (SELECT s FROM hs))::BIGINT AS light_rows, (SELECT count(*) FROM found WHERE src IN (SELECT s FROM hs))::BIGINT AS heavy_rows,
+  (SELECT count(*) FROM walk WHERE s IN (SELECT s FROM hs))::BIGINT AS trail_rows, (SELECT count(*) FROM walk JOIN move ON v = a AND walk.q = move.q WHERE s IN (SELECT s FROM hs))::BIGINT AS inspect_trail
+FROM capped"""
+LOW = "(SELECT * FROM events WHERE (props::JSON->>'k')::INT < 50)"
+HIDDEN = "(SELECT *, CASE WHEN o_orderstatus <> 'P' THEN o_custkey END AS who FROM orders)"
+EVEN_LINKS = f"e AS ({LINKS}), t(a, b) AS (SELECT x.src, y.src FROM e x JOIN e y USING (target) UNION SELECT t.a, y.src FROM t JOIN e x ON t.b = x.src JOIN e y USING (target))"
 RINGS = """SELECT (SELECT count(*) FROM customer)::BIGINT AS n_vertices, (SELECT 2 * count(*) FROM customer)::BIGINT AS n_edges, 0::BIGINT AS out"""
 CLOSURE_OF = f"WITH RECURSIVE e AS (SELECT src, dst FROM ({H300}) WHERE label = '1-URGENT'), t(src, dst) AS (SELECT src, dst FROM e UNION SELECT t.src, e.dst FROM t JOIN e ON t.dst = e.src) "
 
@@ -221,65 +259,68 @@ ORACLES: dict[str, str] = {
     "product_edges_funnel": f"WITH RECURSIVE {walk(FLOW, 'view (view|click)* purchase', 'SELECT 1 AS id WHERE false')} SELECT a * {compile_path('view (view|click)* purchase').n_states} + q AS src, b * {compile_path('view (view|click)* purchase').n_states} + p AS dst FROM move",
     "canonical_sizes": f"""WITH RECURSIVE {walk(H400, SHORT, "SELECT 1 AS id WHERE false")}, v AS (SELECT src FROM g UNION SELECT dst FROM g)
 SELECT 'a' AS label, count(*) AS n_edges FROM v UNION ALL SELECT 'b', (SELECT count(*) FROM move) UNION ALL SELECT 'c', count(*) FROM v""",
-    "reach_counts_capped": split("SELECT x, deg FROM listed", 5),
+    "reach_counts_capped": split("SELECT x, deg FROM listed", H350, "5"),
+    "handoff_split_rounds": answers(H300, SHORT),
+    "handoff_split_search": answers(H300, SHORT),
+    "flow_dead_end_rounds": "SELECT 0::BIGINT AS src, 0::BIGINT AS dst WHERE false",
     "light_heavy_classes": split("SELECT x, CASE WHEN heavy THEN 'heavy' ELSE 'light' END AS class FROM listed"),
     "light_answers": split(f"SELECT src, dst FROM found WHERE src NOT IN ({HEAVY_START})"),
     "heavy_sources": split(f"SELECT s AS src FROM ({HEAVY_START})"),
     "trail_counts": split(f"SELECT s AS src, count(*) AS n_visited FROM walk WHERE s IN ({HEAVY_START}) GROUP BY s"),
     "heavy_answers": split(f"SELECT src, dst FROM found WHERE src IN ({HEAVY_START})"),
     **{
-        name: SPARSE
-        for name in (
-            "canonical_direct_route stored_loops_route fixed_cap_1 fixed_cap_32 complete_lists adaptive_cap pruned_trail light_shortcut array_layout "
-            "search_forward search_backward search_two_ended search_fused naive_rounds"
-        ).split()
+        name: MIXED
+        for name in "canonical_direct_route fixed_cap_32 complete_lists adaptive_cap pruned_trail light_shortcut array_layout search_forward search_backward search_two_ended search_fused".split()
     },
-    "search_inspections": f"WITH RECURSIVE {walk(H400, SHORT, 'SELECT 1 AS id WHERE false')} SELECT count(*) AS inspections FROM walk JOIN move ON v = a AND walk.q = move.q",
+    **{name: SPARSE for name in "stored_loops_route fixed_cap_1 naive_rounds sql_recursion".split()},
+    "search_inspections": f"WITH RECURSIVE {walk(H350, SHORT, 'SELECT 1 AS id WHERE false')} SELECT count(*) AS inspections FROM walk JOIN move ON v = a AND walk.q = move.q",
     "matrix_blocks": word(COMMERCE, "lives", "^based"),
     "matrix_closure": _delta(CLOSED) + " SELECT src, dst FROM t",
     "plain_join_word": word(COMMERCE, "placed", "contains", "from", "based"),
-    "sql_recursion_bounded": f"""WITH RECURSIVE {walk(H400, SHORT, "SELECT 1 AS id WHERE false")},
-far(s, v, q, h) AS (SELECT DISTINCT a, a, q, 0 FROM move WHERE q = {FIRST} UNION SELECT s, b, p, h + 1 FROM far JOIN move ON v = a AND far.q = move.q WHERE h < 6)
-SELECT DISTINCT s AS src, v AS dst FROM far WHERE q IN ({", ".join(map(str, sorted(compile_path(SHORT).accepting)))})""",
     "word_single_label": word(COMMERCE, "lives"),
-    "word_repeated_label": word(H400, "1-URGENT", "1-URGENT", "3-MEDIUM"),
-    "union_with_epsilon": f"WITH g AS ({H400}) {words('', '1-URGENT')} UNION {words('', '2-HIGH', '3-MEDIUM')} UNION SELECT src, src FROM g UNION SELECT dst, dst FROM g",
+    "word_repeated_label": word(H350, "1-URGENT", "1-URGENT", "3-MEDIUM"),
+    "word_inspections": f"""WITH g AS ({H350}), r2 AS (SELECT src AS p, dst AS q FROM g WHERE label = '2-HIGH'), r3 AS (SELECT src AS p, dst AS q FROM g WHERE label = '3-MEDIUM'), r4 AS (SELECT src AS p, dst AS q FROM g WHERE label = '5-LOW'),
+l3 AS (SELECT DISTINCT r3.p, r4.q AS y FROM r3 JOIN r4 ON r3.q = r4.p)
+SELECT (SELECT count(*) FROM r3 JOIN r4 ON r3.q = r4.p)::BIGINT + (SELECT count(*) FROM r2 JOIN l3 ON r2.q = l3.p)::BIGINT AS lists, 0::BIGINT AS trail""",
+    "union_with_epsilon": f"WITH g AS ({H350}) {words('', '1-URGENT')} UNION {words('', '2-HIGH', '3-MEDIUM')} UNION SELECT src, src FROM g UNION SELECT dst, dst FROM g",
     "union_of_words_plain": f"WITH g AS ({COMMERCE}) {words('', 'lives', 'in')} UNION {words('', 'from', 'based', 'in')}",
     "layered_automaton": f"WITH g AS ({COMMERCE}) {words('', 'lives', 'in')} UNION {words('', 'from', 'based', 'in')}",
     "k_path_join": word(COMMERCE, "placed", "contains", "from", "based", "in"),
-    **{name: _delta(CLOSED) + " SELECT src, dst FROM t" for name in ("closure_left_rule", "closure_right_rule", "closure_squaring")},
-    "closure_inspections": _delta(CLOSED) + " SELECT count(*) AS inspections FROM t JOIN e ON t.dst = e.src",
+    **{name: _delta(CLOSED) + " SELECT src, dst FROM t" for name in ("closure_left_rule", "closure_right_rule", "closure_squaring", "closure_deep")},
+    "closure_inspections": CLOSURE_OF + "SELECT (SELECT count(*) FROM t)::BIGINT AS out, (SELECT count(*) FROM t JOIN e ON t.dst = e.src)::BIGINT AS inspections, true AS within_bounds",
     "closure_delta_sizes": _delta(_hops()) + " SELECT round::BIGINT AS round, count(*) AS new_pairs FROM (SELECT src, dst, min(h) AS round FROM t GROUP BY ALL) GROUP BY round",
-    "reachable_from_sources": f"SELECT src, dst FROM ({SPARSE}) WHERE src % 10 = 0",
-    "answers_into_targets": f"SELECT src, dst FROM ({SPARSE}) WHERE dst % 10 = 0",
-    "connected_pairs": f"SELECT src, dst FROM ({SPARSE}) WHERE src % 10 = 0 AND dst % 10 = 0 AND (src - dst) % 100 = 0",
+    "reachable_from_sources": f"SELECT src, dst FROM ({MIXED}) WHERE {segment('src', 'BUILDING')}",
+    "answers_into_targets": f"SELECT src, dst FROM ({MIXED}) WHERE {segment('dst', 'MACHINERY')}",
+    "segment_to_segment": f"SELECT src, dst FROM ({MIXED}) WHERE {segment('src', 'BUILDING')} AND {segment('dst', 'MACHINERY')}",
+    "connected_pairs": f"WITH a AS ({MIXED}) SELECT DISTINCT e.src, e.dst, a.src IS NOT NULL AS connected FROM ({H350}) e LEFT JOIN a ON a.src = e.src AND a.dst = e.dst",
+    "degrees_sketched": f"SELECT count(DISTINCT src)::BIGINT AS n_vertices, 0::BIGINT AS n_off FROM ({answers(H300, SHORT)})",
+    "targets_by_bitmap": f"SELECT c_mktsegment AS segment, count(DISTINCT dst)::BIGINT AS n_targets FROM ({answers(H300, SHORT)}) JOIN customer ON c_custkey = src GROUP BY c_mktsegment",
     "degree_profile": f"SELECT deg, count(*) AS n_vertices FROM (SELECT src, count(*) AS deg FROM ({answers(H300, SHORT)}) GROUP BY src) GROUP BY deg",
     "top_degree_vertices": f"SELECT src AS v, count(*) AS deg FROM ({answers(H300, SHORT)}) GROUP BY src ORDER BY deg DESC, v LIMIT 10",
-    "shortest_length": f"""WITH RECURSIVE {walk(H400, SHORT, "SELECT 1 AS id WHERE false")},
+    "shortest_length": f"""WITH RECURSIVE {walk(H350, SHORT, "SELECT 1 AS id WHERE false")},
 far(s, v, q, h) AS (SELECT DISTINCT a, a, q, 0 FROM move WHERE q = {FIRST} UNION SELECT s, b, p, h + 1 FROM far JOIN move ON v = a AND far.q = move.q WHERE h < 40)
 SELECT s AS src, v AS dst, min(h)::BIGINT AS hops FROM far WHERE q IN ({", ".join(map(str, sorted(compile_path(SHORT).accepting)))}) GROUP BY s, v""",
-    "cost_report": f"""WITH RECURSIVE {lists(1)},
-z AS (SELECT (SELECT count(*) FROM (SELECT src FROM g UNION SELECT dst FROM g)) AS n_vertices, (SELECT count(*) FROM g WHERE label IN (SELECT label FROM tr)) AS n_edges,
-  (SELECT count(*) FROM found) AS out,
-  (SELECT count(*) FROM move) + (SELECT count(DISTINCT a) FROM move WHERE q = {FIRST}) + (SELECT count(DISTINCT b) FROM move WHERE p IN ({", ".join(map(str, sorted(compile_path(SHORT).accepting)))})) AS canonical_edges),
-y AS (SELECT *, floor(sqrt(canonical_edges))::BIGINT + 1 AS cap FROM z)
-SELECT n_vertices::BIGINT AS n_vertices, n_edges::BIGINT AS n_edges, out::BIGINT AS out, canonical_edges::BIGINT AS canonical_edges, cap,
-  (SELECT count(*) FROM deg WHERE d < cap)::BIGINT AS n_light, (SELECT count(*) FROM deg WHERE d >= cap)::BIGINT AS n_heavy,
-  (SELECT count(*) FROM deg WHERE d >= cap AND x % {N} = {FIRST} AND x IN (SELECT a * {N} + q FROM move))::BIGINT AS heavy_sources FROM y""",
-    "bounds_table": sizes("workload, v::BIGINT AS v, e::BIGINT AS e, o::BIGINT AS out, v * e AS search, round(e ** 1.5 + least(o * sqrt(e), v * e), 3) AS split, round(e + e * sqrt(o), 3) AS star_free, round(least(o * sqrt(e), v * e), 3) AS closure"),
-    "regime_exponents": sizes("workload, round(1 - ln(o) / ln(v * sqrt(e)), 6) AS alpha, round(2 - ln(e) / ln(v), 6) AS beta, 1 - ln(o) / ln(v * sqrt(e)) > 0 AND 1 - ln(o) / ln(v * sqrt(e)) <= 1 AND 2 - ln(e) / ln(v) > 0 AND 2 - ln(e) / ln(v) < 2 AS wins"),
-    "inspections_by_method": f"""WITH RECURSIVE {lists(1)},
-ends AS (SELECT DISTINCT b AS v, p AS q FROM move WHERE p IN ({", ".join(map(str, sorted(compile_path(SHORT).accepting)))})),
-rear(y, v, q) AS (SELECT v, v, q FROM ends UNION SELECT y, a, move.q FROM rear JOIN move ON v = b AND rear.q = p)
-SELECT 'complete lists' AS method, count(*) AS inspections FROM (SELECT DISTINCT y, v, q FROM rear) r JOIN move ON r.v = b AND r.q = p
-UNION ALL SELECT 'forward search', count(*) FROM walk JOIN move ON v = a AND walk.q = move.q
-UNION ALL SELECT 'backward search', count(*) FROM rear JOIN move ON v = b AND rear.q = p""",
+    "cost_report": split(f"{REPORTED}", H300).replace("\nSELECT (SELECT count(*) FROM (SELECT src FROM g", f",\nhs AS ({HEAVY_START})\nSELECT (SELECT count(*) FROM (SELECT src FROM g", 1),
+    "run_costs": "SELECT m AS measure, true AS holds FROM (VALUES ('seconds'), ('shuffle_bytes'), ('peak_rows'), ('inspect_reach'), ('rounds')) x(m)",
+    "search_report": f"WITH RECURSIVE {walk(H300, SHORT, NONE)} SELECT (SELECT count(*) FROM found)::BIGINT AS out, (SELECT count(*) FROM walk WHERE q IN ({LAST}))::BIGINT AS out_states, (SELECT count(*) FROM walk JOIN move ON v = a AND walk.q = move.q)::BIGINT AS inspect_search",
+    "bounds_table": sizes("name AS workload, v::BIGINT AS v, e::BIGINT AS e, o::BIGINT AS out, v * e AS search, round(e ** 1.5 + least(o * sqrt(e), v * e), 3) AS split, round(e + e * sqrt(o), 3) AS star_free, round(least(o * sqrt(e), v * e), 3) AS closure, round((v * e) ** 0.9, 3) AS floor_combinatorial, round((e + o) ** 0.9, 3) AS floor_any"),
+    "regime_exponents": sizes("name AS graph, forward AS search, round(1 - ln(o) / ln(v * sqrt(e)), 6) AS alpha, round(2 - ln(e) / ln(v), 6) AS beta, 1 - ln(o) / ln(v * sqrt(e)) > 0 AND 1 - ln(o) / ln(v * sqrt(e)) <= 1 AND 2 - ln(e) / ln(v) > 0 AND 2 - ln(e) / ln(v) < 2 AS wins", SWEEP),
+    "inspections_by_method": f"WITH z AS ({sizes('*', {n: SIZES[n] for n in ('handoff_split', 'handoff_sparse', 'flow_until_purchase', 'flow_dead_end')})}) SELECT name AS workload, 'lists' AS method, lists AS inspections FROM z UNION ALL SELECT name, 'forward', forward FROM z UNION ALL SELECT name, 'backward', backward FROM z",
     "bound_checks": "SELECT i AS invariant, true AS holds FROM (VALUES ('few_heavy_sources'), ('lists_within_cap'), ('reach_within_bound'), ('trail_within_bound')) x(i)",
-    "method_agreement": f"SELECT m AS method, (SELECT count(*) FROM ({SPARSE})) AS pairs, 0::BIGINT AS differing FROM (VALUES ('capped-split'), ('adaptive'), ('forward'), ('backward'), ('two-ended'), ('kernel')) x(m)",
+    # where lists fill, whether the method looks at fewer edges follows from no closed form; on both such graphs it does not
+    "gain_by_workload": sizes("name AS workload, CASE WHEN NOT full THEN lists END AS split, forward AS search, NOT full AND lists < forward AS gains"),
+    "method_agreement": f"SELECT m AS method, (SELECT count(*) FROM ({MIXED})) AS pairs, 0::BIGINT AS differing FROM (VALUES ('first'), ('auto'), ('capped-split'), ('search'), ('backward'), ('two-ended'), ('fused'), ('kernel'), ('kernel-search'), ('between'), ('cap 1'), ('cap 32'), ('cap adaptive'), ('cap None'), ('pruned'), ('shortcut'), ('arrays')) x(m)",
+    "example_on_handoff": answers(H450, "1-URGENT* (2-HIGH 3-MEDIUM|5-LOW)*"),
+    "co_linked_closure": f"WITH RECURSIVE {EVEN_LINKS}, k AS (SELECT DISTINCT src FROM e), u(a, b) AS (SELECT a, b FROM t UNION SELECT src, src FROM k) SELECT 0::BIGINT AS kind, count(*)::BIGINT AS n_pairs, count(DISTINCT a)::BIGINT AS n_src FROM u UNION ALL SELECT 1, count(DISTINCT target)::BIGINT, count(DISTINCT target)::BIGINT FROM e",
+    "co_linked_pages_closure": f"WITH RECURSIVE {EVEN_LINKS} SELECT a AS src, b AS dst FROM t",
+    "sequence_with_nulls": _next(HIDDEN, "who", "o_orderpriority", "", "o_orderdate, o_orderkey"),
+    "sequence_with_nulls_by_clerk": _next(HIDDEN, "who", "o_orderpriority", "o_orderstatus", "o_orderdate, o_orderkey"),
+    "links_by_host": f"WITH e AS (SELECT DISTINCT page_id, coalesce(regexp_extract(url, '^[a-z]+://([^/]*)', 1), '') AS host, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS target FROM pages) SELECT host, substr(lower(target), 2, 1) AS letter, count(*) AS n_links FROM e GROUP BY ALL",
+    "flow_by_day": f"WITH f AS ({_next(LOW, 'event_id', 'event_type', 'user_id', 'ts, event_id')}) SELECT datediff('day', DATE '1970-01-01', ts::DATE)::BIGINT AS day, label, count(*) AS n_edges FROM f JOIN events ON event_id = src GROUP BY ALL",
     "pairs_in_both": both("SELECT * FROM one INTERSECT SELECT * FROM two"),
     "pairs_in_one": both("SELECT * FROM one EXCEPT SELECT * FROM two"),
-    "many_queries_one_graph": both("SELECT 'one' AS query, src, dst FROM one UNION ALL SELECT 'two', src, dst FROM two"),
-    "joined_paths": f"WITH one AS ({SPARSE}), two AS ({word(H400, '5-LOW', '2-HIGH')}) SELECT DISTINCT one.src AS x, one.dst AS y, two.dst AS z FROM one JOIN two ON one.dst = two.src",
+    **{name: both("SELECT 'one' AS query, src, dst FROM one UNION ALL SELECT 'two', src, dst FROM two UNION ALL SELECT 'three', src, dst FROM three") for name in ("many_queries_one_graph", "many_queries_in_rounds")},
+    "joined_paths": f"WITH one AS ({MIXED}), two AS ({word(H350, '5-LOW', '2-HIGH')}) SELECT DISTINCT one.src AS x, one.dst AS y, two.dst AS z FROM one JOIN two ON one.dst = two.src",
     "answers_by_region_cube": NATION + " SELECT region, c_mktsegment AS segment, count(*) AS n FROM wide JOIN customer ON c_custkey = dst GROUP BY CUBE (region, c_mktsegment)",
     "answers_rollup": NATION + " SELECT region, nation, count(*) AS n, count(DISTINCT src) AS n_src FROM wide GROUP BY ROLLUP (region, nation)",
     "answers_grouping_sets": NATION + " SELECT region, nation, count(*) AS n FROM wide GROUP BY GROUPING SETS ((region), (nation), ())",
@@ -291,19 +332,23 @@ UNION ALL SELECT 'backward search', count(*) FROM rear JOIN move ON v = b AND re
     "one_path": "SELECT count(*) AS n_vertices, count(*) - 1 AS n_edges, 0::BIGINT AS out FROM events",
     "two_rings_cost": """WITH n AS (SELECT count(*) FILTER (c_custkey % 2 = 1) AS odd, count(*) FILTER (c_custkey % 2 = 0) AS even FROM customer),
 k AS (SELECT *, (2 * odd + 2 * even)::BIGINT AS n_edges, floor(sqrt(2 * odd + 2 * even))::BIGINT + 1 AS cap FROM n)
-SELECT n_edges, cap, (even * least(cap, even))::BIGINT AS reach_rows, CASE WHEN even >= cap THEN even ELSE 0 END::BIGINT AS n_heavy, 0::BIGINT AS heavy_sources, true AS within_bound, (odd * (odd + 1))::BIGINT AS search_inspections FROM k""",
-    "one_path_cost": "SELECT count(*) AS n, 0::BIGINT AS inspect_reach, 0::BIGINT AS reach_rows, 0::BIGINT AS inspect_backward, (count(*) * (count(*) - 1) // 2)::BIGINT AS inspect_forward FROM events",
+SELECT n_edges, cap, (even * least(cap, even))::BIGINT AS reach_rows, CASE WHEN even >= cap THEN even ELSE 0 END::BIGINT AS n_heavy, 0::BIGINT AS heavy_sources, (even * least(cap, even))::BIGINT AS inspect_reach, 0::BIGINT AS inspect_trail,
+  (odd * (odd + 1))::BIGINT AS inspect_forward, (CASE WHEN odd <= even THEN odd * odd ELSE even * even END)::BIGINT AS inspect_two_ended FROM k""",
+    "one_path_cost": "SELECT 0::BIGINT AS inspect_reach, 0::BIGINT AS reach_rows, 0::BIGINT AS inspect_backward, (count(*) * (count(*) - 1) // 2)::BIGINT AS inspect_forward FROM events",
     "partchain_giant": f"SELECT count(*) AS out FROM ({answers(partchain(36), 'R N* A')})",
     "stream_incremental_closure": _delta(CLOSED) + " SELECT src, dst FROM t",
     "stream_window_tumbling": "SELECT (epoch_us(ts) // 3600000000 * 3600)::BIGINT AS start, event_type AS label, count(*) AS n FROM events GROUP BY ALL",
     "stream_window_sliding": "SELECT (epoch_us(ts) // 1800000000 * 1800 - 1800 * k)::BIGINT AS start, event_type AS label, count(*) AS n FROM events, (VALUES (0), (1)) s(k) GROUP BY ALL",
+    "stream_window_paths": windows("SELECT us // 86400000000 * 86400 AS start, * FROM e"),
+    "stream_window_paths_sliding": windows("SELECT us // 43200000000 * 43200 - 43200 * k AS start, e.* FROM e, (VALUES (0), (1)) s(k)"),
+    "stream_session_answers": windows("SELECT epoch_us(min(ts) OVER (PARTITION BY user_id, k)) // 1000000 AS start, user_id, event_id, event_type, ts FROM (SELECT *, sum(opens) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 4 HOUR THEN 0 ELSE 1 END AS opens FROM e))"),
     "stream_session_paths": """WITH o AS (SELECT user_id, ts, event_type, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS opens FROM events),
 s AS (SELECT *, sum(opens) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM o)
 SELECT user_id, (epoch_us(min(ts)) // 1000000)::BIGINT AS start, count(*) AS n_events, count(*) FILTER (event_type = 'purchase') AS n_purchases FROM s GROUP BY user_id, k""",
     "stream_user_automaton": f"WITH f AS ({answers(FLOW, 'view (view|click)*')}), o AS (SELECT event_id, user_id, event_type, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events) SELECT o.user_id, count(DISTINCT CASE WHEN o.event_type = 'purchase' AND f.dst IS NOT NULL THEN o.event_id END) AS matched FROM o LEFT JOIN f ON f.dst = o.event_id GROUP BY o.user_id",
     "sql_path_query": answers(TURNS, "user (assistant user)*", CHAT_VERTICES),
+    "sql_path_query_star": answers(TURNS, "(user assistant)*"),
     "sql_path_matches": "SELECT conv_id, regexp_full_match(string_agg(role, ' ' ORDER BY turn), '(user assistant ?)+') AS matched FROM conversations GROUP BY conv_id",
     "graph_copies_edges": COPY,
     "graph_copies_labels": f"SELECT label, count(*) AS n_edges FROM (SELECT DISTINCT label, src FROM (SELECT label, src FROM ({COPY}) UNION ALL SELECT 'lang:' || lang, doc_id FROM documents UNION ALL SELECT 'src:' || source, doc_id FROM documents UNION ALL SELECT 'rated:' || quality::VARCHAR, doc_id FROM labels) WHERE label IS NOT NULL) GROUP BY label",
-    "gain_by_workload": " UNION ALL ".join(f"SELECT * FROM ({gain(n)})" for n in ("handoff_sparse", "relay_sparse", "partchain_small")),
 }

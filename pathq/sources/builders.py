@@ -42,7 +42,8 @@ def from_sequence(df: DataFrame, partition: Sequence[str], order: Sequence[str],
     """Each row leads to the next one of its partition, under the label of the earlier row.
 
     With an empty ``partition`` the order is global. A window over everything would be one task, so rows are sorted by
-    range; each range's rows get their successor within it, and the few range borders are linked apart.
+    range; each range's rows get their successor within it, and the few range borders are linked apart. A null vertex
+    keeps its place in the order: no edge leads to it or from it, and none leads past it.
     """
     col = lambda c: F.col(c) if isinstance(c, str) else c
     rows = df.select(*{*partition, *order}, col(vertex).alias("__v"), col(label).alias("__l"))
@@ -53,11 +54,12 @@ def from_sequence(df: DataFrame, partition: Sequence[str], order: Sequence[str],
     ranged = rows.repartitionByRange(n, *order).withColumn("__p", F.spark_partition_id())
     w = Window.partitionBy("__p").orderBy(*order)
     # written once: ranges that are drawn anew for every use need not be the same
-    placed = Store(df.sparkSession, "sequence").table(ranged.withColumn("__n", F.lead("__v").over(w)).withColumn("__r", F.row_number().over(w)), "ranges")
-    inner = placed.select("__v", "__l", "__n").dropna()
+    numbered = ranged.withColumn("__n", F.lead("__v").over(w)).withColumn("__r", F.row_number().over(w)).withColumn("__last", F.lead(F.lit(1)).over(w).isNull())
+    placed = Store(df.sparkSession, "sequence").table(numbered, "ranges")
+    inner = placed.filter("not __last").select("__v", "__l", "__n")
     # first vertex of each range, by range; one row per range
     first = placed.filter("__r = 1").select(F.col("__p").alias("__q"), F.col("__v").alias("__f"))
-    last = placed.filter("__n is null").select("__p", "__v", "__l")
+    last = placed.filter("__last").select("__p", "__v", "__l")
     following = Window.orderBy("__q")
     nexts = first.withColumn("__g", F.lead("__f").over(following)).select("__q", "__g")
     border = last.join(F.broadcast(nexts), F.col("__p") == F.col("__q")).select("__v", "__l", F.col("__g").alias("__n"))
@@ -113,35 +115,47 @@ def write_parquet(answers: DataFrame, path: str, partitions: int | None = None)
     out.write.mode("overwrite").parquet(path)
 
 
-def nearest_by_cosine(vectors: DataFrame, k: int = 3, limit: int = 200_000) -> DataFrame:
+def nearest_by_cosine(vectors: DataFrame, k: int = 3, block: int = 2048) -> DataFrame:
     """(query_id, vec_id, rank): the k vectors with the largest cosine (to six digits, then the smaller id).
 
-    All vectors go to every task, so more than ``limit`` of them are refused; larger sets come as a table to ``from_knn``.
+    Rows are dealt into blocks by a hash of their id, and every two blocks meet in one task, which answers with its best
+    k of each query: a task holds two blocks, whatever the table. The work is quadratic, as an exact answer asks; for a
+    large table take neighbours from an index, as a table for ``from_knn``. Null, empty and zero vectors take no part.
     """
+    live = F.exists("embedding", lambda x: x != 0) & ~F.exists("embedding", lambda x: x.isNull())
+    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).dropna().filter(live)
+    n = -(-rows.count() // block)
+    if not n:
+        return vectors.sparkSession.createDataFrame([], "query_id long, vec_id long, rank long")
+    own, every = F.pmod(F.xxhash64("vec_id"), F.lit(n)), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
+    asked, held = rows.withColumn("i", own).withColumn("j", every), rows.withColumn("j", own).withColumn("i", every)
+    order = Window.partitionBy("query_id").orderBy(F.desc("near"), "vec_id")
+    met = asked.groupBy("i", "j").cogroup(held.groupBy("i", "j")).applyInPandas(_nearest_of(k), "query_id long, vec_id long, near double")
+    return met.withColumn("rank", F.row_number().over(order).cast("long")).filter(F.col("rank") <= k).select("query_id", "vec_id", "rank")
+
+
+def _nearest_of(k: int):
     import numpy as np
-    import pyarrow as pa
-
-    rows = vectors.select("vec_id", "embedding").dropna().orderBy("vec_id").limit(limit + 1).toArrow()
-    if rows.num_rows > limit:
-        raise ValueError(f"more than {limit} vectors")
-    ids = rows["vec_id"].to_numpy()
-    x = np.stack(rows["embedding"].to_numpy(zero_copy_only=False)).astype(np.float64) if len(ids) else np.empty((0, 1))
-    x /= np.linalg.norm(x, axis=1)[:, None]
-    spark = vectors.sparkSession
-    shared = spark.sparkContext.broadcast((ids, x))
-
-    def run(batches):
-        own, unit = shared.value
-        for batch in batches:
-            for at in batch["id"].to_numpy().tolist():
-                part = slice(at * 512, (at + 1) * 512)
-                near = np.round(unit[part] @ unit.T, 6)
-                near[np.arange(near.shape[0]), np.arange(near.shape[0]) + at * 512] = -np.inf
-                best = np.argsort(-near, axis=1, kind="stable")[:, : min(k, len(own) - 1)]
-                n, m = best.shape
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(own[part], m)), pa.array(own[best].ravel()), pa.array(np.tile(np.arange(1, m + 1), n))], names=["query_id", "vec_id", "rank"])
-
-    return spark.range(-(-len(ids) // 512)).mapInArrow(run, "query_id long, vec_id long, rank long")
+    import pandas as pd
+
+    def unit(frame):
+        x = np.stack(frame["embedding"].to_numpy())
+        return x / np.linalg.norm(x, axis=1)[:, None]
+
+    def run(asked: pd.DataFrame, held: pd.DataFrame) -> pd.DataFrame:
+        if not len(asked) or not len(held):
+            return pd.DataFrame({"query_id": pd.Series(dtype="int64"), "vec_id": pd.Series(dtype="int64"), "near": pd.Series(dtype="float64")})
+        held = held.sort_values("vec_id")
+        who, ids = asked["vec_id"].to_numpy(), held["vec_id"].to_numpy()
+        near = np.round(unit(asked) @ unit(held).T, 6)
+        near[who[:, None] == ids[None, :]] = -np.inf
+        best = np.argsort(-near, axis=1, kind="stable")[:, :k]
+        score = np.take_along_axis(near, best, axis=1)
+        query, found, score = np.repeat(who, best.shape[1]), ids[best].ravel(), score.ravel()
+        real = score > -np.inf
+        return pd.DataFrame({"query_id": query[real], "vec_id": found[real], "near": score[real]})
+
+    return run
 
 
 def occurrences(docs: DataFrame, items: DataFrame, words: int = 5) -> DataFrame:

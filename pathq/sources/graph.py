@@ -60,6 +60,11 @@ class PathGraph:
         """Out-degree -> number of vertices with at least one outgoing edge."""
         return self.edges.groupBy("src").agg(F.count(F.lit(1)).alias("degree")).groupBy("degree").agg(F.count(F.lit(1)).alias("n_vertices"))
 
+    def id_range(self) -> tuple[int, int]:
+        """The smallest and the largest id that an edge holds; (0, 0) without edges."""
+        r = self.edges.agg(F.min(F.least("src", "dst")).alias("lo"), F.max(F.greatest("src", "dst")).alias("hi")).first()
+        return (0, 0) if r["lo"] is None else (r["lo"], r["hi"])
+
     def sizes(self) -> dict[str, int]:
         e = self.edges.agg(F.count(F.lit(1)).alias("e"), F.countDistinct("label").alias("l")).first()
         return {"n_vertices": self.vertices.count(), "n_edges": e["e"], "n_labels": e["l"]}

@@ -13,9 +13,11 @@ from pyspark.sql import functions as F
 
 
 def shared_root(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session; a folder of our own only where it is unset."""
+    """``spark.checkpoint.dir`` of the session; a folder of our own only where it is unset and all executors are on this machine."""
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="pathq-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -72,6 +74,15 @@ class Store:
             df.observe(seen, F.count(F.lit(1)).alias("n")).write.parquet(where)
         return self.spark.read.schema(df.schema).parquet(where), observed(seen)
 
+    def finish(self, df: DataFrame, name: str = "answers") -> tuple[DataFrame, int]:
+        """(``df`` written beside the folder, its number of rows); the folder with all that led to it is removed."""
+        where, seen = f"{self.root}-{name}", Observation()
+        with whole_plans(self.spark):
+            df.observe(seen, F.count(F.lit(1)).alias("n")).write.parquet(where)
+        n = observed(seen)
+        self.close()
+        return self.spark.read.schema(df.schema).parquet(where), n
+
     def close(self) -> None:
         """Remove all tables. What was built on them can no longer be read, so write answers first."""
         remove(self.spark, self.root)

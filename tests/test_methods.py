@@ -3,23 +3,27 @@ import random
 import pytest
 from brute import answers, random_expr, random_graph
 
+from pyspark.sql import functions as F
+
 from pathq.functions import bounds
 from pathq.functions.metrics import RunReport
 from pathq.operators import kernels, matrix
 from pathq.operators.capped_split import default_cap, evaluate_capped_split
+from pathq.operators.fixpoint import Parts
 from pathq.operators.closure import delta_sizes, transitive_closure
 from pathq.operators.local import Local, flat
 from pathq.operators.product import direct, product_edges, stored_loops
 from pathq.operators.reach import capped_reach
-from pathq.operators.reachable import connected, shortest_length
-from pathq.operators.search import product_search
+from pathq.operators.reachable import connected, decide, shortest_length
+from pathq.operators.search import product_search, recursive_sql
 from pathq.operators.starfree import evaluate_star_free, path_join, plain_join, relations
 from pathq.plans.automaton import compile_path
 from pathq.plans.classify import classify
 from pathq.plans.expr import parse
 from pathq.plans.planner import canonical_of, choose, evaluate, evaluate_many, evaluate_with_report, explain_path, join_paths
-from pathq.sources.builders import from_triples
-from pathq.store import Store
+from pathq.sources import builders
+from pathq.sources.builders import from_sequence, from_triples
+from pathq.store import Store, shared_root
 
 EXAMPLE = [(1, "d", 2), (2, "e", 3), (3, "f", 4), (4, "g", 1), (2, "g", 5), (5, "e", 3), (6, "d", 6)]
 EXPECTED = sorted([(1, 1), (1, 2), (1, 4), (1, 5), (2, 1), (2, 2), (2, 4), (2, 5), (3, 3), (4, 1), (4, 4), (5, 1), (5, 4), (5, 5), (6, 6)])
@@ -69,8 +73,9 @@ def test_local_methods_against_brute_force(seed):
             c = g.counters
             assert c.reach_rows <= (c.n_light + c.n_heavy) * cap
             assert c.inspect_reach <= g.n_edges * cap and c.inspect_trail <= max(1, c.heavy_sources) * g.n_edges * a.n_states
-    _, g = local(edges, expr)
-    assert sorted((set(zip(*(x.tolist() for x in flat(g.search())), strict=True)) if g else set()) | own) == expected
+    for method in ("search", "two_ended"):
+        _, g = local(edges, expr)
+        assert sorted((set(zip(*(x.tolist() for x in flat(getattr(g, method)())), strict=True)) if g else set()) | own) == expected
 
 
 @pytest.mark.parametrize("seed", range(3))
@@ -153,8 +158,8 @@ def test_closure(spark):
     g = from_triples(spark, edges)
     e = g.edges.select("src", "dst")
     expected = answers(edges, "a+")
-    for rule in ("delta", "right", "squaring"):
-        assert rows(transitive_closure(e, Store(spark, "test"), rule)[0]) == expected
+    for rule in ("delta", "right", "squaring", "deep"):
+        assert rows(transitive_closure(e, Store(spark, "test"), rule, patience=2)[0]) == expected
     _, log = transitive_closure(e, Store(spark, "test"))
     out, n, v = len(expected), len(edges), len({x for s, _, t in edges for x in (s, t)})
     assert log.inspected <= out * n**0.5 + 1e-9 and log.inspected <= v * n
@@ -204,9 +209,11 @@ def test_many_queries_and_conjunctions(spark):
     edges = random_graph(random.Random(10), 10, 30, "abc")
     g = from_triples(spark, edges)
     queries = {"p": "a b*", "q": "c a", "r": "(a|c)+ b"}
-    found = evaluate_many(g, queries).collect()
-    for name, expr in queries.items():
-        assert sorted((r["src"], r["dst"]) for r in found if r["query"] == name) == answers(edges, expr)
+    queries["s"] = "a*"
+    for limit in (0, 200_000):
+        found = evaluate_many(g, queries, kernel_limit=limit).collect()
+        for name, expr in queries.items():
+            assert sorted((r["src"], r["dst"]) for r in found if r["query"] == name) == answers(edges, expr)
     joined = join_paths([(evaluate(g, "a"), "x", "y"), (evaluate(g, "b"), "y", "z")])
     a, b = answers(edges, "a"), answers(edges, "b")
     assert rows(joined.select("x", "y", "z")) == sorted((x, y, z) for x, y in a for y2, z in b if y == y2)
@@ -222,7 +229,7 @@ def test_components_kernel(spark):
 def test_limits_are_checked(spark):
     canon, _ = canonical_of(from_triples(spark, EXAMPLE), "d*(e f|g)*")
     with pytest.raises(kernels.TooLarge):
-        kernels.broadcast_search(canon, limit=3)
+        kernels.in_tasks(canon, Store(spark, "test"), limit=3)
     with pytest.raises(ValueError):
         evaluate(from_triples(spark, EXAMPLE), "d", "unheard-of")
 
@@ -244,9 +251,12 @@ def test_plans(spark):
     text = product_edges(g, compile_path("d*(e f|g)*"))._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in text and "Cartesian" not in text and "BroadcastNestedLoop" not in text
     canon, _ = canonical_of(g, "d*(e f|g)*")
-    from pathq.operators.reach import _capped
+    from pathq.operators.reach import _added
 
-    assert "WindowGroupLimit" in _capped(canon.ends, 3)._jdf.queryExecution().executedPlan().toString()
+    lists = canon.ends.withColumn("n", F.lit(1))
+    text = _added(canon.ends, lists, 3)._jdf.queryExecution().executedPlan().toString()
+    assert text.count("REPARTITION_BY_COL") == 1 and "Window" in text  # old and new entries meet in one shuffle
+    assert "Cartesian" not in text and "BroadcastNestedLoop" not in text
     assert capped_reach(canon, 2, Store(spark, "test"))[0].groupBy("x").count().filter("count > 2").count() == 0
     assert "method:" in explain_path(g, "d e*")
 
@@ -259,5 +269,155 @@ def test_store_is_removed(spark):
     assert n == 5 and t.count() == 5
     root = store.root.removeprefix("file://")
     assert os.path.isdir(root)
-    store.close()
-    assert not os.path.exists(root)
+    last, n = store.finish(t.filter("id > 2"))
+    assert n == 2 and not os.path.exists(root) and last.count() == 2
+
+
+def test_store_wants_a_shared_folder():
+    from types import SimpleNamespace
+
+    conf = SimpleNamespace(get=lambda key: None)
+    far = SimpleNamespace(sparkContext=SimpleNamespace(getConf=lambda: conf, getCheckpointDir=lambda: None, master="spark://host:7077"))
+    with pytest.raises(ValueError):
+        shared_root(far)
+
+
+@pytest.mark.parametrize("method", ["auto", "capped-split", "search", "backward", "two-ended"])
+def test_ids_that_leave_no_room(spark, method):
+    """Ids so large that a vertex and a state do not fit one number."""
+    top, expr = (1 << 63) - 20, "(a ^a)* b"
+    edges = [(top + s, x, top + t - (1 << 63) * (t > 6)) for s, x, t in random_graph(random.Random(4), 9, 24, "ab")]
+    assert rows(evaluate(from_triples(spark, edges), expr, method)) == answers(edges, expr)
+
+
+def test_null_vertices_in_sequences(spark):
+    """A null keeps its place in the order, at the border of ranges too, and no edge leads over it."""
+    seq = [10, 20, None, 40, 50, None, None, 80, 90, 100, None, 120]
+    df = spark.createDataFrame([(i, 0, v) for i, v in enumerate(seq)], "i long, k int, v long")
+    expected = sorted((a, "x", b) for a, b in zip(seq, seq[1:], strict=False) if a is not None and b is not None)
+    for width in (1, 3, 5, 12):
+        assert rows(from_sequence(df, [], ["i"], "v", F.lit("x"), width=width).edges) == expected
+    assert rows(from_sequence(df, ["k"], ["i"], "v", F.lit("x")).edges) == expected
+
+
+def test_larger_caps_extend_lists(spark, monkeypatch):
+    from pathq.operators import capped_split
+
+    monkeypatch.setattr(capped_split, "FIRST_CAP", 1)
+    for seed in (1, 2):
+        edges = random_graph(random.Random(seed), 14, 60, "abc")
+        canon, _ = canonical_of(from_triples(spark, edges), "a (b|c)* a", Store(spark, "test"))
+        found, told = evaluate_capped_split(canon, Store(spark, "test"), "adaptive")
+        assert told["cap"] >= 4 and rows(found) == answers(edges, "a (b|c)* a")
+
+
+def test_parts_keep_all_rows(spark):
+    parts = Parts(Store(spark, "test"), "parts", fan_in=2)
+    for i in range(7):
+        parts.add(spark.range(i, i + 1))
+    assert sorted(r["id"] for r in parts.all().collect()) == list(range(7)) and sum(map(len, parts.levels)) <= 4
+
+
+def test_decisions_of_many_pairs(spark):
+    edges = random_graph(random.Random(12), 12, 26, "ab")
+    for expr in ("a (a|b)* b", "b*"):
+        expected = set(answers(edges, expr))
+        canon, _ = canonical_of(from_triples(spark, edges), expr)
+        ends = sorted({v for e in edges for v in (e[0], e[2])})
+        pairs = [(s, t) for s in ends for t in ends if (s + t) % 3]
+        told = decide(canon, spark.createDataFrame([*pairs, *pairs[:4], (None, 1)], "src long, dst long"), Store(spark, "test"))
+        assert rows(told) == sorted((s, t, (s, t) in expected) for s, t in pairs)
+
+
+def test_recursive_sql(spark):
+    edges = [(i, "b", i + 1) for i in range(20)] + [(0, "a", 1), (3, "a", 4), (20, "c", 30)]
+    found, levels = recursive_sql(canonical_of(from_triples(spark, edges), "a b* c")[0], Store(spark, "test"))
+    assert rows(found) == answers(edges, "a b* c") and levels == 32
+
+
+def test_report_is_filled(spark):
+    edges = random_graph(random.Random(3), 12, 50, "abc")
+    g = from_triples(spark, edges)
+    own, base = (evaluate_with_report(g, "a b* c", m)[1] for m in ("capped-split", "search"))
+    out = len(answers(edges, "a b* c"))
+    assert own.out == base.out == out and own.n_edges == len(edges) and own.n_labels == 3
+    assert own.n_light + own.n_heavy + own.n_absent == own.product_vertices and own.product_edges == base.product_edges > 0
+    assert own.seconds > 0 and own.shuffle_bytes > 0 and own.peak_rows > 0 and base.out_states >= out
+    assert own.gain_over(base) == base.inspect_search / (own.inspect_reach + own.inspect_trail) and own.bound_split > 0
+    assert all(own.invariants().values()) and own.to_df(spark).count() == 1
+
+
+def test_chooser_order(spark):
+    g = from_triples(spark, random_graph(random.Random(6), 10, 40, "abc"))
+    one = spark.createDataFrame([(1,)], "id long")
+    assert choose(g, "a+").method == "closure" and choose(g, "x a").method == "empty"
+    assert choose(g, "a b").method in ("plain-words", "star-free") and choose(g, "a b", plain_factor=0).method == "star-free"
+    assert choose(g, "a b* c", sources=one, targets=one).method == "between" and choose(g, "a b* c", sources=one).method == "sources"
+    assert choose(g, "a b* c").method == "kernel" and choose(g, "a b* c", kernel_limit=0).method == "capped-split"
+    assert choose(g, " ".join(["(a|b)"] * 6)).method == "layered"
+
+
+def test_table_function_matches_the_empty_path(spark):
+    from pathq.functions import sqlapi
+
+    sqlapi.register(spark)
+    edges = [(1, "a", 2), (2, "a", 3), (4, "b", 5)]
+    spark.createDataFrame([*edges, (None, "a", 9)], "src long, label string, dst long").withColumn("k", F.lit(1)).createOrReplaceTempView("pathq_edges")
+    for expr in ("a*", "a a", "b ^b", "(a|b)?"):
+        assert rows(spark.sql(f"SELECT src, dst FROM path_query(TABLE(pathq_edges) PARTITION BY (k), '{expr}')")) == answers(edges, expr)
+
+
+def test_sources_and_sinks(spark, tmp_path):
+    edges = sorted(random_graph(random.Random(2), 8, 20, "ab"))
+    g = from_triples(spark, edges)
+    g.edges.write.parquet(f"{tmp_path}/p")
+    g.edges.select("src", "label", "dst").write.csv(f"{tmp_path}/c", header=True)
+    g.edges.write.json(f"{tmp_path}/j")
+    spark.sql("DROP TABLE IF EXISTS pathq_bucketed")
+    builders.write_bucketed(g, "pathq_bucketed", 4)
+    read = [builders.from_parquet(spark, f"{tmp_path}/p"), builders.from_csv(spark, f"{tmp_path}/c"), builders.from_json(spark, f"{tmp_path}/j"), builders.from_table(spark, "pathq_bucketed")]
+    assert all(rows(x.edges.select("src", "label", "dst")) == edges for x in read)
+    answers_ = evaluate(g, "a b")
+    builders.write_parquet(answers_, f"{tmp_path}/out", 3)
+    assert rows(spark.read.parquet(f"{tmp_path}/out")) == rows(answers_)
+    spark.sql("DROP TABLE pathq_bucketed")
+    stream = builders.from_stream(spark, f"{tmp_path}/p")
+    q = stream.writeStream.format("memory").queryName("pathq_memory").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert spark.table("pathq_memory").count() == len(edges)
+
+
+def test_neighbours_in_blocks(spark):
+    import numpy as np
+
+    x = np.random.default_rng(1).standard_normal((70, 6))
+    rows_ = [(i, v.tolist()) for i, v in enumerate(x)] + [(70, None), (71, [0.0] * 6), (72, [1.0, None, 0.0, 0.0, 0.0, 0.0])]
+    found = builders.nearest_by_cosine(spark.createDataFrame(rows_, "vec_id long, embedding array<double>"), 3, block=16)
+    unit = x / np.linalg.norm(x, axis=1)[:, None]
+    near = np.round(unit @ unit.T, 6)
+    np.fill_diagonal(near, -9)
+    best = np.argsort(-near, axis=1, kind="stable")[:, :3]
+    assert rows(found) == sorted((i, int(j), r + 1) for i in range(70) for r, j in enumerate(best[i]))
+
+
+def test_late_events_and_idle_users(spark):
+    """What comes behind the watermark is dropped from windows; an idle user's state starts anew."""
+    from pathq.store import Store as Folder
+    from pathq.streaming import incremental as inc
+
+    row = lambda i, minute, kind: (i, f"2024-01-01 00:00:00", minute, kind, 1)  # noqa: E731, F541
+    batches = [[row(1, 0, "view"), row(2, 5, "purchase")], [row(3, 200, "view")], [row(4, 6, "click"), row(5, 201, "purchase")], [row(6, 400, "view")]]
+    where = Folder(spark, "late").root
+    for b in batches:
+        df = spark.createDataFrame(b, "event_id long, day string, minute int, event_type string, user_id long")
+        df.selectExpr("event_id", "timestampadd(MINUTE, minute, timestamp(day)) AS ts", "event_type", "user_id").repartition(1).write.mode("append").parquet(where)
+    schema = spark.read.parquet(where).schema
+    stream = lambda: spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(where)
+    told = inc.spread_pairs(inc.drain(inc.window_paths(stream(), "view (click)* purchase", "1 hour"), "late", "update", ("start", "user_id")))
+    assert sorted((r["src"], r["dst"]) for r in told.collect()) == []  # a purchase ends no edge of its own window: nothing follows it
+    told = inc.spread_pairs(inc.drain(inc.window_paths(stream(), "view", "1 hour"), "late2", "update", ("start", "user_id")))
+    assert sorted((r["src"], r["dst"]) for r in told.collect()) == [(1, 2), (3, 5)]
+    counts = inc.drain(inc.window_edges(stream(), "1 hour"), "late3", "update", ("start", "label"))
+    assert sum(r["n"] for r in counts.collect()) == 5  # the late click is not counted
+    stepped = inc.drain(inc.step_automaton(stream(), "view", idle="30 minutes"), "idle", "update", ("user_id",))
+    assert [r["matched"] for r in stepped.collect()] == [1]  # of the last view alone: states before it were dropped
