@@ -85,24 +85,33 @@ class Probe:
     most rows that one task read from a shuffle. Other work of the session in that time counts too."""
 
     def __init__(self, spark: SparkSession):
-        self.spark, self.began = spark, time.perf_counter()
-        self.last = max((s.stageId() for s in self._stages()), default=-1)
-
-    def _stages(self, peaks: bool = False) -> list:
-        sc = self.spark.sparkContext
-        quantiles = sc._gateway.new_array(sc._jvm.double, 1 if peaks else 0)
-        if peaks:
-            quantiles[0] = 1.0
-        found = sc._jsc.sc().statusStore().stageList(None, False, peaks, quantiles, None)
-        return [found.apply(i) for i in range(found.size())]
+        self.context, self.began = spark.sparkContext, time.perf_counter()
+        self.last = max((s.stageId() for s in self._newest(-1)[:1]), default=-1)
+
+    def _newest(self, after: int) -> list:
+        """Stages with a larger id, newest first."""
+        none = self.context._gateway.new_array(self.context._jvm.double, 0)
+        found = self.context._jsc.sc().statusStore().stageList(None, False, False, none, None)
+        n = found.size()
+        turn = range(n) if n < 2 or found.apply(0).stageId() > found.apply(n - 1).stageId() else range(n - 1, -1, -1)
+        out = []
+        for i in turn:
+            s = found.apply(i)
+            if s.stageId() <= after:
+                break
+            out.append(s)
+            if after < 0:
+                break
+        return out
 
     def read(self) -> dict[str, float | int]:
         seconds, shuffled, peak = time.perf_counter() - self.began, 0, 0
-        for s in self._stages(peaks=True):
-            if s.stageId() <= self.last:
-                continue
+        store, top = self.context._jsc.sc().statusStore(), self.context._gateway.new_array(self.context._jvm.double, 1)
+        top[0] = 1.0
+        for s in self._newest(max(self.last, 0)):
             shuffled += s.shuffleWriteBytes()
-            told = s.taskMetricsDistributions()
-            if told.isDefined():
-                peak = max(peak, int(told.get().shuffleReadMetrics().readRecords().apply(0)))
+            if s.shuffleReadRecords() > peak:  # its largest task may have read more than the largest so far
+                told = store.taskSummary(s.stageId(), s.attemptId(), top)
+                if told.isDefined():
+                    peak = max(peak, int(told.get().shuffleReadMetrics().readRecords().apply(0)))
         return {"seconds": round(seconds, 3), "shuffle_bytes": shuffled, "peak_rows": peak}

@@ -159,7 +159,7 @@ canon AS (SELECT (SELECT count(*) FROM move) + (SELECT count(*) FROM (SELECT DIS
 SELECT '{name}' AS name, (SELECT count(DISTINCT id) FROM ({vertices}))::DOUBLE AS v, (SELECT count(*) FROM g WHERE label IN ({labels}))::DOUBLE AS e, (SELECT count(*) FROM found)::DOUBLE AS o,
   (SELECT count(*) FROM walk JOIN move ON v = a AND walk.q = move.q)::BIGINT AS forward, (SELECT count(*) FROM rear JOIN move ON v = b AND rear.q = p)::BIGINT AS lists,
   (SELECT count(*) FROM (SELECT DISTINCT y, v, q FROM rear) r JOIN move ON r.v = b AND r.q = p)::BIGINT AS backward,
-  coalesce((SELECT max(d) FROM deg), 0) >= floor(sqrt((SELECT n FROM canon))) + 1 AS full)"""
+  coalesce((SELECT max(d) FROM deg), 0) >= floor(sqrt((SELECT n FROM canon))) + 1 AS filled)"""
 
 
 def sizes(columns: str, of: dict[str, tuple[str, str]] = SIZES) -> str:
@@ -308,7 +308,7 @@ SELECT s AS src, v AS dst, min(h)::BIGINT AS hops FROM far WHERE q IN ({", ".joi
     "inspections_by_method": f"WITH z AS ({sizes('*', {n: SIZES[n] for n in ('handoff_split', 'handoff_sparse', 'flow_until_purchase', 'flow_dead_end')})}) SELECT name AS workload, 'lists' AS method, lists AS inspections FROM z UNION ALL SELECT name, 'forward', forward FROM z UNION ALL SELECT name, 'backward', backward FROM z",
     "bound_checks": "SELECT i AS invariant, true AS holds FROM (VALUES ('few_heavy_sources'), ('lists_within_cap'), ('reach_within_bound'), ('trail_within_bound')) x(i)",
     # where lists fill, whether the method looks at fewer edges follows from no closed form; on both such graphs it does not
-    "gain_by_workload": sizes("name AS workload, CASE WHEN NOT full THEN lists END AS split, forward AS search, NOT full AND lists < forward AS gains"),
+    "gain_by_workload": sizes("name AS workload, CASE WHEN NOT filled THEN lists END AS split, forward AS search, NOT filled AND lists < forward AS gains"),
     "method_agreement": f"SELECT m AS method, (SELECT count(*) FROM ({MIXED})) AS pairs, 0::BIGINT AS differing FROM (VALUES ('first'), ('auto'), ('capped-split'), ('search'), ('backward'), ('two-ended'), ('fused'), ('kernel'), ('kernel-search'), ('between'), ('cap 1'), ('cap 32'), ('cap adaptive'), ('cap None'), ('pruned'), ('shortcut'), ('arrays')) x(m)",
     "example_on_handoff": answers(H450, "1-URGENT* (2-HIGH 3-MEDIUM|5-LOW)*"),
     "co_linked_closure": f"WITH RECURSIVE {EVEN_LINKS}, k AS (SELECT DISTINCT src FROM e), u(a, b) AS (SELECT a, b FROM t UNION SELECT src, src FROM k) SELECT 0::BIGINT AS kind, count(*)::BIGINT AS n_pairs, count(DISTINCT a)::BIGINT AS n_src FROM u UNION ALL SELECT 1, count(DISTINCT target)::BIGINT, count(DISTINCT target)::BIGINT FROM e",
