@@ -262,7 +262,8 @@ SELECT 'a' AS label, count(*) AS n_edges FROM v UNION ALL SELECT 'b', (SELECT co
     "reach_counts_capped": split("SELECT x, deg FROM listed", H350, "5"),
     "handoff_split_rounds": answers(H300, SHORT),
     "handoff_split_search": answers(H300, SHORT),
-    "flow_dead_end_rounds": "SELECT 0::BIGINT AS src, 0::BIGINT AS dst WHERE false",
+    **{name: "SELECT 0::BIGINT AS src, 0::BIGINT AS dst WHERE false" for name in ("flow_dead_end_rounds", "flow_dead_end_search")},
+    "flow_until_purchase_search": answers(FLOW, "(view|click|signup|error)* purchase"),
     "light_heavy_classes": split("SELECT x, CASE WHEN heavy THEN 'heavy' ELSE 'light' END AS class FROM listed"),
     "light_answers": split(f"SELECT src, dst FROM found WHERE src NOT IN ({HEAVY_START})"),
     "heavy_sources": split(f"SELECT s AS src FROM ({HEAVY_START})"),

@@ -290,6 +290,12 @@ def flow_dead_end_rounds(spark, d, method: str = "capped-split"):
     return evaluate(flow(spark, d), WORKLOADS["flow_dead_end"][1], method)
 
 
+def flow_searched(spark, d, name: str):
+    """The search baseline of a workload on chains of events, one task per user."""
+    graph, expr, _ = WORKLOADS[name]
+    return evaluate(graph(spark, d), expr, "component-search", component=flow_component(spark, d))
+
+
 def canonical_direct_route(spark, d):
     store = Store(spark, "direct")
     return store.finish(evaluate_capped_split(direct(handoff(spark, d, 350_000), "1-URGENT", "3-MEDIUM", "5-LOW"), store)[0])[0]
@@ -822,6 +828,8 @@ QUERIES: dict[str, Query] = {name: partial(run_workload, name) for name in WORKL
     "handoff_split_rounds": handoff_split_rounds,
     "handoff_split_search": handoff_split_search,
     "flow_dead_end_rounds": flow_dead_end_rounds,
+    "flow_dead_end_search": partial(flow_searched, name="flow_dead_end"),
+    "flow_until_purchase_search": partial(flow_searched, name="flow_until_purchase"),
     "fixed_cap_1": partial(variant, above=400_000, cap=1),
     "fixed_cap_32": partial(variant, cap=32),
     "complete_lists": partial(variant, cap=None),
