@@ -33,7 +33,35 @@ QUERIES = {
 
 _TEMPLATES = ", ".join(f"({i}, '{t.label}', {str(t.base).lower()}, '{t.text}')" for i, t in enumerate(BASE + LICENSES))
 
+#: Components over ``link(a, b)`` and ``node(id)``, by plain recursion: for tables whose groups are small.
+_COMPONENTS = """both_ways AS (SELECT a, b FROM link UNION SELECT b, a FROM link),
+reach(a, b) AS (SELECT id, id FROM node UNION SELECT reach.a, both_ways.b FROM reach JOIN both_ways ON reach.b = both_ways.a),
+least AS (SELECT a AS id, min(b) AS component FROM reach GROUP BY a)"""
+
 ORACLES = {
+    # all pairs that share a shingle, whole texts, no hashing
+    "op10_near_dedup": f"""
+WITH RECURSIVE worded AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+runs AS (
+  SELECT doc_id, unnest(range(1, greatest(len(w) - 3, 1) + 1)) AS i, w FROM worded WHERE len(w) > 0),
+grams AS (SELECT DISTINCT doc_id AS id, array_to_string(w[i:i + 3], ' ') AS g FROM runs),
+size AS (SELECT id, count(*) AS n FROM grams GROUP BY id),
+shared AS (SELECT x.id AS a, y.id AS b, count(*) AS n FROM grams x JOIN grams y ON x.g = y.g AND x.id < y.id GROUP BY ALL),
+link AS (SELECT a, b FROM shared JOIN size p ON p.id = a JOIN size q ON q.id = b WHERE 100 * shared.n >= 80 * (p.n + q.n - shared.n)),
+node AS (SELECT DISTINCT doc_id AS id FROM documents), {_COMPONENTS}
+SELECT doc_id, coalesce(n, 0)::BIGINT AS n_shingles, component AS component_id, doc_id = component AS kept
+FROM documents JOIN least ON least.id = doc_id LEFT JOIN size ON size.id = doc_id""",
+    # all pairs of vectors
+    "op9_near_vectors": f"""
+WITH RECURSIVE good AS (
+  SELECT vec_id AS id, embedding::DOUBLE[] AS v FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
+link AS (SELECT x.id AS a, y.id AS b FROM good x JOIN good y ON x.id < y.id AND len(x.v) = len(y.v) WHERE list_cosine_similarity(x.v, y.v) >= 0.9),
+node AS (SELECT DISTINCT vec_id AS id FROM embeddings), {_COMPONENTS},
+n AS (SELECT id, count(*) AS n FROM (SELECT a AS id FROM link UNION ALL SELECT b FROM link) GROUP BY id)
+SELECT vec_id, coalesce(n, 0)::BIGINT AS n_links, component AS component_id, vec_id = component AS kept
+FROM embeddings JOIN least ON least.id = vec_id LEFT JOIN n ON n.id = vec_id""",
     "op7_warc": """
 WITH p AS (SELECT page_id, encode(coalesce(html, '')) AS body FROM pages),
 d AS (SELECT page_id, octet_length(body) AS n, sha1(body) AS h FROM p),
