@@ -21,8 +21,11 @@ LEAST_SCORE = 0.05
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects documents without a letter, null and empty texts among them, or with n-grams that no profile has. Repeated
-    rows fare alike; rows without an id or label are judged by their text; without any labelled row all are rejected."""
-    said = identify(docs, fit(docs.select("doc_id", "text", "lang")))
+    rows fare alike; rows without an id or label are judged by their text; without any labelled row a letter is enough."""
+    profiles = fit(docs.select("doc_id", "text", "lang"))
+    if not profiles:
+        return docs.filter(F.col("text").rlike(r"\p{L}"))
+    said = identify(docs, profiles)
     return said.filter((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= LEAST_SCORE)).select(*docs.columns)
 
 
