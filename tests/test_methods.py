@@ -255,7 +255,7 @@ def test_plans(spark):
 
     lists = canon.ends.withColumn("n", F.lit(1))
     text = _added(canon.ends, lists, 3)._jdf.queryExecution().executedPlan().toString()
-    assert text.count("REPARTITION_BY_COL") == 1 and "Window" in text  # old and new entries meet in one shuffle
+    assert "Window" in text and "left_anti" not in text.split("Union")[0]  # old and new entries meet in the window
     assert "Cartesian" not in text and "BroadcastNestedLoop" not in text
     assert capped_reach(canon, 2, Store(spark, "test"))[0].groupBy("x").count().filter("count > 2").count() == 0
     assert "method:" in explain_path(g, "d e*")
@@ -405,8 +405,10 @@ def test_late_events_and_idle_users(spark):
     from pathq.store import Store as Folder
     from pathq.streaming import incremental as inc
 
-    row = lambda i, minute, kind: (i, f"2024-01-01 00:00:00", minute, kind, 1)  # noqa: E731, F541
-    batches = [[row(1, 0, "view"), row(2, 5, "purchase")], [row(3, 200, "view")], [row(4, 6, "click"), row(5, 201, "purchase")], [row(6, 400, "view")]]
+    row = lambda i, minute, kind, user=1: (i, "2024-01-01 00:00:00", minute, kind, user)
+    # the bound on late events follows the watermark by a batch
+    batches = [[row(1, 0, "view"), row(2, 5, "purchase")], [row(3, 200, "view")], [row(7, 199, "view")], [row(4, 6, "click"), row(5, 201, "purchase")]]
+    batches += [[row(8, 2000, "error", 2)], [row(9, 2001, "error", 2)], [row(6, 2002, "view")]]
     where = Folder(spark, "late").root
     for b in batches:
         df = spark.createDataFrame(b, "event_id long, day string, minute int, event_type string, user_id long")
@@ -414,10 +416,10 @@ def test_late_events_and_idle_users(spark):
     schema = spark.read.parquet(where).schema
     stream = lambda: spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(where)
     told = inc.spread_pairs(inc.drain(inc.window_paths(stream(), "view (click)* purchase", "1 hour"), "late", "update", ("start", "user_id")))
-    assert sorted((r["src"], r["dst"]) for r in told.collect()) == []  # a purchase ends no edge of its own window: nothing follows it
+    assert told.collect() == []  # nothing follows the purchases in their windows; with the late click something would
     told = inc.spread_pairs(inc.drain(inc.window_paths(stream(), "view", "1 hour"), "late2", "update", ("start", "user_id")))
-    assert sorted((r["src"], r["dst"]) for r in told.collect()) == [(1, 2), (3, 5)]
+    assert sorted((r["src"], r["dst"]) for r in told.collect()) == [(1, 2), (3, 5), (7, 3)]
     counts = inc.drain(inc.window_edges(stream(), "1 hour"), "late3", "update", ("start", "label"))
-    assert sum(r["n"] for r in counts.collect()) == 5  # the late click is not counted
+    assert sum(r["n"] for r in counts.collect()) == 8  # the late click is not counted
     stepped = inc.drain(inc.step_automaton(stream(), "view", idle="30 minutes"), "idle", "update", ("user_id",))
-    assert [r["matched"] for r in stepped.collect()] == [1]  # of the last view alone: states before it were dropped
+    assert {r["user_id"]: r["matched"] for r in stepped.collect()}[1] == 1  # of the last view alone: the state before it was dropped
