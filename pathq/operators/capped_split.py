@@ -2,12 +2,10 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathq.operators.product import Canonical
+from pathq.operators.product import Canonical, default_cap, stored
 from pathq.operators.reach import array_reach, capped_reach, split
 from pathq.operators.search import arrivals, walk, with_identity
 from pathq.store import Store
@@ -17,10 +15,6 @@ Cap = int | str | None
 FIRST_CAP = 16
 
 
-def default_cap(n_edges: int) -> int:
-    return math.isqrt(n_edges) + 1
-
-
 def light_answers(starts: DataFrame, light: DataFrame) -> DataFrame:
     """Answers whose first middle vertex has a complete list."""
     return arrivals(starts, light)
@@ -51,12 +45,6 @@ def heavy_walk(starts: DataFrame, middle: DataFrame, heavy: DataFrame, store: St
     return walked, arrivals(rest, light), log
 
 
-def stored(canon: Canonical, store: Store) -> tuple[Canonical, int]:
-    """(the same relations as tables, their number of rows)."""
-    (starts, a), (middle, b), (ends, c) = (store.counted(df, name) for df, name in ((canon.starts.distinct(), "starts"), (canon.middle, "middle"), (canon.ends.distinct(), "ends")))
-    return Canonical(starts, middle, ends, canon.identity, canon.packing), a + b + c
-
-
 def evaluate_capped_split(canon: Canonical, store: Store, cap: Cap = "sqrt", prune: bool = False, shortcut: bool = False, layout: str = "rows", most_rows: int | None = None) -> tuple[DataFrame, dict[str, int]]:
     """Distinct (src, dst) and counters.
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from pathq.operators import kernels
 from pathq.operators.fixpoint import Meter, RoundLog, iterate
 from pathq.operators.product import Canonical
 from pathq.store import Store
@@ -33,7 +34,8 @@ def capped_reach(canon: Canonical, cap: int | None, store: Store, smaller: tuple
 
     A round offers each new entry of a list to the vertices one middle edge before. Entries go to lists with room only;
     a list that is full stays full, so what it refuses is never needed again. A list below the cap is complete. With
-    ``smaller`` (its cap, its lists) only lists that were full there are offered again what they refused.
+    ``smaller`` (its cap, its lists) only lists that were full there are offered again what they refused. Where edges and
+    lists fit a task, the rounds are made inside one.
     """
     middle = canon.middle
 
@@ -46,6 +48,9 @@ def capped_reach(canon: Canonical, cap: int | None, store: Store, smaller: tuple
     def capped(newest: DataFrame, total: DataFrame, meter: Meter) -> DataFrame:
         return _added(offers(newest, middle, meter), total, cap)
 
+    told = kernels.lists_in_tasks(canon, cap, store)
+    if told is not None:
+        return told
     ends = canon.ends.distinct()
     if cap is None:
         return iterate(ends.withColumn("n", F.lit(0)), complete, store, "reach")
