@@ -65,3 +65,23 @@ def test_searches_beyond_one_task_of_lists_are_dealt(spark):
     assert choose(g, "a b* c", kernel_limit=1).method == "kernel-search"
     for later in (False, True):
         assert sorted(tuple(r) for r in evaluate(g, "a b* c", later=later, kernel_limit=1).collect()) == answers(edges, "a b* c")
+
+
+def _links(spark, tmp_path, n):
+    """Pages of which each links to its own number and the next, in two chains."""
+    html = [(i, "http://x", "".join(f'<a href="/{t}">' for t in (i, i + 1) if not (t == n and i < n))) for i in range(2 * n)]
+    spark.createDataFrame(html, "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+
+
+@pytest.mark.parametrize("name", ["co_linked_closure", "co_linked_pages_closure"])
+def test_co_linked_pages_are_classes(spark, tmp_path, name):
+    from pathq import workloads
+
+    _links(spark, tmp_path, 40)
+    df, took = jobs(spark, lambda: workloads.QUERIES[name](spark, str(tmp_path)))
+    if name == "co_linked_closure":
+        assert sorted(tuple(r) for r in df.collect()) == [(0, 2 * 40 * 40, 80), (1, 81, 81)]
+    else:
+        found = [tuple(r) for r in df.collect()]
+        assert sorted(found) == sorted((2 * a, 2 * b) for a in range(80) for b in range(80) if (a < 40) == (b < 40))
+    assert took < 40
