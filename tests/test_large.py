@@ -85,3 +85,33 @@ def test_co_linked_pages_are_classes(spark, tmp_path, name):
         found = [tuple(r) for r in df.collect()]
         assert sorted(found) == sorted((2 * a, 2 * b) for a in range(80) for b in range(80) if (a < 40) == (b < 40))
     assert took < 40
+
+
+@pytest.mark.parametrize("giant", [1, 3])
+def test_a_giant_part_is_searched_once(monkeypatch, giant):
+    monkeypatch.setattr(local, "GIANT", giant)
+    rng, real = np.random.default_rng(3), Local.giant
+    pairs = lambda a, b, n: np.unique(np.stack((rng.integers(*a, n), rng.integers(*b, n)), 1), axis=0)
+    for _ in range(40):
+        n = int(rng.integers(2, 60))
+        parts = [tuple(pairs(a, b, k).T) for a, b, k in (((100, 120), (0, n), 30), ((0, n), (0, n), int(rng.integers(1, 150))), ((0, n), (200, 215), 25))]
+        one, two, whole = Local.build(*parts), Local.build(*parts), []
+        written = sorted(zip(*(c.tolist() for c in local.flat(one.search())), strict=True))
+        rest = list(zip(*(c.tolist() for c in local.flat(two.search(crossed=whole))), strict=True))
+        assert written == sorted(rest + [(a, b) for p, q in whole for a in p.tolist() for b in q.tolist()])
+        assert len(written) == len(set(written)) == one.counters.out and one.counters == two.counters
+        monkeypatch.setattr(Local, "giant", lambda g: None)
+        plain = Local.build(*parts)
+        assert written == sorted(zip(*(c.tolist() for c in local.flat(plain.search())), strict=True))
+        assert (plain.counters.inspect_search, plain.counters.trail_rows) == (one.counters.inspect_search, one.counters.trail_rows)
+        monkeypatch.setattr(Local, "giant", real)
+
+
+def test_answers_through_a_ring_take_few_looks(monkeypatch):
+    n = 20_000
+    at = np.arange(n)
+    g = Local.build((at, at), (np.append(at, 0), np.append((at + 1) % n, 7)), (at, at))
+    monkeypatch.setattr(Local, "visits", lambda g, only=None: iter(()) if not len(g.s) else pytest.fail("searched anew"))
+    whole = []
+    assert list(g.search(crossed=whole)) == [] and [(len(a), len(b)) for a, b in whole] == [(n, n)]
+    assert g.counters.out == n * n
