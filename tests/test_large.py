@@ -115,3 +115,38 @@ def test_answers_through_a_ring_take_few_looks(monkeypatch):
     whole = []
     assert list(g.search(crossed=whole)) == [] and [(len(a), len(b)) for a, b in whole] == [(n, n)]
     assert g.counters.out == n * n
+
+
+@pytest.mark.parametrize("limit", [0, kernels.LIMIT])
+def test_shortest_lengths_beyond_40_hops(spark, monkeypatch, limit):
+    from pathq.operators.reachable import shortest_length
+    from pathq.plans.planner import canonical_of
+    from pathq.store import Store
+
+    monkeypatch.setattr(kernels, "LIMIT", limit)
+    n = 60 if limit else 8  # in rounds over the cluster only as long as needed to hold them against the others
+    chain = [(0, "a", 1), *((i, "b", i + 1) for i in range(1, n)), (n, "c", n + 1), (n, "b", 1)]
+    found, took = jobs(spark, lambda: sorted(tuple(r) for r in shortest_length(canonical_of(from_triples(spark, chain), "a b* c")[0], Store(spark, "test")).collect()))
+    assert found == [(0, n + 1, n + 1)] and (took < 20 or not limit)
+
+
+@pytest.mark.parametrize("cut", [1, 1 << 20])
+def test_shortest_lengths_are_those_of_plain_rounds(monkeypatch, cut):
+    monkeypatch.setattr(local, "CUT", cut)
+    rng = random.Random(7)
+    for _ in range(30):
+        n = rng.randrange(2, 25)
+        pairs = lambda a, b, k: sorted({(a + rng.randrange(n), b + rng.randrange(n)) for _ in range(k)})
+        starts, middle, ends = pairs(100, 0, 12), pairs(0, 0, 2 * n), pairs(0, 200, 10)
+        expected = {}
+        for s in {s for s, _ in starts}:
+            front, seen, far = {x for a, x in starts if a == s}, set(), 0
+            while front:
+                for y in {y for x, y in ends if x in front}:
+                    expected.setdefault((s, y), far)
+                seen, far = seen | front, far + 1
+                front = {b for a, b in middle if a in front} - seen
+        g = Local.build(*(tuple(np.array(p).T) for p in (starts, middle, ends)))
+        blocks = list(g.hops())
+        found = {(s, y): h for b in blocks for s, y, h in zip(*(c.tolist() for c in b), strict=True)}
+        assert found == expected and sum(len(b[0]) for b in blocks) == len(found)
