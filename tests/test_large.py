@@ -150,3 +150,30 @@ def test_shortest_lengths_are_those_of_plain_rounds(monkeypatch, cut):
         blocks = list(g.hops())
         found = {(s, y): h for b in blocks for s, y, h in zip(*(c.tolist() for c in b), strict=True)}
         assert found == expected and sum(len(b[0]) for b in blocks) == len(found)
+
+
+def test_matrix_of_scattered_edges(spark):
+    """Nearly all blocks hold a bit, so that multiplying every two that meet would take 200,000 products of bitmaps."""
+    from pathq.operators import matrix
+    from pathq.store import Store
+
+    at = np.random.default_rng(5).permutation(30_000)
+    chains = [(int(at[i]), int(at[i + 1])) for i in range(29_999) if i % 3 != 2]
+    found = matrix.matrix_closure(spark.createDataFrame(chains, "src long, dst long"), Store(spark, "test"))
+    assert sorted(tuple(r) for r in found.collect()) == sorted(chains + [(int(at[i]), int(at[i + 2])) for i in range(0, 30_000, 3)])
+
+
+@pytest.mark.parametrize("block", [5, 64])
+def test_matrix_of_lists_and_bitmaps(spark, block):
+    from pathq.operators import matrix
+    from pathq.store import Store
+
+    rng, n = np.random.default_rng(6), 5 * block // 2
+    a, b = (rng.random((n, n)) < np.where(np.arange(n) < block, d, 0.004)[:, None] for d in (0.5, 0.3))
+    frame = lambda m: spark.createDataFrame([tuple(map(int, p)) for p in zip(*np.nonzero(m), strict=True)], "i long, j long")
+    one, two = (matrix.to_blocks(frame(m), block) for m in (a, b))
+    product = matrix.multiply(one, two, block)
+    if block == 64:
+        assert one.filter("bits is null").count() and one.filter("at is null").count() and product.filter("at is null").count()
+    assert sorted(tuple(r) for r in matrix.to_pairs(product, block).collect()) == [tuple(p) for p in np.argwhere((a.astype(int) @ b.astype(int)) > 0).tolist()]
+    assert product.agg({"ones": "sum"}).first()[0] == ((a.astype(int) @ b.astype(int)) > 0).sum()
