@@ -177,3 +177,13 @@ def test_matrix_of_lists_and_bitmaps(spark, block):
         assert one.filter("bits is null").count() and one.filter("at is null").count() and product.filter("at is null").count()
     assert sorted(tuple(r) for r in matrix.to_pairs(product, block).collect()) == [tuple(p) for p in np.argwhere((a.astype(int) @ b.astype(int)) > 0).tolist()]
     assert product.agg({"ones": "sum"}).first()[0] == ((a.astype(int) @ b.astype(int)) > 0).sum()
+
+
+def test_sketched_degrees_are_counted_in_one_pass(spark, monkeypatch):
+    from pathq import workloads
+
+    edges = random_graph(random.Random(11), 30, 90, ("1-URGENT", "3-MEDIUM", "5-LOW"))
+    monkeypatch.setattr(workloads, "handoff", lambda spark, d, above: from_triples(spark, edges))
+    monkeypatch.setattr(workloads, "degrees", lambda found: pytest.fail("answers are read again"))
+    found = workloads.degrees_sketched(spark, "")
+    assert [tuple(r) for r in found.collect()] == [(len({s for s, _ in answers(edges, workloads.SHORT)}), 0)]
