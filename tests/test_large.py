@@ -187,3 +187,19 @@ def test_sketched_degrees_are_counted_in_one_pass(spark, monkeypatch):
     monkeypatch.setattr(workloads, "degrees", lambda found: pytest.fail("answers are read again"))
     found = workloads.degrees_sketched(spark, "")
     assert [tuple(r) for r in found.collect()] == [(len({s for s, _ in answers(edges, workloads.SHORT)}), 0)]
+
+
+@pytest.mark.parametrize("method", ["two-ended", "fused"])
+def test_other_searches_of_deep_chains_take_few_jobs(spark, method):
+    n, took = jobs(spark, lambda: evaluate(from_triples(spark, CHAIN), "x x* x", method).count())
+    assert n == 149 * 150 // 2 and took < 60
+
+
+def test_two_ended_in_arrays_has_a_bound():
+    rng = np.random.default_rng(12)
+    for _ in range(20):
+        parts = [tuple(np.unique(rng.integers(0, 20, (k, 2)), axis=0).T) for k in (8, 30, 8)]
+        written, two = (Local.build(*parts) for _ in range(2))
+        assert sorted(zip(*(c.tolist() for c in local.flat(two.two_ended())), strict=True)) == sorted(zip(*(c.tolist() for c in local.flat(written.search())), strict=True))
+        visits = Local.build(*parts)
+        assert list(visits.two_ended(0)) == [None]
