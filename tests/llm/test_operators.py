@@ -214,6 +214,64 @@ def test_token_files(spark):
     assert tokens.read(manifest, folder).count() == 0
 
 
+def test_pieces_give_the_ids_of_whole_texts():
+    """Cuts are only where the library's pre-tokenizer parts texts, whatever stands beside them, and the memo may be small."""
+    from tokenizers import Tokenizer
+
+    path, rng = tokens.default_tokenizer(), random.Random(5)
+    library = Tokenizer.from_file(path)
+    signs = ["a", "the", "é", "ß", "×", "3", "²", "'", "'s", "’", "…", ".", ",", "!", ":", " ", " ", " ", "\n", "\n", "\r", "\t", "\x1c", "\x85", "\xa0", "\u180e", "\u2003", "\u200b", "\u3000", "\ufeff", "ж", "日", "😀", "\u0301", "<|endoftext|>", "_", "\x00"]
+    for most in (10, 600_000):
+        own = tokens.Tokens(path, most=most)
+        for _ in range(6):
+            texts = ["".join(rng.choices(signs, k=rng.randint(0, 30))) for _ in range(300)] + [None, "", "x" * 200 + " y"]
+            for text, ids in zip(texts, own.batch(texts), strict=True):
+                assert ids.tolist() == library.encode(text or "", add_special_tokens=False).ids, text
+    data = "Così disse.\nThe end, the end.".encode()
+    at = tokens.cuts(data := np.frombuffer(data, np.uint8), np.array([0, len(data)])).tolist()
+    pieces = [data[i:j].tobytes().decode() for i, j in zip(at[:-1], at[1:], strict=True)]
+    assert pieces == ["Così", " disse", ".", "\n", "The", " end", ",", " the", " end", "."]  # " end" is encoded once
+
+
+@pytest.mark.parametrize("top", [300, 1 << 20])
+def test_pairs_of_ids(top):
+    """Frequent pairs are one symbol, so that the coder makes about half as many steps; rare ones are spelled."""
+    rng = np.random.default_rng(top)
+    for n in (0, 1, 2, 7, 4001):
+        ids = np.minimum(rng.zipf(1.5, n), top - 1)
+        for most in (1 << 19, 3):
+            symbols, alphabet = coder.paired(ids, most)
+            assert coder.unpaired(symbols, alphabet).tolist() == ids.tolist() and np.all(np.diff(np.bincount(symbols, minlength=len(alphabet))) <= 0)
+    ids = np.tile(rng.integers(0, top, 40), 100)
+    symbols, alphabet = coder.paired(ids)
+    assert len(symbols) == 2000 and len(alphabet) == 20 and sum(map(len, coder.encode_blocks(symbols, 4096, 20))) < 300
+
+
+def test_damaged_alphabet_is_found():
+    out = io.BytesIO()
+    out.close = lambda: None
+    w = tokens.FileWriter(out, 50_257, 64, 4)
+    w.add(1, np.arange(2000, dtype=np.uint32))
+    w.close()
+    data = out.getvalue()
+    assert [x.tolist() for _, x in tokens.read_file(io.BytesIO(data), lanes=3)] == [list(range(2000))]
+    for at in range(tokens.HEAD.size + tokens.GROUP.size, tokens.HEAD.size + tokens.GROUP.size + 40):
+        broken = bytearray(data)
+        broken[at] ^= 255
+        with pytest.raises(ValueError):
+            list(tokens.read_file(io.BytesIO(bytes(broken))))
+
+
+def test_rows_keep_their_ranges():
+    """Texts are grouped across Arrow batches; each row keeps its own range and id."""
+    import pyarrow as pa
+
+    batches = [pa.RecordBatch.from_pydict({"range": pa.array([i, i], pa.int32()), "doc_id": [10 * i, 10 * i + 1], "text": ["a b", None if i % 2 else "c" * 9]}) for i in range(7)]
+    for most in (1, 12, 1 << 20):
+        got = list(tokens._encoded(iter(batches), tokens.tokens(tokens.default_tokenizer()), most))
+        assert [(r, d) for r, d, _ in got] == [(i, 10 * i + k) for i in range(7) for k in (0, 1)] and all(len(x) == 2 for _, d, x in got if d % 10 == 0)
+
+
 # --- WARC ----------------------------------------------------------------------------------------------------------
 
 
