@@ -50,7 +50,7 @@ def capped_reach(canon: Canonical, cap: int | None, store: Store, smaller: tuple
 
     told = kernels.lists_in_tasks(canon, cap, store)
     if told is not None:
-        return told
+        return spread(told[0], cap), told[1]
     ends = canon.ends.distinct()
     if cap is None:
         return iterate(ends.withColumn("n", F.lit(0)), complete, store, "reach")
@@ -69,6 +69,23 @@ def capped_reach(canon: Canonical, cap: int | None, store: Store, smaller: tuple
     return found, log
 
 
+def spread(lists: DataFrame, cap: int | None) -> DataFrame:
+    """(x, y, n) of lists as a task gives them."""
+    each = lists.select(F.explode("src").alias("x"), "dst", "at").select("x", "at", F.posexplode("dst").alias("place", "y"))
+    return each.select("x", "y", (F.lit(0) if cap is None else (F.col("at") + F.col("place") + 1).cast("int")).alias("n"))
+
+
+def split_shared(lists: DataFrame, cap: int | None) -> tuple[DataFrame, DataFrame, dict[str, int]]:
+    """What ``split`` gives, of lists as a task gives them; light lists stay in pieces (x, ys)."""
+    full = F.col("size") >= cap if cap is not None else F.lit(False)
+    of = F.when(F.col("at") == 0, F.size("src")).otherwise(0)  # vertices, once
+    n = lists.agg(F.sum(of).alias("lists"), F.sum(F.when(full, of)).alias("heavy"), F.sum(of * F.col("size")).alias("rows")).first()
+    light = lists.filter(~full).select(F.explode("src").alias("x"), F.col("dst").alias("ys"))
+    heavy = lists.filter(full & (F.col("at") == 0)).select(F.explode("src").alias("x"))
+    heavies = n["heavy"] or 0
+    return light, heavy, {"n_light": (n["lists"] or 0) - heavies, "n_heavy": heavies, "reach_rows": n["rows"] or 0}
+
+
 def array_reach(canon: Canonical, cap: int, store: Store) -> tuple[DataFrame, RoundLog]:
     """The same lists, one ARRAY row per vertex: (x, ys). For caps that fit a row.
 
