@@ -9,10 +9,10 @@ from brute import answers, random_graph
 from test_large import jobs
 
 from pathq import workloads
-from pathq.operators import local
+from pathq.operators import kernels, local
 from pathq.operators.capped_split import evaluate_capped_split
 from pathq.operators.local import Local
-from pathq.plans.planner import evaluate, evaluate_with_report, report_only
+from pathq.plans.planner import canonical_of, evaluate, evaluate_with_report, report_only
 from pathq.sources.builders import from_triples
 from pathq.store import Store
 
@@ -100,3 +100,18 @@ def test_whole_method_writes_no_answers(spark, monkeypatch, name):
         assert (told["out"], told["n_heavy"] > 0) == (len(answers(ring, workloads.SHORT)), True)
     else:
         assert all(r[1] for r in found)
+
+
+@pytest.mark.parametrize("limit", [0, 20, 30])
+def test_looks_of_ways_beyond_a_task(spark, monkeypatch, limit):
+    """In rounds by doubling, in a task of twice the rows, and on ways that come back to themselves."""
+    from pathq.operators.search import forward_looks
+
+    monkeypatch.setattr(kernels, "LIMIT", limit)
+    chain = [(7 * i % 17, "b", 7 * (i + 1) % 17) for i in range(16)]
+    for edges, expected in ((chain, 16 * 17 // 2), ([(0, "b", 1), (1, "b", 0), (2, "b", 1)], None)):
+        if expected is None and limit:
+            continue
+        store = Store(spark, "test")
+        canon = canonical_of(from_triples(spark, edges), "b* c", store)[0]
+        assert forward_looks(canon, store) == (expected or 2 + 2 + 3)
