@@ -84,7 +84,7 @@ def test_sources_with_light_and_heavy_starts(spark):
     assert found is None and told["out"] == 3
 
 
-@pytest.mark.parametrize("name", ["handoff_split_rounds", "cost_report", "bound_checks"])
+@pytest.mark.parametrize("name", ["handoff_split_rounds", "cost_report", "bound_checks", "run_costs"])
 def test_whole_method_writes_no_answers(spark, monkeypatch, name):
     """Answers are counted, or found when they are read."""
     n = 30
